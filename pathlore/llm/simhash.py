@@ -2,8 +2,8 @@
 
 Fingerprints are made of the XXH64 hashes of word shingles. Equal fingerprints are first reduced to one, so copies are
 no hot spot. A tree of vantage points, fitted on a bounded sample (SAMPLE fingerprints), cuts the space
-into shards; each fingerprint has one home shard and visits every other shard that the triangle bound cannot rule
-out, so that each linking pair meets in the home shard of either. Within a shard the same cutting
+into shards; each fingerprint has one home shard and visits every nearer shard that the triangle bound cannot rule
+out, so that each linking pair meets in the home shard of one of its two. Within a shard the same cutting
 goes on in memory down to LEAF fingerprints, which are compared in blocks. A shard returns a spanning star of each of
 its linked sets, never all pairs; the sets are then joined by distributed connected components.
 
@@ -92,9 +92,9 @@ def route(tree: tuple | None, points: np.ndarray, radius: int) -> Iterator[tuple
         vantage, cut, near, far = node
         dh, dv = (np.bitwise_count(points[i] ^ np.uint64(vantage)).astype("int16") for i in (home, visit))
         #: Points within ``radius`` of a near point are at most cut + radius away, of a far point at least cut + 1 - radius.
-        to_near, to_far = (dh > cut) & (dh <= cut + radius), (dh <= cut) & (dh > cut - radius)
-        yield from down(near, home[dh <= cut], np.concatenate([home[to_near], visit[dv <= cut + radius]]), 2 * name)
-        yield from down(far, home[dh > cut], np.concatenate([home[to_far], visit[dv > cut - radius]]), 2 * name + 1)
+        #: Two home points on either side meet once, on the near side.
+        yield from down(near, home[dh <= cut], np.concatenate([home[(dh > cut) & (dh <= cut + radius)], visit[dv <= cut + radius]]), 2 * name)
+        yield from down(far, home[dh > cut], visit[dv > cut - radius], 2 * name + 1)
 
     yield from down(tree, np.arange(len(points)), np.zeros(0, "int64"), 1)
 
