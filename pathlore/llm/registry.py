@@ -6,8 +6,9 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from pathlore.llm import bpe, exact_dedup, packing, sharding, simhash
+from pathlore.llm import bpe, exact_dedup, license_scan, packing, quality, sharding, simhash, token_rollup, toxicity
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -15,12 +16,20 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def op1_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from pyspark.sql import functions as F
-
     found = exact_dedup.fresh_index(spark).deduplicate(table(spark, sf_dir, "documents"), "documents")
     return found.select("doc_id", "keep_id", "group_size", "kept", F.lower(F.hex("digest")).alias("text_sha256"))
 
 
+def op2_line_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.assess(table(spark, sf_dir, "documents"))
+
+
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    scored = toxicity.with_scores(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
+    return scored.select("doc_id", "held_out", "score", (F.col("score") >= 0.7).cast("int").alias("predicted"), "evidence")
+
+
 def op5_hilbert_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
@@ -29,6 +38,16 @@ def op6_differencing_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_by_bytes(table(spark, sf_dir, "documents"), 16)
 
 
+def op7_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents as one batch of insertions, committed twice: the second commit adds nothing."""
+    docs = table(spark, sf_dir, "documents")
+    counters = {"byte_bpe_50k/1": token_rollup.count_bpe(public_tokenizers.path("byte_bpe_50k.json")), "words/1": token_rollup.count_words}
+    rollup = token_rollup.fresh_rollup(spark)
+    for _ in range(2):
+        rollup.commit("documents", docs, counters)
+    return rollup.totals()
+
+
 def op8_speculative_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_digests(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
@@ -37,7 +56,11 @@ def op9_simhash_vp_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents")).select("doc_id", "fingerprint", "component_id")
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_exact_dedup, op5_hilbert_packing, op6_differencing_shards, op8_speculative_bpe, op9_simhash_vp_tree)}
+def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan.scan_licenses(table(spark, sf_dir, "documents"))
+
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_exact_dedup, op2_line_quality, op4_toxicity, op5_hilbert_packing, op6_differencing_shards, op7_token_rollup, op8_speculative_bpe, op9_simhash_vp_tree, op10_license_scan)}
 
 ORACLES: dict[str, str] = {
     "op1_exact_dedup": """
