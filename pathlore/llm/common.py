@@ -35,6 +35,13 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     return staged
 
 
+def stage_bucketed(df: DataFrame, name: str, key: str, buckets: int) -> DataFrame:
+    """Write a table into the warehouse, bucketed by ``key``: later groupings by the key need no shuffle of it."""
+    table = f"{name}_{uuid.uuid4().hex}"
+    df.write.format("parquet").option("compression", "zstd").bucketBy(buckets, key).saveAsTable(table)
+    return df.sparkSession.table(table)
+
+
 def release(df: DataFrame) -> None:
     """Delete a table that ``stage`` wrote, once nothing reads it any more."""
     path = getattr(df, "_staged_path", None)

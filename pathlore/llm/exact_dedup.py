@@ -52,12 +52,14 @@ class DigestIndex:
         fresh = groups.join(known, "digest", "left_anti").select("digest", "keep_id", "keep_tag", "group_size", "batch_id")
         fresh.write.mode("append").format("parquet").bucketBy(self.buckets, "digest").sortBy("digest").saveAsTable(self.name)
 
-    def deduplicate(self, docs: DataFrame, batch_id: str, carry: tuple[str, ...] = ()) -> DataFrame:
-        """One row a document: doc_id, keep_id, group_size, kept, digest and the columns of ``carry``.
+    def deduplicate(self, docs: DataFrame, batch_id: str, whole_rows: bool = False) -> DataFrame:
+        """One row a document: doc_id, keep_id, group_size, kept, digest, and the whole row as ``row`` if asked for.
 
         A batch that was appended before (same ``batch_id``) gives the same result again and adds nothing.
         """
-        rows = with_row_tag(docs.select("doc_id", digest().alias("digest"), *carry))
+        carry = ["row"] if whole_rows else []
+        rows = docs.select("doc_id", digest().alias("digest"), *([F.struct(*docs.columns).alias("row")] if whole_rows else []))
+        rows = with_row_tag(rows)
         rows = stage(rows, "digests")
         best = F.max(F.struct("doc_id", "row_tag")).alias("best")
         groups = rows.groupBy("digest").agg(best, F.count("*").alias("group_size"))
@@ -70,5 +72,11 @@ class DigestIndex:
         return out.select("doc_id", "keep_id", "group_size", kept.alias("kept"), "digest", "row_tag", *carry)
 
 
+def keep_first_of_equal(docs: DataFrame) -> DataFrame:
+    """The documents that stay, all columns unchanged, against an index of their own."""
+    found = fresh_index(docs.sparkSession).deduplicate(docs, "documents", whole_rows=True)
+    return found.where("kept").select("row.*")
+
+
 def fresh_index(spark: SparkSession) -> DigestIndex:
     return DigestIndex(spark, f"digest_index_{uuid.uuid4().hex}")

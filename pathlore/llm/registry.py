@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pathlore.llm import bpe, exact_dedup, license_scan, packing, quality, sharding, simhash, token_rollup, toxicity
+from pathlore.llm import bpe, exact_dedup, license_scan, packing, quality, sharding, simhash, suffix_dedup, token_rollup, toxicity
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -24,6 +24,10 @@ def op2_line_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.assess(table(spark, sf_dir, "documents"))
 
 
+def op3_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.report(table(spark, sf_dir, "documents"))
+
+
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     scored = toxicity.with_scores(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
@@ -60,7 +64,7 @@ def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.scan_licenses(table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_exact_dedup, op2_line_quality, op4_toxicity, op5_hilbert_packing, op6_differencing_shards, op7_token_rollup, op8_speculative_bpe, op9_simhash_vp_tree, op10_license_scan)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_exact_dedup, op2_line_quality, op3_suffix_dedup, op4_toxicity, op5_hilbert_packing, op6_differencing_shards, op7_token_rollup, op8_speculative_bpe, op9_simhash_vp_tree, op10_license_scan)}
 
 ORACLES: dict[str, str] = {
     "op1_exact_dedup": """

@@ -183,3 +183,10 @@ def near_duplicates(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     groups = attach_groups(rooted.select("fp", "copies", "root"), ids, "root", "members", n.n)
     out = attach_groups(rows, groups.select("fp", "copies", "component_id", "component_size"), "fp", "copies", n.rows)
     return out.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "component_size")
+
+
+def keep_one_of_near(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """The documents whose id is that of their component, all columns unchanged. Rows without an id cannot be named and stay."""
+    stay = near_duplicates(docs, radius).where("doc_id = component_id").select("doc_id").distinct()
+    named = docs.where(F.col("doc_id").isNotNull()).join(stay, "doc_id", "left_semi")
+    return named.select(*docs.columns).unionByName(docs.where(F.col("doc_id").isNull()))
