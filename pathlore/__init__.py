@@ -1,0 +1 @@
+"""Ontology-mediated navigational queries over property graphs, on Spark."""
