@@ -38,7 +38,7 @@ LENGTH, GRAM = 50, 24
 #: Text bytes of a block and of a bucket: they grow with the table between these bounds.
 BLOCK_BYTES, BUCKET_BYTES = (2 << 20, 64 << 20), (4 << 20, 256 << 20)
 #: Blocks that share a key before it counts as heavy; bytes of one suffix array's text.
-HEAVY_BLOCKS, ARRAY_BYTES = 256, 200_000
+HEAVY_BLOCKS, ARRAY_BYTES = 4096, 200_000
 ODD_A, ODD_B = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 KEY_BITS = 40
 NO_ID = np.iinfo(np.int64).max
@@ -220,11 +220,8 @@ def send_stretches(buckets: int):
             key_, doc_, a_, b_ = key[light], doc[light], a[light], b[light]
             if heavy.any():  # each window alone, under its own hash
                 n = b[heavy] - a[heavy]
-                at = np.repeat(a[heavy], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-                words = [np.ascontiguousarray(np.lib.stride_tricks.sliding_window_view(data, 8)[at + o]).view("<u8").ravel() for o in (0, 8, 16, 24, 32, 40, LENGTH - 8)]
-                h = mix(words[0] + ODD_B)
-                for w in words[1:]:
-                    h = mix(h + w)
+                at = ranges(a[heavy], n)
+                h = window_hashes(data, at)
                 key_, doc_ = np.concatenate([key_, h]), np.concatenate([doc_, np.repeat(doc[heavy], n)])
                 a_, b_ = np.concatenate([a_, at]), np.concatenate([b_, at + 1])
             raw = data.tobytes()
@@ -275,6 +272,20 @@ def least_ids(texts: list[bytes], ids: list[int]) -> list[np.ndarray]:
     return [of_place[s : s + n - LENGTH + 1] for s, n in zip(starts.tolist(), lens.tolist(), strict=True)]
 
 
+def window_hashes(data: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """A hash of the LENGTH bytes from each place on."""
+    view = np.lib.stride_tricks.sliding_window_view(data, 8)
+    h = np.zeros(len(at), "uint64")
+    for o in (0, 8, 16, 24, 32, 40, LENGTH - 8):
+        h = mix(h + ODD_B + np.ascontiguousarray(view[at + o]).view("<u8").ravel())
+    return h
+
+
+def ranges(first: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """The numbers first, first + 1, ... of each pair, ``n`` of them."""
+    return np.arange(int(n.sum())) + np.repeat(first - (np.cumsum(n) - n), n)
+
+
 def find_repeats(sent: pa.Table) -> pa.Table:
     """Spans to remove, by block: the work of a bucket."""
     texts: dict[bytes, int] = {}
@@ -286,46 +297,26 @@ def find_repeats(sent: pa.Table) -> pa.Table:
         counts, places, ids = np.frombuffer(row["counts"], "<u4").astype("int64"), np.frombuffer(row["places"], "<i8"), np.frombuffer(row["ids"], "int64")
         ends, of = np.cumsum(lens).tolist(), np.cumsum(counts) - counts
         smallest = np.minimum.reduceat(ids, of).tolist()
-        numbers = np.empty(len(keys), "int64")
+        numbers, data = np.empty(len(keys), "int64"), row["data"]
         for i, (k, n, e, m) in enumerate(zip(keys, lens.tolist(), ends, smallest, strict=True)):
-            t = row["data"][e - n : e]
+            t = data[e - n : e]
             x = texts.get(t)
             if x is None:
                 x = texts[t] = len(least)
                 least.append(m)
-            elif m < least[x]:
-                least[x] = m
-            by_key.setdefault(k, set()).add(x)
+                by_key.setdefault(k, set()).add(x)
+            else:
+                if m < least[x]:
+                    least[x] = m
+                by_key[k].add(x)
             numbers[i] = x
         occurrences.append((row["block_id"], np.repeat(numbers, counts), places, ids))
-    names = list(texts)
-    found: list[np.ndarray | None] = [None] * len(names)  # None: all windows have the text's own smallest id
-    job: list[int] = []
-    size = 0
-
-    def settle() -> None:
-        for x, ids in zip(job, least_ids([names[x] for x in job], [least[x] for x in job]), strict=True):
-            found[x] = ids if found[x] is None else np.minimum(found[x], ids)
-
-    for k in by_key:
-        own = by_key[k]
-        if len(own) > 1:
-            job += sorted(own)
-            size += sum(len(names[x]) for x in own)
-            if size > ARRAY_BYTES:
-                settle()
-                job, size = [], 0
-    if job:
-        settle()
-    n_windows = np.array([len(t) - LENGTH + 1 for t in names])
-    first = np.cumsum(n_windows) - n_windows
-    window_ids = np.concatenate([f if f is not None else np.full(n, m) for f, n, m in zip(found, n_windows.tolist(), least, strict=True)]) if names else np.zeros(0, "int64")
+    window_ids, first, n_windows = order_stretches(list(texts), np.array(least, "int64"), [sorted(x) for x in by_key.values() if len(x) > 1])
     blocks, starts, ends = [], [], []
     for block_id, number, places, ids in occurrences:
         n = n_windows[number]
-        inner = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-        gone = window_ids[np.repeat(first[number], n) + inner] < np.repeat(ids, n)
-        at = np.unique((np.repeat(places, n) + inner)[gone])
+        gone = window_ids[ranges(first[number], n)] < np.repeat(ids, n)
+        at = np.unique(ranges(places, n)[gone])
         if len(at):
             new = np.concatenate([[True], at[1:] != at[:-1] + 1])
             blocks.append(block_id)
@@ -334,6 +325,57 @@ def find_repeats(sent: pa.Table) -> pa.Table:
     return pa.table([pa.array(blocks, pa.int64()), pa.array(starts, pa.binary()), pa.array(ends, pa.binary())], ["block_id", "starts", "ends"])
 
 
+def order_stretches(texts: list[bytes], least: np.ndarray, rivals: list[list[int]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The smallest id of each window of each text, where each text's windows begin in that list, and their number.
+
+    ``rivals`` are the sets of different texts under one key. A window whose hash no rival shares is in no other text,
+    so only the parts of a text whose windows may be elsewhere go into the suffix arrays.
+    """
+    lens = np.array(list(map(len, texts)), "int64")
+    n_windows = lens - LENGTH + 1
+    first = np.cumsum(n_windows) - n_windows
+    window_ids = np.repeat(least, n_windows)
+    if not rivals:
+        return window_ids, first, n_windows
+    data = np.frombuffer(b"".join(texts), "uint8")
+    begin = np.cumsum(lens) - lens
+    members = np.array([x for r in rivals for x in r])
+    group = np.repeat(np.arange(len(rivals)), [len(r) for r in rivals])
+    n = n_windows[members]
+    h = mix(window_hashes(data, ranges(begin[members], n)) + np.repeat(group, n).astype("uint64") * ODD_A)
+    _, number, count = np.unique(h, return_inverse=True, return_counts=True)
+    shared = count[number] > 1
+    owner = np.repeat(np.arange(len(members)), n)
+    inner = ranges(np.zeros(len(members), "int64"), n)
+    new = shared & ~np.concatenate([[False], shared[:-1] & (owner[1:] == owner[:-1])])
+    last = shared & ~np.concatenate([shared[1:] & (owner[1:] == owner[:-1]), [False]])
+    raw = data.tobytes()
+    job: dict[bytes, list] = {}
+    size, key = 0, -1
+
+    def settle() -> None:
+        for parts, ids in zip(job.values(), least_ids(list(job), [min(m for _, m in p) for p in job.values()]), strict=True):
+            for at, _ in parts:
+                np.minimum(window_ids[at : at + len(ids)], ids, out=window_ids[at : at + len(ids)])
+
+    for o, x, y in zip(owner[new].tolist(), inner[new].tolist(), inner[last].tolist(), strict=True):
+        if group[o] != key:
+            key = group[o]
+            if size > ARRAY_BYTES:
+                settle()
+                job, size = {}, 0
+        text = members[o]
+        at = int(begin[text])
+        part = raw[at + x : at + y + LENGTH]
+        if part not in job:
+            job[part] = []
+            size += len(part)
+        job[part].append((int(first[text]) + x, int(least[text])))
+    if job:
+        settle()
+    return window_ids, first, n_windows
+
+
 def removed_bytes(block: Block, spans: pa.Table) -> np.ndarray:
     edge = np.zeros(int(block.starts[-1]) + 1, "int64")
     for s, e in zip(spans.column("starts"), spans.column("ends"), strict=True):

@@ -32,7 +32,28 @@ def suffix_array(symbols: Sequence[int]) -> list[int]:
     lower = [UNSET] * n  # of a suffix: the previous suffix in a lower group, -1 if there is none
     end = n
     while end > 0:
-        begin = first[order[end - 1]]
+        s = order[end - 1]
+        begin = first[s]
+        if begin == end - 1:  # a group of one needs no tallies
+            end = begin
+            j = s - 1
+            while j >= 0 and first[j] > begin:
+                j = lower[j]
+            lower[s] = j
+            if j >= 0:
+                group = first[j]
+                left = size[group] - 1
+                if left:
+                    size[group] = left
+                    to = group + left
+                    at = place[j]
+                    if at != to:
+                        other = order[to]
+                        order[to], order[at] = j, other
+                        place[j], place[other] = to, at
+                    first[j] = to
+                    size[to] = 1
+            continue
         members = order[begin:end]
         end = begin
         pointed: dict[int, int] = {}
