@@ -32,7 +32,8 @@ NEIGHBOURS, BLOCK, NEAR = 15, 64, 0.05
 #: Imagined examples without terms in each pool of the calibration: the terms were chosen on the same examples.
 SHRINK = 3
 PREFIXES = (3, 4, 5, 6)
-REMEMBERED = 200_000
+#: Scores that a worker remembers, by the text's terms.
+REMEMBERED = 5_000
 WORD = re.compile(r"[^\W_]+")
 
 
