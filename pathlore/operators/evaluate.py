@@ -21,6 +21,10 @@ from pathlore.plans.terms import TOP, EdgeStep, LabelTest, Nest, NodeTest
 from pathlore.sources.graph import PropertyGraph, natural_key
 
 
+#: Rounds after which the visited rows of an iteration are merged into one table.
+MERGE_PARTS = 12
+
+
 @dataclass
 class Guard:
     """What leads from one state to another: pairs (src, dst) to follow, nodes to stay on, or staying freely."""
@@ -190,16 +194,10 @@ class Evaluator:
             tagged = [rows.select("node_id", F.lit(s).alias("state")) for s, rows in seeds.items()]
             if not tagged:
                 continue
-            seen = fresh = stage(reduce(DataFrame.unionByName, tagged).distinct(), "seen")
-            for _ in range(self.max_rounds):
-                self.stats.rounds += 1
-                moved = [rows.select("node_id", F.lit(x).alias("state")) for (x, y), g in inner.items() for rows in before(g, fresh.where(F.col("state") == y).select("node_id"), False)]
-                fresh = stage(reduce(DataFrame.unionByName, moved).distinct().join(seen, ["node_id", "state"], "left_anti"), "fresh")
-                if fresh.isEmpty():
-                    break
-                seen = stage(seen.unionByName(fresh), "seen")
-            else:
-                raise RuntimeError("the iteration did not end")
+            inward: dict[int, list[tuple[int, Guard]]] = {}
+            for (x, y), g in inner.items():
+                inward.setdefault(y, []).append((x, g))
+            seen = self._saturate(reduce(DataFrame.unionByName, tagged), ["node_id", "state"], lambda s, rows: [r.select("node_id", F.lit(x).alias("state")) for x, g in inward.get(s, ()) for r in before(g, rows.select("node_id"), False)])
             sets |= {s: seen.where(F.col("state") == s).select("node_id") for s in part if s not in a.finals}
         self._starts[n, "all"] = sets
         return sets
@@ -265,15 +263,33 @@ class Evaluator:
 
     def _iterate(self, rows: dict[int, DataFrame], inner: dict[tuple[int, int], Guard], part: list[int]) -> dict[int, DataFrame]:
         tagged = [r.select("src", "node", F.lit(s).alias("state")) for s, r in rows.items()]
-        seen = fresh = stage(reduce(DataFrame.unionByName, tagged).distinct(), "seen")
+        outward: dict[int, list[tuple[int, Guard]]] = {}
+        for (x, y), g in inner.items():
+            outward.setdefault(x, []).append((y, g))
+        seen = self._saturate(reduce(DataFrame.unionByName, tagged), ["src", "node", "state"], lambda s, rows: [r.select("src", "node", F.lit(y).alias("state")) for y, g in outward.get(s, ()) for r in self.advance(rows.select("src", "node"), g)])
+        return {s: seen.where(F.col("state") == s).select("src", "node") for s in part}
+
+    def _saturate(self, rows: DataFrame, key: list[str], moves) -> DataFrame:
+        """Semi-naive fixpoint. ``moves(state, new rows)`` gives the rows that new rows of a state lead to.
+
+        Each round joins only for states with new rows; visited rows stay as the parts in which they came and are merged
+        when there are many. Only the states of the new rows come to the driver.
+        """
+        fresh = stage(rows.distinct(), "fresh")
+        parts = [fresh]
         for _ in range(self.max_rounds):
+            states = [r.state for r in fresh.select("state").distinct().collect()]  # states of an automaton
+            moved = [m for s in sorted(states) for m in moves(s, fresh.where(F.col("state") == s))]
+            if not moved:
+                break
             self.stats.rounds += 1
-            moved = [r.select("src", "node", F.lit(y).alias("state")) for (x, y), g in inner.items() for r in self.advance(fresh.where(F.col("state") == x).select("src", "node"), g)]
-            fresh = stage(reduce(DataFrame.unionByName, moved).distinct().join(seen, ["src", "node", "state"], "left_anti"), "fresh")
-            if fresh.isEmpty():
-                return {s: seen.where(F.col("state") == s).select("src", "node") for s in part}
-            seen = stage(seen.unionByName(fresh), "seen")
-        raise RuntimeError("the iteration did not end")
+            if len(parts) > MERGE_PARTS:
+                parts = [stage(reduce(DataFrame.unionByName, parts), "seen")]
+            fresh = stage(reduce(DataFrame.unionByName, moved).distinct().join(reduce(DataFrame.unionByName, parts), key, "left_anti"), "fresh")
+            parts.append(fresh)
+        else:
+            raise RuntimeError("the iteration did not end")
+        return reduce(DataFrame.unionByName, parts)
 
 
 def selective(book: AutomatonBook, n: int, states: set[int], out: bool) -> int:

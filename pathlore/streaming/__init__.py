@@ -1,0 +1 @@
+"""Streaming views of the event edges."""
