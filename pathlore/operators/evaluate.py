@@ -7,6 +7,7 @@ with a cycle is iterated, with new rows against visited ones, staged every round
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass, field
 from functools import reduce
 
@@ -191,14 +192,9 @@ class Evaluator:
             if not inner:
                 sets |= seeds
                 continue
-            tagged = [rows.select("node_id", F.lit(s).alias("state")) for s, rows in seeds.items()]
-            if not tagged:
-                continue
-            inward: dict[int, list[tuple[int, Guard]]] = {}
-            for (x, y), g in inner.items():
-                inward.setdefault(y, []).append((x, g))
-            seen = self._saturate(reduce(DataFrame.unionByName, tagged), ["node_id", "state"], lambda s, rows: [r.select("node_id", F.lit(x).alias("state")) for x, g in inward.get(s, ()) for r in before(g, rows.select("node_id"), False)])
-            sets |= {s: seen.where(F.col("state") == s).select("node_id") for s in part if s not in a.finals}
+            if seeds:
+                links = {(y, x): (lambda rows, g=g: before(g, rows, False)) for (x, y), g in inner.items()}
+                sets |= self._fixpoint(seeds, links, part)
         self._starts[n, "all"] = sets
         return sets
 
@@ -243,7 +239,8 @@ class Evaluator:
                 continue
             if not rows:
                 continue
-            at |= self._iterate(rows, inner, part)
+            links = {k: (lambda r, g=g: self.advance(r, g)) for k, g in inner.items()}
+            at |= self._fixpoint(rows, links, part)
         found = [at[s] if at[s] is not None else self.identity() for s in sorted(a.finals) if s in at]
         if not found:
             return self.graph.spark.createDataFrame([], "src long, node long")
@@ -261,35 +258,64 @@ class Evaluator:
             ahead |= more
             back |= less
 
-    def _iterate(self, rows: dict[int, DataFrame], inner: dict[tuple[int, int], Guard], part: list[int]) -> dict[int, DataFrame]:
-        tagged = [r.select("src", "node", F.lit(s).alias("state")) for s, r in rows.items()]
-        outward: dict[int, list[tuple[int, Guard]]] = {}
-        for (x, y), g in inner.items():
-            outward.setdefault(x, []).append((y, g))
-        seen = self._saturate(reduce(DataFrame.unionByName, tagged), ["src", "node", "state"], lambda s, rows: [r.select("src", "node", F.lit(y).alias("state")) for y, g in outward.get(s, ()) for r in self.advance(rows.select("src", "node"), g)])
-        return {s: seen.where(F.col("state") == s).select("src", "node") for s in part}
-
-    def _saturate(self, rows: DataFrame, key: list[str], moves) -> DataFrame:
-        """Semi-naive fixpoint. ``moves(state, new rows)`` gives the rows that new rows of a state lead to.
+    def _fixpoint(self, seeds: dict[int, DataFrame], links: dict[tuple[int, int], Callable], part: list[int]) -> dict[int, DataFrame]:
+        """All rows of the states of a cyclic part, semi-naively.
 
-        Each round joins only for states with new rows; visited rows stay as the parts in which they came and are merged
-        when there are many. Only the states of the new rows come to the driver.
+        Only the states that cut all cycles are iterated: a round takes their new rows through the other states, which are
+        in topological order then, in one plan. Visited rows stay as the parts in which they came and are merged when there
+        are many. Only whether a round brought rows comes to the driver.
         """
-        fresh = stage(rows.distinct(), "fresh")
+        cut = cycle_cut(part, set(links))
+        rest = [p[0] for p in parts_of(set(part) - set(cut), {k for k in links if not set(k) & set(cut)})]
+        columns = next(iter(seeds.values())).columns
+
+        def spread(at: dict[int, DataFrame], more: dict[int, DataFrame]) -> dict[int, DataFrame]:
+            out = dict(at)
+            for s in rest:
+                found = [r for (x, y), f in links.items() if y == s and x in out for r in f(out[x])] + ([more[s]] if s in more else [])
+                if found:
+                    out[s] = reduce(DataFrame.unionByName, found).distinct()
+            return out
+
+        def back_to_cut(at: dict[int, DataFrame]) -> list[DataFrame]:
+            return [r.select(*columns, F.lit(y).alias("state")) for (x, y), f in links.items() if y in cut and x in at for r in f(at[x])]
+
+        def by_state(rows: DataFrame) -> dict[int, DataFrame]:
+            return {s: rows.where(F.col("state") == s).select(*columns) for s in cut}
+
+        first = back_to_cut(spread({}, seeds)) + [seeds[s].select(*columns, F.lit(s).alias("state")) for s in cut if s in seeds]
+        if not first:
+            return spread({}, seeds)
+        fresh = stage(reduce(DataFrame.unionByName, first).distinct(), "fresh")
         parts = [fresh]
         for _ in range(self.max_rounds):
-            states = [r.state for r in fresh.select("state").distinct().collect()]  # states of an automaton
-            moved = [m for s in sorted(states) for m in moves(s, fresh.where(F.col("state") == s))]
+            moved = back_to_cut(spread(by_state(fresh), {}))
             if not moved:
                 break
             self.stats.rounds += 1
             if len(parts) > MERGE_PARTS:
                 parts = [stage(reduce(DataFrame.unionByName, parts), "seen")]
-            fresh = stage(reduce(DataFrame.unionByName, moved).distinct().join(reduce(DataFrame.unionByName, parts), key, "left_anti"), "fresh")
+            fresh = stage(reduce(DataFrame.unionByName, moved).distinct().join(reduce(DataFrame.unionByName, parts), [*columns, "state"], "left_anti"), "fresh")
+            if fresh.isEmpty():
+                break
             parts.append(fresh)
         else:
             raise RuntimeError("the iteration did not end")
-        return reduce(DataFrame.unionByName, parts)
+        return spread(by_state(reduce(DataFrame.unionByName, parts)), seeds)
+
+
+def cycle_cut(part: list[int], moves: set[tuple[int, int]]) -> list[int]:
+    """States without which the part has no cycle: greedily the one on most moves."""
+    left, cut = set(part), []
+    while True:
+        own = {(x, y) for x, y in moves if x in left and y in left}
+        loops = [p for p in parts_of(left, own) if len(p) > 1 or (p[0], p[0]) in own]
+        if not loops:
+            return cut
+        states = {s for p in loops for s in p}
+        worst = max(sorted(states), key=lambda s: ((s, s) in own, sum(x == s for x, y in own if y in states) * sum(y == s for x, y in own if x in states)))
+        cut.append(worst)
+        left.remove(worst)
 
 
 def selective(book: AutomatonBook, n: int, states: set[int], out: bool) -> int:
@@ -301,6 +327,30 @@ def selective(book: AutomatonBook, n: int, states: set[int], out: bool) -> int:
     return 0 if best == 3 or a.starts & a.finals else best
 
 
+def first_nodes(ev: Evaluator, n: int) -> DataFrame | None:
+    """The nodes that pass the first guards of an automaton, where these are tests only; None if any edge may come first."""
+    a, found = ev.book[n], []
+    if a.starts & a.finals:
+        return None
+    for (x, _), g in ev.guards(n).items():
+        if x in a.starts:
+            if g.nodes is None or g.pairs is not None or g.free:
+                return None
+            found.append(g.nodes.select("node_id"))
+    return reduce(DataFrame.unionByName, found).distinct() if found else None
+
+
+def starts_at_right(ev: Evaluator, n: int, left: DataFrame | None, right: DataFrame | None) -> bool:
+    """Whether a binary atom is better run backwards. Runs with cycles keep all their start nodes, so these are counted."""
+    a = ev.book[n]
+    if all(len(part) == 1 and (part[0], part[0]) not in ev.guards(n) for part in parts_of(set(range(a.states)), set(ev.guards(n)))):
+        return left is None and (right is not None or selective(ev.book, n, a.finals, False) > selective(ev.book, n, a.starts, True))
+    ends = [left if left is not None else first_nodes(ev, n), right if right is not None else first_nodes(ev, invert(ev.book, n))]
+    if ends[0] is None or ends[1] is None:
+        return ends[1] is not None
+    return ends[1].count() < ends[0].count()
+
+
 def answer(q: ConjunctivePathQuery, graph: PropertyGraph, binding: str = "edge", bindings: dict[str, DataFrame] | None = None, decode: bool = True, evaluator: Evaluator | None = None) -> DataFrame:
     """Answers of a query whose variables are all answered (see ``bind_existentials``), one column a variable.
 
@@ -331,7 +381,7 @@ def answer(q: ConjunctivePathQuery, graph: PropertyGraph, binding: str = "edge",
         binary.remove((n, x, y))
         left = of(x) if x not in done else joined.select(F.col(x).alias("node_id")).distinct()
         right = of(y) if y not in done else joined.select(F.col(y).alias("node_id")).distinct()
-        turned = left is None and (right is not None or selective(book, n, book[n].finals, False) > selective(book, n, book[n].starts, True))
+        turned = starts_at_right(ev, n, left, right)
         if turned:
             rows = ev.pairs_of(invert(book, n), right).select(F.col("node").alias("src"), F.col("src").alias("node"))
         else:
