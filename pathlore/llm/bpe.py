@@ -13,6 +13,7 @@ not grow with a text's length. Added tokens named in the file are cut out first,
 from __future__ import annotations
 
 import hashlib
+import itertools
 import json
 from collections.abc import Iterator
 
@@ -42,6 +43,48 @@ def byte_symbols() -> list[str]:
     return out
 
 
+class MergeTable:
+    """The merges of a vocabulary by pair of ids, for many words at once."""
+
+    def __init__(self, pairs: list[tuple[int, int]], products: list[int], size: int):
+        self.size = size
+        keys = np.array([a * size + b for a, b in pairs])
+        order = np.argsort(keys)
+        self.keys, self.ranks, self.products = keys[order], order, np.array(products)[order]
+
+    def look_up(self, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Rank of the merge of each pair, and the token that it makes."""
+        key = a * self.size + b
+        at = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
+        return np.where(self.keys[at] == key, self.ranks[at], NEVER), self.products[at]
+
+    def merge_all(self, ids: np.ndarray, owner: np.ndarray, words: int) -> tuple[np.ndarray, np.ndarray]:
+        """Exact merging of many words: in each round every word makes its merge of least rank. Flat ids, and lengths."""
+        out_ids, out_owner = [np.zeros(0, "int64")], [np.zeros(0, "int64")]
+        while len(ids):
+            rank, made = self.look_up(ids[:-1], ids[1:])
+            rank[owner[:-1] != owner[1:]] = NEVER
+            rank = np.append(rank, NEVER)
+            first = np.flatnonzero(np.concatenate([[True], owner[1:] != owner[:-1]]))
+            least = np.repeat(np.minimum.reduceat(rank, first), np.diff(np.append(first, len(ids))))
+            done = least == NEVER
+            out_ids.append(ids[done])
+            out_owner.append(owner[done])
+            at = np.flatnonzero((rank == least) & ~done)
+            if not len(at):
+                break
+            # Overlapping places of one pair (aaa): every other one from the left.
+            begins = np.concatenate([[True], at[1:] != at[:-1] + 1])
+            offset = np.arange(len(at)) - np.maximum.accumulate(np.where(begins, np.arange(len(at)), 0))
+            at = at[offset % 2 == 0]
+            ids[at] = made[at]
+            keep = ~done
+            keep[at + 1] = False
+            ids, owner = ids[keep], owner[keep]
+        ids, owner = np.concatenate(out_ids), np.concatenate(out_owner)
+        return ids[np.argsort(owner, kind="stable")], np.bincount(owner, minlength=words)
+
+
 class SpeculativeBpe:
     """Encoder and decoder of one vocabulary file."""
 
@@ -59,23 +102,26 @@ class SpeculativeBpe:
             self.pieces[i] = t
         for t, i in self.added.items():
             self.pieces[i] = t.encode()
-        self.longest = max(map(len, self.vocab))
         self.left, self.right = np.arange(size), np.arange(size)
         self.born = np.full(size, -1, "int64")  # rank of the merge that makes a token; -1: a single byte
         self.merge: dict[tuple[int, int], tuple[int, int]] = {}
-        keys, ranks = [], []
+        pairs, products = [], []
         for rank, pair in enumerate(spec["model"]["merges"]):
             a, b = (self.vocab[as_bytes(t)] for t in (pair if isinstance(pair, list) else pair.split(" ")))
             made = self.vocab[self.pieces[a] + self.pieces[b]]
             self.merge[a, b] = (rank, made)
-            keys.append(a * size + b)
-            ranks.append(rank)
+            pairs.append((a, b))
+            products.append(made)
             if self.born[made] < 0:
                 self.left[made], self.right[made], self.born[made] = a, b, rank
-        order = np.argsort(keys)
-        self.size, self.keys, self.ranks = size, np.array(keys)[order], np.array(ranks)[order]
+        self.table = MergeTable(pairs, products, size)
+        self.single = np.array([self.vocab[bytes([b])] for b in range(256)])
         #: Tokens that merging their own bytes gives again; only these are proposed.
         self.whole = {t: i for t, i in self.vocab.items() if len(t) == 1 or self.exact(t) == [i]}
+        self.reach: dict[bytes, int] = {}
+        for t in self.whole:
+            if len(t) > 1:
+                self.reach[t[:2]] = max(len(t), self.reach.get(t[:2], 0))
         self.pattern = regex.compile(WORDS)
         self.cut = regex.compile("|".join(map(regex.escape, sorted(self.added, key=len, reverse=True)))) if self.added else None
         self.forget()
@@ -107,10 +153,10 @@ class SpeculativeBpe:
         return ids
 
     def propose(self, word: bytes) -> list[int]:
-        """Greedy longest match."""
-        out, i, n, whole, longest = [], 0, len(word), self.whole, self.longest
+        """Greedy longest match; only lengths are tried that some token with these first two bytes has."""
+        out, i, n, whole, reach = [], 0, len(word), self.whole, self.reach
         while i < n:
-            for j in range(min(n, i + longest), i, -1):
+            for j in range(min(n, i + reach.get(word[i : i + 2], 1)), i, -1):
                 t = whole.get(word[i:j])
                 if t is not None:
                     out.append(t)
@@ -118,11 +164,6 @@ class SpeculativeBpe:
                     break
         return out
 
-    def rank_of(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-        key = a * self.size + b
-        at = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
-        return np.where(self.keys[at] == key, self.ranks[at], NEVER)
-
     def compatible(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         """For each pair of tokens: merging the bytes of both gives the pair again.
 
@@ -136,7 +177,7 @@ class SpeculativeBpe:
         # the boundary only where the right side is undone.
         ties = np.zeros(len(a), bool)
         while len(live):
-            r = self.rank_of(left[live], right[live])
+            r, _ = self.table.look_up(left[live], right[live])
             bad = (r < ends[live]) | ((r == ends[live]) & ties[live] & (r != NEVER))
             good[live[bad]] = False
             live = live[~bad]
@@ -156,16 +197,19 @@ class SpeculativeBpe:
         raw = [w.encode() for w in words]
         tokens = [self.propose(w) for w in raw]
         lens = np.fromiter(map(len, tokens), "int64", len(tokens))
-        flat = np.fromiter((t for ts in tokens for t in ts), "int64", int(lens.sum()))
+        flat = np.fromiter(itertools.chain.from_iterable(tokens), "int64", int(lens.sum()))
         owner = np.repeat(np.arange(len(tokens)), lens)
         inner = owner[:-1] == owner[1:]
         fine = self.compatible(flat[:-1][inner], flat[1:][inner])
-        failing = np.unique(owner[:-1][inner][~fine])
-        for i in failing.tolist():
-            tokens[i] = self.exact(raw[i])
-        if len(failing):
-            lens = np.fromiter(map(len, tokens), "int64", len(tokens))
-            flat = np.fromiter((t for ts in tokens for t in ts), "int64", int(lens.sum()))
+        failing = np.zeros(len(words), bool)
+        failing[owner[:-1][inner][~fine]] = True
+        if failing.any():
+            again = [w for w, f in zip(raw, failing.tolist(), strict=True) if f]
+            sizes = np.fromiter(map(len, again), "int64", len(again))
+            merged, merged_lens = self.table.merge_all(self.single[np.frombuffer(b"".join(again), "uint8")], np.repeat(np.arange(len(again)), sizes), len(again))
+            owner = np.concatenate([owner[~failing[owner]], np.repeat(np.flatnonzero(failing), merged_lens)])
+            flat = np.concatenate([flat[~failing[np.repeat(np.arange(len(words)), lens)]], merged])[np.argsort(owner, kind="stable")]
+            lens[failing] = merged_lens
         while self.used + len(flat) > len(self.flat):
             self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
         self.flat[self.used : self.used + len(flat)] = flat

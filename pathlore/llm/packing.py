@@ -12,6 +12,9 @@ repeated doc_ids are packed as any other row; an empty table gives an empty resu
 
 from __future__ import annotations
 
+import itertools
+import json
+import re
 import unicodedata
 import zlib
 from collections.abc import Iterator
@@ -22,22 +25,27 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pathlore.llm.bpe import MergeTable, byte_symbols
 from pathlore.llm.common import map_batches, partitions_for, stage, with_row_tag
 
 DIMS, BITS = 4, 8
 QUANTILES = (1 << BITS) - 1
 #: Bits of the key that hold a hash of the row.
 SPREAD = 24
-REMEMBERED = 1_000_000
-#: Endings that are words of their own after a letter.
-ENDINGS = ".,;:!?)|"
+#: Words that a worker remembers.
+REMEMBERED = 400_000
+#: Runs of these alone are one word.
+SIGNS = frozenset(".,;:!?()|-/") | frozenset((".,", "!!", "...", "--"))
+WORD = re.compile(r"\w+|[^\w\s]+")
 
 
 class ChunkTokenizer:
-    """Ids of the tokenizers library, remembered by white-space delimited chunk.
+    """Ids of the tokenizers library, remembered by lower-case word.
 
-    The vocabulary's normalizer and word pattern never look across white space, so a text's ids are those of its
-    chunks. Where Python and the library may differ about white space or normal form, the library takes the text.
+    The vocabulary's normalizer and word pattern never look across white space, nor across the border of letters and digits
+    to other signs, but for apostrophes and underscores; so a text's ids are those of its words, or, with such signs, of
+    what white space parts. Where Python and the library may differ about white space, case or normal form, the library
+    takes the text.
     """
 
     def __init__(self, path: str):
@@ -45,70 +53,61 @@ class ChunkTokenizer:
 
         self.model = Tokenizer.from_file(path)
         self.size = self.model.get_vocab_size(with_added_tokens=True)
+        with open(path, encoding="utf-8") as f:
+            spec = json.load(f)["model"]
+        vocab, end = spec["vocab"], spec["end_of_word_suffix"] or ""
+        symbols = byte_symbols()
+        self.inner, self.last = (np.array([vocab.get(c + e, -1) for c in symbols]) for e in ("", end))
+        pairs = [p if isinstance(p, list) else p.split(" ") for p in spec["merges"]]
+        self.table = MergeTable([(vocab[a], vocab[b]) for a, b in pairs], [vocab[a + b] for a, b in pairs], self.size)
+        self.simple = (self.inner >= 0).all() and (self.last >= 0).all()
+        self.added = [t.content for t in self.model.get_added_tokens_decoder().values()]
         self.forget()
 
     def forget(self) -> None:
         self.known: dict[str, int] = {}
         self.flat, self.used = np.zeros(1 << 16, "uint32"), 0
-        self.starts: list[int] = []
-        self.lens: list[int] = []
+        self.starts, self.lens = np.zeros(0, "int64"), np.zeros(0, "int64")
 
-    def put(self, word: str, ids) -> None:
-        n = len(ids)
+    def learn(self, words: list[str]) -> None:
+        # Letters alone and signs alone are one word of the vocabulary's pattern: their merges are made together.
+        # The rest (digits, apostrophes, odd signs) goes to the library.
+        one = [w for w in words if self.simple and (w.isalpha() or w in SIGNS)]
+        rest = [w for w in words if not (self.simple and (w.isalpha() or w in SIGNS))]
+        raw = [w.encode() for w in one]
+        sizes = np.fromiter(map(len, raw), "int64", len(raw))
+        data = np.frombuffer(b"".join(raw), "uint8")
+        ids = self.inner[data]
+        tails = np.cumsum(sizes) - 1
+        ids[tails] = self.last[data[tails]]
+        merged, merged_lens = self.table.merge_all(ids, np.repeat(np.arange(len(raw)), sizes), len(raw))
+        found = [e.ids for e in self.model.encode_batch(rest, add_special_tokens=False)] if rest else []
+        words = one + rest
+        lens = np.concatenate([merged_lens, np.fromiter(map(len, found), "int64", len(found))])
+        flat = np.concatenate([merged, np.fromiter(itertools.chain.from_iterable(found), "int64")]) if found else merged
+        n = int(lens.sum())
         while self.used + n > len(self.flat):
             self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
-        self.flat[self.used : self.used + n] = ids
-        self.known[word] = len(self.starts)
-        self.starts.append(self.used)
-        self.lens.append(n)
+        self.flat[self.used : self.used + n] = flat
+        first = len(self.known)
+        self.known.update(zip(words, range(first, first + len(words)), strict=True))
+        self.starts = np.concatenate([self.starts, self.used + np.cumsum(lens) - lens])
+        self.lens = np.concatenate([self.lens, lens])
         self.used += n
 
-    def learn(self, words: list[str]) -> None:
-        """Only lower-case cores without their ending go to the library; the rest is put together from them."""
-        cores, plan = {}, []
-        for w in words:
-            core, end = w, ""
-            if w[-1] in ENDINGS:
-                cut = w.rstrip(ENDINGS)
-                if cut and cut[-1].isalpha() and cut[-1] < "ɐ":
-                    core, end = cut, w[len(cut) :]
-            if core.isascii():
-                core = core.lower()
-            plan.append((w, core, end))
-            for x in (core, end):
-                if x and x not in self.known:
-                    cores[x] = None
-        if cores:
-            new = list(cores)
-            for x, e in zip(new, self.model.encode_batch_fast(new, add_special_tokens=False), strict=True):
-                self.put(x, e.ids)
-        flat, starts, lens, known = self.flat, self.starts, self.lens, self.known
-        for w, core, end in plan:
-            if w in known:
-                continue
-            a = known[core]
-            if not end:
-                known[w] = a
-                continue
-            b = known[end]
-            self.put(w, np.concatenate([flat[starts[a] : starts[a] + lens[a]], flat[starts[b] : starts[b] + lens[b]]]))
-            flat = self.flat
-
     def encode_batch(self, texts: list[str]) -> Iterator[np.ndarray]:
         if len(self.known) > REMEMBERED:
             self.forget()
-        plain = [self.is_plain(t) for t in texts]
-        chunks = [t.split() if p else () for t, p in zip(texts, plain, strict=True)]
-        words = [w for ws in chunks for w in ws]
+        plain = [self.is_plain(t) and not any(a in t for a in self.added) for t in texts]
+        chunks = [() if not p else low.split() if "'" in low or "_" in low else WORD.findall(low) for p, low in ((p, t.lower() if p else "") for t, p in zip(texts, plain, strict=True))]
+        words = list(itertools.chain.from_iterable(chunks))
         new = [w for w in dict.fromkeys(words) if w not in self.known]
         if new:
             self.learn(new)
-        if not hasattr(self, "_n") or self._n != len(self.starts):
-            self._starts, self._lens, self._n = np.array(self.starts, "int64"), np.array(self.lens, "int64"), len(self.starts)
         at = np.fromiter(map(self.known.__getitem__, words), "int64", len(words))
-        lens = self._lens[at] if words else at
+        lens = self.lens[at]
         ends = np.cumsum(lens)
-        ids = self.flat[np.arange(ends[-1]) + np.repeat(self._starts[at] - (ends - lens), lens)] if words else np.zeros(0, "uint32")
+        ids = self.flat[np.arange(ends[-1]) + np.repeat(self.starts[at] - (ends - lens), lens)] if words else np.zeros(0, "uint32")
         bounds = np.concatenate([[0], ends])[np.cumsum([0, *map(len, chunks)])]
         for i, t in enumerate(texts):
             yield ids[bounds[i] : bounds[i + 1]] if plain[i] else np.array(self.model.encode(t, add_special_tokens=False).ids, "uint32")
@@ -210,23 +209,20 @@ def pack_tokens(rows: DataFrame, kind: str, length: int = 2048, ranges: int = 0,
         return pd.Series(hilbert_key(np.minimum(cells, (1 << BITS) - 1), BITS))
 
     key = F.shiftleft(curve("p0", "p1", "p2", "p3"), SPREAD) + F.pmod(F.xxhash64("row_tag"), F.lit(1 << SPREAD))
-    keys = stage(rows.select("row_tag", "n_tokens", key.alias("key")), "keys")
+    keys = stage(rows.select("n_tokens", key.alias("key")), "keys")
     inner = keys.agg(F.percentile_approx("key", [i / ranges for i in range(1, ranges)] or [0.5], 100 * ranges).alias("q")).first().q if ranges > 1 else []
-    inner = sorted(set(inner or []))
-    #: The ranges are numbered by a search in the sorted cuts, once for the totals and once for the rows.
-    place = np.array(inner, "int64")
+    place = np.array(sorted(set(inner or [])), "int64")
 
     @F.pandas_udf("int")
     def range_of(k: pd.Series) -> pd.Series:
         return pd.Series(np.searchsorted(place, k.to_numpy("int64"), side="right").astype("int32"))
 
-    keys = stage(keys.select("row_tag", "n_tokens", "key", range_of("key").alias("span")), "spans")
-    totals = {r.span: r.n for r in keys.groupBy("span").agg(F.sum("n_tokens").alias("n")).collect()}  # a number for each range
+    totals = {r.span: r.n for r in keys.groupBy(range_of("key").alias("span")).agg(F.sum("n_tokens").alias("n")).collect()}  # a number for each range
     first, starts = 0, {}
-    for s in sorted(totals):
-        starts[s], first = first, first + totals[s]
+    for span in sorted(totals):
+        starts[span], first = first, first + totals[span]
     begin = spark.createDataFrame(list(starts.items()), "span int, begin long")
-    keyed = rows.select("doc_id", "row_tag", "ids").join(keys.select("row_tag", "key", "span"), "row_tag")
+    keyed = rows.select("doc_id", "row_tag", "ids", key.alias("key")).withColumn("span", range_of("key"))
     keyed = keyed.join(F.broadcast(begin), "span").select("span", "key", "begin", "doc_id", "row_tag", "ids")
     fields = ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
 
