@@ -34,13 +34,15 @@ from pyspark.sql import functions as F
 from pathlore.llm.common import partitions_for, release, stage, stage_bucketed
 from pathlore.llm.suffix_groups import suffix_array
 
-LENGTH, GRAM = 50, 24
+LENGTH, GRAM = 50, 20
 #: Text bytes of a block and of a bucket: they grow with the table between these bounds.
 BLOCK_BYTES, BUCKET_BYTES = (2 << 20, 64 << 20), (4 << 20, 256 << 20)
 #: Blocks that share a key before it counts as heavy; bytes of one suffix array's text.
 HEAVY_BLOCKS, ARRAY_BYTES = 4096, 200_000
 ODD_A, ODD_B = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 KEY_BITS = 40
+#: Bytes whose hashes are computed at once.
+PIECE = 1 << 18
 NO_ID = np.iinfo(np.int64).max
 
 
@@ -55,16 +57,16 @@ def gram_hashes(text: np.ndarray) -> np.ndarray:
     n = len(text) - GRAM + 1
     words = np.ascontiguousarray(np.lib.stride_tricks.sliding_window_view(text, 8)).view("<u8").ravel()
     h = mix(words[:n] * ODD_A + ODD_B)
-    for at in range(8, GRAM, 8):
+    for at in (*range(8, GRAM - 8, 8), GRAM - 8):
         h = mix(h + words[at : at + n])
     return h
 
 
-def stretches(text: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Keys, first windows and ends of the runs of windows with the same key."""
-    none = np.zeros(0, "int64")
+def stretches(text: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Of the runs of windows with the same key: key, document, first window and end. ``ends``: where each document ends."""
     if len(text) < LENGTH:
-        return none.astype("uint64"), none, none
+        none = np.zeros(0, "int64")
+        return none.astype("uint64"), none, none, none
     h = gram_hashes(text)
     width = LENGTH - GRAM + 1
     least, span = h, 1
@@ -73,8 +75,20 @@ def stretches(text: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         span *= 2
     n = len(h) - width + 1
     least = np.minimum(least[:n], least[width - span : width - span + n])
-    starts = np.flatnonzero(np.concatenate([[True], least[1:] != least[:-1]]))
-    return mix(least[starts]), starts, np.append(starts[1:], n)
+    edge = np.zeros(n + 1, "int8")  # 1 where windows begin to be whole, -1 where they run into the next document
+    begins = np.concatenate([[0], ends[:-1]])
+    whole = ends - begins >= LENGTH
+    np.add.at(edge, begins[whole], 1)
+    np.add.at(edge, ends[whole] - LENGTH + 1, -1)
+    valid = np.cumsum(edge[:n], dtype="int8") > 0
+    new = np.empty(n, bool)
+    new[0] = True
+    np.not_equal(least[1:], least[:-1], out=new[1:])
+    new[begins[whole]] = True
+    starts = np.flatnonzero(new & valid)
+    doc = np.searchsorted(ends, starts, side="right")
+    stop = np.minimum(np.append(starts[1:], n), ends[doc] - LENGTH + 1)
+    return mix(least[starts]), doc, starts, stop
 
 
 class Block:
@@ -91,10 +105,15 @@ class Block:
     def runs(self) -> tuple[np.ndarray, ...]:
         """Of all stretches: key, document, first window and end (places in the block)."""
         out: list[list[np.ndarray]] = [[], [], [], []]
-        for d in np.flatnonzero(self.known).tolist():
-            key, a, b = stretches(np.frombuffer(self.texts[d], "uint8"))
-            for o, x in zip(out, (key, np.full(len(key), d), a + self.starts[d], b + self.starts[d]), strict=True):
-                o.append(x)
+        data, first, n = self.data(), 0, len(self.texts)
+        while first < n:  # documents of about PIECE bytes at once, so that the arrays stay in the cache
+            last = max(first + 1, int(np.searchsorted(self.starts, self.starts[first] + PIECE, side="right")) - 1)
+            at = int(self.starts[first])
+            key, doc, a, b = stretches(data[at : int(self.starts[last])], self.starts[first + 1 : last + 1] - at)
+            own = self.known[first + doc]
+            for o, x in zip(out, (key, first + doc, a + at, b + at), strict=True):
+                o.append(x[own])
+            first = last
         kinds = ("uint64", "int64", "int64", "int64")
         return tuple(np.concatenate([np.zeros(0, k), *o]) for o, k in zip(out, kinds, strict=True))
 
