@@ -30,7 +30,7 @@ from pathlore.llm.common import map_batches, release, stage
 EXAMPLES, TERMS, LEAST_RATIO, LEAST_LIFT, LEAST_SEEN = 16_000, 2_000, 22.0, 2.0, 3
 NEIGHBOURS, BLOCK, NEAR = 15, 64, 0.05
 #: Imagined examples without terms in each pool of the calibration: the terms were chosen on the same examples.
-SHRINK = 3
+SHRINK = 2
 PREFIXES = (3, 4, 5, 6)
 #: Scores that a worker remembers, by the text's terms.
 REMEMBERED = 5_000
