@@ -33,7 +33,7 @@ QUANTILES = (1 << BITS) - 1
 #: Bits of the key that hold a hash of the row.
 SPREAD = 24
 #: Words that a worker remembers.
-REMEMBERED = 400_000
+REMEMBERED = 250_000
 #: Runs of these alone are one word.
 SIGNS = frozenset(".,;:!?()|-/") | frozenset((".,", "!!", "...", "--"))
 WORD = re.compile(r"\w+|[^\w\s]+")
@@ -203,27 +203,30 @@ def pack_tokens(rows: DataFrame, kind: str, length: int = 2048, ranges: int = 0,
         ranges = 1
     bounds = [np.array(stats[d] or [0.0], "float32") for d in range(DIMS)]
 
-    @F.pandas_udf("long")
-    def curve(p0: pd.Series, p1: pd.Series, p2: pd.Series, p3: pd.Series) -> pd.Series:
-        cells = np.stack([np.searchsorted(b, p.to_numpy("float32"), side="right") for b, p in zip(bounds, (p0, p1, p2, p3), strict=True)], axis=1)
-        return pd.Series(hilbert_key(np.minimum(cells, (1 << BITS) - 1), BITS))
+    def curve(*p: pd.Series) -> np.ndarray:
+        cells = np.stack([np.searchsorted(b, x.to_numpy("float32"), side="right") for b, x in zip(bounds, p, strict=True)], axis=1)
+        return hilbert_key(np.minimum(cells, (1 << BITS) - 1), BITS)
 
-    key = F.shiftleft(curve("p0", "p1", "p2", "p3"), SPREAD) + F.pmod(F.xxhash64("row_tag"), F.lit(1 << SPREAD))
-    keys = stage(rows.select("n_tokens", key.alias("key")), "keys")
+    def key_of(p0: pd.Series, p1: pd.Series, p2: pd.Series, p3: pd.Series, spread: pd.Series) -> pd.Series:
+        return pd.Series((curve(p0, p1, p2, p3) << SPREAD) + spread.to_numpy("int64"))
+
+    columns = ["p0", "p1", "p2", "p3", F.pmod(F.xxhash64("row_tag"), F.lit(1 << SPREAD))]
+    keys = rows.select(F.pandas_udf(key_of, "long")(*columns).alias("key"))
     inner = keys.agg(F.percentile_approx("key", [i / ranges for i in range(1, ranges)] or [0.5], 100 * ranges).alias("q")).first().q if ranges > 1 else []
     place = np.array(sorted(set(inner or [])), "int64")
 
-    @F.pandas_udf("int")
-    def range_of(k: pd.Series) -> pd.Series:
-        return pd.Series(np.searchsorted(place, k.to_numpy("int64"), side="right").astype("int32"))
+    def place_of(p0: pd.Series, p1: pd.Series, p2: pd.Series, p3: pd.Series, spread: pd.Series) -> pd.DataFrame:
+        key = key_of(p0, p1, p2, p3, spread).to_numpy()
+        return pd.DataFrame({"key": key, "span": np.searchsorted(place, key, side="right").astype("int32")})
 
-    totals = {r.span: r.n for r in keys.groupBy(range_of("key").alias("span")).agg(F.sum("n_tokens").alias("n")).collect()}  # a number for each range
+    placed = rows.withColumn("at", F.pandas_udf(place_of, "key long, span int")(*columns))  # one Python worker a task
+    placed = placed.select("doc_id", "row_tag", "n_tokens", "ids", "at.key", "at.span")
+    totals = {r.span: r.n for r in placed.groupBy("span").agg(F.sum("n_tokens").alias("n")).collect()}  # a number for each range
     first, starts = 0, {}
     for span in sorted(totals):
         starts[span], first = first, first + totals[span]
     begin = spark.createDataFrame(list(starts.items()), "span int, begin long")
-    keyed = rows.select("doc_id", "row_tag", "ids", key.alias("key")).withColumn("span", range_of("key"))
-    keyed = keyed.join(F.broadcast(begin), "span").select("span", "key", "begin", "doc_id", "row_tag", "ids")
+    keyed = placed.join(F.broadcast(begin), "span").select("span", "key", "begin", "doc_id", "row_tag", "ids")
     fields = ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
 
     def lay(table: pa.Table) -> pa.Table:
