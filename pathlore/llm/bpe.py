@@ -48,23 +48,51 @@ class MergeTable:
 
     def __init__(self, pairs: list[tuple[int, int]], products: list[int], size: int):
         self.size = size
-        keys = np.array([a * size + b for a, b in pairs])
-        order = np.argsort(keys)
-        self.keys, self.ranks, self.products = keys[order], order, np.array(products)[order]
+        self.keys = np.array([a * size + b for a, b in pairs] + [-1])
+        self.ranks = np.append(np.arange(len(pairs)), NEVER)
+        self.products = np.array([*products, 0])
+        # Open addressing: a slot holds the number of a merge, or that of the last, empty entry.
+        self.mask = (1 << max(8, (16 * len(pairs)).bit_length())) - 1
+        self.slots = np.full(self.mask + 1, len(pairs), "int32")
+        todo = np.arange(len(pairs))
+        at = self.hash(self.keys[:-1])
+        while len(todo):
+            free = self.slots[at] == len(pairs)
+            self.slots[at[free]] = todo[free]
+            lost = self.slots[at] != todo
+            todo, at = todo[lost], (at[lost] + 1) & self.mask
+
+    def hash(self, key: np.ndarray) -> np.ndarray:
+        x = key * 0x9E3779B97F4A7
+        return (x ^ (x >> 23)) & self.mask
 
     def look_up(self, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Rank of the merge of each pair, and the token that it makes."""
         key = a * self.size + b
-        at = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
-        return np.where(self.keys[at] == key, self.ranks[at], NEVER), self.products[at]
+        at = self.hash(key)
+        found = self.slots[at].astype("int64")
+        empty = len(self.keys) - 1
+        wrong = np.flatnonzero((self.keys[found] != key) & (found != empty))
+        while len(wrong):
+            at[wrong] = (at[wrong] + 1) & self.mask
+            found[wrong] = self.slots[at[wrong]]
+            wrong = wrong[(self.keys[found[wrong]] != key[wrong]) & (found[wrong] != empty)]
+        return self.ranks[found], self.products[found]
 
     def merge_all(self, ids: np.ndarray, owner: np.ndarray, words: int) -> tuple[np.ndarray, np.ndarray]:
         """Exact merging of many words: in each round every word makes its merge of least rank. Flat ids, and lengths."""
         out_ids, out_owner = [np.zeros(0, "int64")], [np.zeros(0, "int64")]
+        rank, made = np.full(len(ids), NEVER), np.zeros(len(ids), "int64")
+
+        def rate(at: np.ndarray) -> None:
+            """Rank the pairs that begin at these places."""
+            at = at[(at >= 0) & (at < len(ids) - 1)]
+            rank[at], made[at] = self.look_up(ids[at], ids[at + 1])
+            rank[at[owner[at] != owner[at + 1]]] = NEVER
+
+        rate(np.arange(len(ids) - 1))
         while len(ids):
-            rank, made = self.look_up(ids[:-1], ids[1:])
-            rank[owner[:-1] != owner[1:]] = NEVER
-            rank = np.append(rank, NEVER)
+            rank[-1] = NEVER
             first = np.flatnonzero(np.concatenate([[True], owner[1:] != owner[:-1]]))
             least = np.repeat(np.minimum.reduceat(rank, first), np.diff(np.append(first, len(ids))))
             done = least == NEVER
@@ -80,7 +108,9 @@ class MergeTable:
             ids[at] = made[at]
             keep = ~done
             keep[at + 1] = False
-            ids, owner = ids[keep], owner[keep]
+            place = np.cumsum(keep)[at] - 1
+            ids, owner, rank, made = ids[keep], owner[keep], rank[keep], made[keep]
+            rate(np.concatenate([place, place - 1]))
         ids, owner = np.concatenate(out_ids), np.concatenate(out_owner)
         return ids[np.argsort(owner, kind="stable")], np.bincount(owner, minlength=words)
 

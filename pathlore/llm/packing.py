@@ -22,6 +22,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -34,9 +35,17 @@ QUANTILES = (1 << BITS) - 1
 SPREAD = 24
 #: Words that a worker remembers.
 REMEMBERED = 250_000
+#: Rows whose chunks are looked up together.
+ROWS_AT_ONCE = 512
 #: Runs of these alone are one word.
 SIGNS = frozenset(".,;:!?()|-/") | frozenset((".,", "!!", "...", "--"))
-WORD = re.compile(r"\w+|[^\w\s]+")
+WORD = re.compile(r"\w+|[^\w\s]+|\n")
+
+
+def spread(starts: np.ndarray, lens: np.ndarray) -> np.ndarray:
+    """The places start, start + 1, ... of each run."""
+    ends = np.cumsum(lens)
+    return np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(starts - (ends - lens), lens)
 
 
 class ChunkTokenizer:
@@ -67,7 +76,8 @@ class ChunkTokenizer:
     def forget(self) -> None:
         self.known: dict[str, int] = {}
         self.flat, self.used = np.zeros(1 << 16, "uint32"), 0
-        self.starts, self.lens = np.zeros(0, "int64"), np.zeros(0, "int64")
+        self.starts, self.lens = np.zeros(1, "int64"), np.zeros(1, "int64")
+        self.known["\n"] = 0  # parts chunks, and has no ids
 
     def learn(self, words: list[str]) -> None:
         # Letters alone and signs alone are one word of the vocabulary's pattern: their merges are made together.
@@ -95,20 +105,49 @@ class ChunkTokenizer:
         self.lens = np.concatenate([self.lens, lens])
         self.used += n
 
+    def lookup(self, words: list[str]) -> np.ndarray:
+        """Numbers of words in the memory; new ones are learnt."""
+        at = np.fromiter(map(self.known.get, words, itertools.repeat(-1)), "int64", len(words))
+        missing = np.flatnonzero(at < 0)
+        if len(missing):
+            new = [words[i] for i in missing.tolist()]
+            self.learn(list(dict.fromkeys(new)))
+            at[missing] = np.fromiter(map(self.known.__getitem__, new), "int64", len(new))
+        return at
+
+    def encode_chunks(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Flat ids and lengths of distinct chunks."""
+        odd = [("'" in c or "_" in c) for c in chunks]
+        words = WORD.findall("\n".join("" if o else c for c, o in zip(chunks, odd, strict=True)))
+        at = self.lookup(words)
+        ends = np.flatnonzero(at == self.known["\n"])
+        lens = self.lens[at]
+        total = np.concatenate([[0], np.cumsum(lens)])
+        bounds = np.concatenate([[0], total[ends], total[-1:]])
+        flat, sizes = self.gather(at, lens), np.diff(bounds)
+        if any(odd):
+            where = np.flatnonzero(odd)
+            at = self.lookup([chunks[i] for i in where.tolist()])
+            more = self.lens[at]
+            owner = np.concatenate([np.repeat(np.arange(len(chunks)), sizes), np.repeat(where, more)])
+            flat = np.concatenate([flat, self.gather(at, more)])[np.argsort(owner, kind="stable")]
+            sizes[where] = more
+        return flat, sizes
+
+    def gather(self, at: np.ndarray, lens: np.ndarray) -> np.ndarray:
+        return self.flat[spread(self.starts[at], lens)]
+
     def encode_batch(self, texts: list[str]) -> Iterator[np.ndarray]:
         if len(self.known) > REMEMBERED:
             self.forget()
         plain = [self.is_plain(t) and not any(a in t for a in self.added) for t in texts]
-        chunks = [() if not p else low.split() if "'" in low or "_" in low else WORD.findall(low) for p, low in ((p, t.lower() if p else "") for t, p in zip(texts, plain, strict=True))]
-        words = list(itertools.chain.from_iterable(chunks))
-        new = [w for w in dict.fromkeys(words) if w not in self.known]
-        if new:
-            self.learn(new)
-        at = np.fromiter(map(self.known.__getitem__, words), "int64", len(words))
-        lens = self.lens[at]
-        ends = np.cumsum(lens)
-        ids = self.flat[np.arange(ends[-1]) + np.repeat(self.starts[at] - (ends - lens), lens)] if words else np.zeros(0, "uint32")
-        bounds = np.concatenate([[0], ends])[np.cumsum([0, *map(len, chunks)])]
+        parts = pc.utf8_split_whitespace(pa.array([t.lower() if p else "" for t, p in zip(texts, plain, strict=True)], pa.string()))
+        chunks = parts.flatten().dictionary_encode()
+        at = chunks.indices.to_numpy()
+        flat, sizes = self.encode_chunks(chunks.dictionary.to_pylist())
+        lens = sizes[at]
+        ids = flat[spread((np.cumsum(sizes) - sizes)[at], lens)]
+        bounds = np.concatenate([[0], np.cumsum(lens)])[parts.offsets.to_numpy()]
         for i, t in enumerate(texts):
             yield ids[bounds[i] : bounds[i + 1]] if plain[i] else np.array(self.model.encode(t, add_special_tokens=False).ids, "uint32")
 
@@ -173,8 +212,8 @@ def tokenize(docs: DataFrame, path: str, end_id: int = 1) -> DataFrame:
         tok = tokenizer(path)
         signs = hashed_directions(tok.size, DIMS)
         kind = id_kind(tok.size)
-        for at in range(0, batch.num_rows, 256):
-            part = batch.slice(at, 256)
+        for at in range(0, batch.num_rows, ROWS_AT_ONCE):
+            part = batch.slice(at, ROWS_AT_ONCE)
             n, ids, proj = [], [], []
             for x in tok.encode_batch([t or "" for t in part.column("text").to_pylist()]):
                 proj.append(signs[x].sum(axis=0, dtype="int64") / max(1, len(x)))
@@ -208,6 +247,7 @@ def pack_tokens(rows: DataFrame, kind: str, length: int = 2048, ranges: int = 0,
         return hilbert_key(np.minimum(cells, (1 << BITS) - 1), BITS)
 
     def key_of(p0: pd.Series, p1: pd.Series, p2: pd.Series, p3: pd.Series, spread: pd.Series) -> pd.Series:
+        _LOADED.clear()  # the ids are made: a worker needs the tokenizer's memory no more
         return pd.Series((curve(p0, p1, p2, p3) << SPREAD) + spread.to_numpy("int64"))
 
     columns = ["p0", "p1", "p2", "p3", F.pmod(F.xxhash64("row_tag"), F.lit(1 << SPREAD))]
