@@ -36,7 +36,7 @@ SPREAD = 24
 #: Words that a worker remembers.
 REMEMBERED = 250_000
 #: Rows whose chunks are looked up together.
-ROWS_AT_ONCE = 512
+ROWS_AT_ONCE = 1024
 #: Runs of these alone are one word.
 SIGNS = frozenset(".,;:!?()|-/") | frozenset((".,", "!!", "...", "--"))
 WORD = re.compile(r"\w+|[^\w\s]+|\n")
@@ -138,6 +138,12 @@ class ChunkTokenizer:
         return self.flat[spread(self.starts[at], lens)]
 
     def encode_batch(self, texts: list[str]) -> Iterator[np.ndarray]:
+        ids, bounds = self.encode_flat(texts)
+        for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
+            yield ids[a:b]
+
+    def encode_flat(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of all texts end to end, and where each begins and the last ends."""
         if len(self.known) > REMEMBERED:
             self.forget()
         plain = [self.is_plain(t) and not any(a in t for a in self.added) for t in texts]
@@ -148,8 +154,10 @@ class ChunkTokenizer:
         lens = sizes[at]
         ids = flat[spread((np.cumsum(sizes) - sizes)[at], lens)]
         bounds = np.concatenate([[0], np.cumsum(lens)])[parts.offsets.to_numpy()]
-        for i, t in enumerate(texts):
-            yield ids[bounds[i] : bounds[i + 1]] if plain[i] else np.array(self.model.encode(t, add_special_tokens=False).ids, "uint32")
+        if not all(plain):
+            each = [ids[a:b] if p else np.array(self.model.encode(t, add_special_tokens=False).ids, "uint32") for a, b, p, t in zip(bounds[:-1], bounds[1:], plain, texts, strict=True)]
+            ids, bounds = np.concatenate(each), np.cumsum([0, *map(len, each)])
+        return ids, bounds
 
     @staticmethod
     def is_plain(t: str) -> bool:
@@ -210,18 +218,24 @@ def tokenize(docs: DataFrame, path: str, end_id: int = 1) -> DataFrame:
 
     def work(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         tok = tokenizer(path)
-        signs = hashed_directions(tok.size, DIMS)
+        signs = np.ascontiguousarray(hashed_directions(tok.size, DIMS).T).astype("int32")
         kind = id_kind(tok.size)
         for at in range(0, batch.num_rows, ROWS_AT_ONCE):
             part = batch.slice(at, ROWS_AT_ONCE)
-            n, ids, proj = [], [], []
-            for x in tok.encode_batch([t or "" for t in part.column("text").to_pylist()]):
-                proj.append(signs[x].sum(axis=0, dtype="int64") / max(1, len(x)))
-                x = np.append(x, end_id)
-                n.append(len(x))
-                ids.append(x.astype(kind).tobytes())
-            proj = np.array(proj)
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(n, pa.int64()), pa.array(ids, pa.binary()), *(pa.array(proj[:, d], pa.float32()) for d in range(DIMS))], ["doc_id", "n_tokens", "ids", *(f"p{d}" for d in range(DIMS))])
+            flat, bounds = tok.encode_flat([t or "" for t in part.column("text").to_pylist()])
+            n = np.diff(bounds)
+            # Sums of signs up to each token: a row's projection is the difference of two of them, over its length.
+            sums = np.zeros((DIMS, len(flat) + 1), "int32")
+            for d in range(DIMS):
+                np.cumsum(signs[d][flat], out=sums[d, 1:])
+            proj = (sums[:, bounds[1:]] - sums[:, bounds[:-1]]) / np.maximum(n, 1)
+            laid = np.full(len(flat) + len(n), end_id, kind)
+            laid[np.arange(len(flat)) + np.repeat(np.arange(len(n)), n)] = flat
+            ends = (bounds[1:] + np.arange(1, len(n) + 1)) * laid.itemsize
+            raw, ids = laid.tobytes(), []
+            for a, b in zip(np.concatenate([[0], ends[:-1]]).tolist(), ends.tolist(), strict=True):
+                ids.append(raw[a:b])
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(n + 1, pa.int64()), pa.array(ids, pa.binary()), *(pa.array(proj[d], pa.float32()) for d in range(DIMS))], ["doc_id", "n_tokens", "ids", *(f"p{d}" for d in range(DIMS))])
 
     return map_batches(docs.select("doc_id", "text"), work, "doc_id long, n_tokens long, ids binary, " + ", ".join(f"p{d} float" for d in range(DIMS)))
 
