@@ -240,7 +240,7 @@ class Evaluator:
             if not rows:
                 continue
             links = {k: (lambda r, g=g: self.advance(r, g)) for k, g in inner.items()}
-            at |= self._fixpoint(rows, links, part)
+            at |= self._fixpoint(rows, links, part, self._populations(n, part))
         found = [at[s] if at[s] is not None else self.identity() for s in sorted(a.finals) if s in at]
         if not found:
             return self.graph.spark.createDataFrame([], "src long, node long")
@@ -258,14 +258,33 @@ class Evaluator:
             ahead |= more
             back |= less
 
-    def _fixpoint(self, seeds: dict[int, DataFrame], links: dict[tuple[int, int], Callable], part: list[int]) -> dict[int, DataFrame]:
+    def _populations(self, n: int, part: list[int]) -> dict[int, int]:
+        """How many nodes a state can hold, from the kinds that its edges lead to; states without an estimate are absent."""
+        out = {}
+        for s in part:
+            kinds: set[str] | None = set()
+            for x, symbol, y in self.book[n].moves:
+                if y != s or kinds is None or x == y:
+                    continue
+                role = next(iter(symbol.roles), None) if isinstance(symbol, EdgeStep) else None
+                if role is None or role.name not in self.graph.roles:
+                    kinds = kinds if isinstance(symbol, EdgeStep) and role is not None else None
+                elif role.name in self.graph.ends:
+                    kinds.add(self.graph.ends[role.name][0 if role.inverse else 1])
+                else:
+                    kinds = None
+            if kinds:
+                out[s] = sum(self.graph.kind_size(k) for k in kinds if k in self.graph.kinds)
+        return out
+
+    def _fixpoint(self, seeds: dict[int, DataFrame], links: dict[tuple[int, int], Callable], part: list[int], populations: dict[int, int] | None = None) -> dict[int, DataFrame]:
         """All rows of the states of a cyclic part, semi-naively.
 
         Only the states that cut all cycles are iterated: a round takes their new rows through the other states, which are
         in topological order then, in one plan. Visited rows stay as the parts in which they came and are merged when there
         are many. Only whether a round brought rows comes to the driver.
         """
-        cut = cycle_cut(part, set(links))
+        cut = cycle_cut(part, set(links), populations)
         rest = [p[0] for p in parts_of(set(part) - set(cut), {k for k in links if not set(k) & set(cut)})]
         columns = next(iter(seeds.values())).columns
 
@@ -304,8 +323,9 @@ class Evaluator:
         return spread(by_state(reduce(DataFrame.unionByName, parts)), seeds)
 
 
-def cycle_cut(part: list[int], moves: set[tuple[int, int]]) -> list[int]:
-    """States without which the part has no cycle: greedily the one on most moves."""
+def cycle_cut(part: list[int], moves: set[tuple[int, int]], populations: dict[int, int] | None = None) -> list[int]:
+    """States without which the part has no cycle: greedily the one that can hold fewest nodes, then the one on most moves."""
+    held = populations or {}
     left, cut = set(part), []
     while True:
         own = {(x, y) for x, y in moves if x in left and y in left}
@@ -313,7 +333,7 @@ def cycle_cut(part: list[int], moves: set[tuple[int, int]]) -> list[int]:
         if not loops:
             return cut
         states = {s for p in loops for s in p}
-        worst = max(sorted(states), key=lambda s: ((s, s) in own, sum(x == s for x, y in own if y in states) * sum(y == s for x, y in own if x in states)))
+        worst = max(sorted(states), key=lambda s: ((s, s) in own, -held.get(s, max(held.values(), default=0)), sum(x == s for x, y in own if y in states) * sum(y == s for x, y in own if x in states)))
         cut.append(worst)
         left.remove(worst)
 

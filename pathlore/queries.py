@@ -9,9 +9,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pathlore import workload
-from pathlore.operators import chase, consistency, statistics, temporal
+from pathlore.operators import chase, closure, consistency, statistics, temporal
 from pathlore.operators.certain import certain_answers, plain_answers
 from pathlore.operators.evaluate import answer
+from pathlore.operators.runtime_jumps import answer_with_runtime_jumps
 from pathlore.plans.ontology import parse_ontology, shop
 from pathlore.plans.query import parse_query
 from pathlore.plans.rewrite import RewriteOptions, rewrite
@@ -70,7 +71,7 @@ def workload_query(name: str) -> Query:
         if name != "v4_tracked_brand":
             return certain_answers(workload.QUERIES[name], g, shop())
         pairs = certain_answers(workload.QUERIES[name], g, shop(), decode=False)
-        return pairs.join(F.broadcast(g.kinds["brand"].rows), pairs.y == F.col("node_id")).select(natural_key("x").alias("x"), F.col("name").alias("y"))
+        return pairs.join(g.kinds["brand"].rows, pairs.y == F.col("node_id")).select(natural_key("x").alias("x"), F.col("name").alias("y"))
 
     return run
 
@@ -107,6 +108,14 @@ def v3_on_bounded_chase(spark: SparkSession, sf_dir: str) -> DataFrame:
     return plain_answers(workload.QUERIES["v3_handled_supplier"], chase.bounded_chase(build_graph(spark, sf_dir, ("commerce",)), shop(), 1))
 
 
+def jumping(name: str) -> Query:
+    return lambda spark, sf_dir: answer_with_runtime_jumps(parse_query(workload.QUERIES[name]), build_graph(spark, sf_dir, ("commerce",)), shop())
+
+
+for _name in ("v1_licensed", "v2_accredited_region", "v3_handled_supplier", "v5_licence_star"):
+    query(WORKLOAD_SQL[_name], f"{_name}_runtime_jumps")(jumping(_name))
+
+
 # ---- rules and rewriting variants ---------------------------------------------------------------------------------------
 
 
@@ -276,7 +285,7 @@ def node_signature(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("SELECT n_regionkey, c_mktsegment, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY ROLLUP (n_regionkey, c_mktsegment)")
 def rollup_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
-    nation = F.broadcast(table(spark, sf_dir, "nation"))
+    nation = table(spark, sf_dir, "nation")
     return table(spark, sf_dir, "customer").join(nation, F.col("c_nationkey") == F.col("n_nationkey")).rollup("n_regionkey", "c_mktsegment").agg(F.count("*").alias("n"))
 
 
@@ -420,3 +429,36 @@ def skip_by_relevance(spark: SparkSession, sf_dir: str) -> DataFrame:
             rows.append((name, way, s.tuples_minimal, s.rewrite_ms, s.infeasible))
     return spark.createDataFrame(rows, "query string, way string, tuples int, rewrite_ms double, infeasible boolean")
 
+
+
+@query()
+def rewriting_correlations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How the rewriting time moves with the size of the output and with the relevant candidates, by ontology."""
+    out = []
+    for name, onto in (("flat", workload.scaled_ontology()), ("shop", workload.shop_18())):
+        stats = list(workload.rewriting_stats(onto, workload.generate_queries(onto)))
+        rows = spark.createDataFrame([(name, s["transitions_in"], s["transitions_out"], float(s["candidates_relevant"]), s["rewrite_ms"], s["infeasible"]) for s in stats], "ontology string, transitions_in int, transitions_out int, relevant double, ms double, infeasible boolean")
+        out.append(
+            rows.groupBy("ontology").agg(
+                F.corr("transitions_in", "ms").alias("by_input"), F.corr("transitions_out", "ms").alias("by_output"), F.try_divide(F.covar_pop("relevant", "ms"), F.stddev_pop("relevant") * F.stddev_pop("ms")).alias("by_candidates"),
+                F.percentile("ms", 0.5).alias("median_ms"), F.percentile("ms", 0.95).alias("p95_ms"), F.count_if("infeasible").alias("infeasible"),
+            )
+        )
+    return reduce(DataFrame.unionByName, out)
+
+
+@query()
+def evaluate_generated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Guided random queries, rewritten and evaluated under a timeout of 20 s each."""
+    onto, rows = workload.shop_18(), []
+    for text in workload.generate_queries(onto, 8, seed=42, guided=True):
+        r = rewrite(parse_query(text), onto)
+        t = statistics.timed_answer(lambda q=r.query: answer(q, build_graph(spark, sf_dir, ("commerce",))), 20, spark)
+        rows.append((text, r.stats.transitions_in, r.stats.transitions_out, r.stats.rewrite_ms, t["eval_ms"], t["timed_out"], t["answers"]))
+    return spark.createDataFrame(rows, "query string, transitions_in int, transitions_out int, rewrite_ms double, eval_ms double, timed_out boolean, answers long")
+
+
+@query()
+def concept_closure(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The closure of the large ontology's inclusions, by doubling joins."""
+    return closure.saturate_concepts_df(closure.direct_inclusions(spark, workload.scaled_ontology()))

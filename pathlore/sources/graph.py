@@ -61,6 +61,14 @@ class PropertyGraph:
     kinds: dict[str, NodeKind] = field(default_factory=dict)
     roles: dict[str, DataFrame] = field(default_factory=dict)
     extra: dict[str, DataFrame] = field(default_factory=dict)
+    #: Which kinds a role leads from and to, where known: used for estimates only.
+    ends: dict[str, tuple[str, str]] = field(default_factory=dict)
+    _sizes: dict[str, int] = field(default_factory=dict)
+
+    def kind_size(self, kind: str) -> int:
+        if kind not in self._sizes:
+            self._sizes[kind] = self.kinds[kind].rows.count()
+        return self._sizes[kind]
 
     # ---- what the data have (the reduced signature) ------------------------------------------------------------
 
@@ -152,6 +160,16 @@ def commerce(g: PropertyGraph, read: Callable[[str], DataFrame]) -> None:
         "supplies": edge(lines, supplier_of, part_of).distinct(),
         "ofBrand": edge(part, node_id("part", F.col("p_partkey")), node_id("brand", text_key(F.col("p_brand")))),
     }
+    g.ends |= {
+        "inRegion": ("nation", "region"),
+        "customerNation": ("customer", "nation"),
+        "supplierNation": ("supplier", "nation"),
+        "placed": ("customer", "order"),
+        "hasItem": ("order", "part"),
+        "shippedBy": ("order", "supplier"),
+        "supplies": ("supplier", "part"),
+        "ofBrand": ("part", "brand"),
+    }
 
 
 def activity(g: PropertyGraph, read: Callable[[str], DataFrame]) -> None:
@@ -176,6 +194,7 @@ def activity(g: PropertyGraph, read: Callable[[str], DataFrame]) -> None:
     g.roles["inConversation"] = talk.select(turn_id("conv_id", "turn").alias("src"), node_id("conversation", F.col("conv_id")).alias("dst"))
     order = W.partitionBy("conv_id").orderBy("turn")
     reply = talk.select("conv_id", "turn", F.lead("turn").over(order).alias("next"), F.lead(F.length("text")).over(order).alias("reply_chars")).where("next IS NOT NULL")
+    g.ends |= {"performed": ("customer", "event"), "nextEvent": ("event", "event"), "inConversation": ("turn", "conversation"), "nextTurn": ("turn", "turn")}
     g.roles["nextTurn"] = reply.select(turn_id("conv_id", "turn").alias("src"), turn_id("conv_id", "next").alias("dst"), "reply_chars")
 
 

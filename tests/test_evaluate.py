@@ -159,3 +159,27 @@ def test_registered_query_equals_sql(spark, duck, name):
 @pytest.mark.parametrize("name", sorted(set(registered.QUERIES) - set(registered.ORACLES)))
 def test_measures_have_rows(spark, name):
     assert registered.QUERIES[name](spark, DATA).count() > 0
+
+
+def test_runtime_jumps_equal_the_rewriting(spark):
+    from pathlore.operators.runtime_jumps import answer_with_runtime_jumps
+
+    cases = [
+        ("concept A < exists r\nconcept exists ^r < B\nrole s < t", "ans(x) <- t/r/:B(x,y)", [("s", 1, 2)], {1: (set(), {}), 2: ({"A"}, {})}),
+        ("concept A < exists r\nconcept exists ^r < B\nconcept B < exists s\nrole ^r < q", "ans(x,y) <- r/s/^s/<^r>/q/t(x,y)", [("t", 2, 1)], {1: (set(), {}), 2: ({"A"}, {})}),
+    ]
+    for axioms, text, edges, nodes in cases:
+        onto, g = parse_ontology(axioms), brute.TinyGraph.of(nodes, edges)
+        q, f = parse_query(text), frames(spark, g)
+        got = {tuple(r) for r in answer_with_runtime_jumps(q, f, onto, decode=False).collect()}
+        assert got == brute.brute_answers(rewrite(q, onto).query, g) and got
+
+
+def test_closure_frame_equals_driver(spark):
+    from pathlore.operators.closure import direct_inclusions, saturate_concepts_df
+    from pathlore.plans.ontology import saturate_concepts
+
+    onto = shop()
+    got = {(r.below, r.above) for r in saturate_concepts_df(direct_inclusions(spark, onto)).collect()}
+    want = {(str(a.left), str(a.right)) for a in saturate_concepts(onto)}
+    assert got == want
