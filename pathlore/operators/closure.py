@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pathlore.operators.staging import stage
+from pathlore.operators.staging import release, stage
 from pathlore.plans.ontology import Ontology
 from pathlore.plans.terms import Role
 
@@ -25,7 +25,9 @@ def saturate_concepts_df(inclusions: DataFrame, max_rounds: int = 64) -> DataFra
     count = seen.count()
     for _ in range(max_rounds):
         longer = seen.alias("a").join(seen.alias("b"), F.col("a.above") == F.col("b.below")).select(F.col("a.below").alias("below"), F.col("b.above").alias("above"))
+        before = seen
         seen = stage(seen.unionByName(longer).where("below <> above").distinct(), "closure")
+        release(before)
         now = seen.count()
         if now == count:
             return seen

@@ -15,7 +15,7 @@ from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pathlore.operators.staging import stage
+from pathlore.operators.staging import release, stage
 from pathlore.plans.automaton import AutomatonBook, invert
 from pathlore.plans.query import ConjunctivePathQuery
 from pathlore.plans.terms import TOP, EdgeStep, LabelTest, Nest, NodeTest
@@ -313,7 +313,11 @@ class Evaluator:
                 break
             self.stats.rounds += 1
             if len(parts) > MERGE_PARTS:
-                parts = [stage(reduce(DataFrame.unionByName, parts), "seen")]
+                merged = stage(reduce(DataFrame.unionByName, parts), "seen")
+                for old in parts:
+                    if old is not fresh:
+                        release(old)
+                parts = [merged]
             fresh = stage(reduce(DataFrame.unionByName, moved).distinct().join(reduce(DataFrame.unionByName, parts), [*columns, "state"], "left_anti"), "fresh")
             if fresh.isEmpty():
                 break
