@@ -9,32 +9,16 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from pathlore.operators.staging import release, shared_path, shared_root, stage
+
+__all__ = ["attach_groups", "connected_components", "map_batches", "partitions_for", "release", "shared_path", "shared_root", "stage", "stage_bucketed", "text_or_empty", "with_row_tag"]
+
 #: Groups larger than one ``HEAVY_PARTS``-th of all rows count as heavy; so there are fewer than that many.
 HEAVY_PARTS = 2000
 #: Lower bound on the size of a heavy group, so that small inputs have none.
 HEAVY_LEAST = 64
 
 
-def shared_root(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``, or one of our own where it is unset."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    return (root or "file:///tmp/checkpoints/pathlore").rstrip("/")
-
-
-def shared_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}"
-
-
-def stage(df: DataFrame, name: str) -> DataFrame:
-    """Write a table into the shared folder and read it back: cuts lineage, survives the loss of executors."""
-    spark = df.sparkSession
-    path = shared_path(spark, name)
-    df.write.parquet(path)
-    staged = spark.read.schema(df.schema).parquet(path)
-    staged._staged_path = path
-    return staged
-
-
 def stage_bucketed(df: DataFrame, name: str, key: str, buckets: int) -> DataFrame:
     """Write a table into the warehouse, bucketed by ``key``: later groupings by the key need no shuffle of it."""
     table = f"{name}_{uuid.uuid4().hex}"
@@ -42,15 +26,6 @@ def stage_bucketed(df: DataFrame, name: str, key: str, buckets: int) -> DataFram
     return df.sparkSession.table(table)
 
 
-def release(df: DataFrame) -> None:
-    """Delete a table that ``stage`` wrote, once nothing reads it any more."""
-    path = getattr(df, "_staged_path", None)
-    if path:
-        jvm = df.sparkSession._jvm
-        p = jvm.org.apache.hadoop.fs.Path(path)
-        p.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(p, True)
-
-
 def partitions_for(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions", "200")))
 
