@@ -249,19 +249,29 @@ class SpeculativeBpe:
         self.used += len(flat)
         self.known.update(zip(words, range(first, first + len(words)), strict=True))
 
-    def encode_words(self, words: list[str]) -> np.ndarray:
-        if len(self.known) > REMEMBERED:
-            self.forget()
-        new = [w for w in dict.fromkeys(words) if w not in self.known]
-        if new:
-            self.learn(new)
+    def lookup(self, words: list[str]) -> np.ndarray:
+        """Numbers of words in the memory; new ones are learnt."""
+        at = np.fromiter(map(self.known.get, words, itertools.repeat(-1)), "int64", len(words))
+        missing = np.flatnonzero(at < 0)
+        if len(missing):
+            new = [words[i] for i in missing.tolist()]
+            self.learn(list(dict.fromkeys(new)))
             self._starts, self._lens = np.array(self.starts), np.array(self.lens)
-        if not words:
-            return np.zeros(0, "uint32")
-        at = np.fromiter(map(self.known.__getitem__, words), "int64", len(words))
+            at[missing] = np.fromiter(map(self.known.__getitem__, new), "int64", len(new))
+        return at
+
+    def tokens(self, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Flat ids of remembered words, and where each word's ids end."""
+        if not len(at):
+            return np.zeros(0, "uint32"), np.zeros(0, "int64")
         lens = self._lens[at]
         ends = np.cumsum(lens)
-        return self.flat[np.arange(ends[-1]) + np.repeat(self._starts[at] - (ends - lens), lens)]
+        return self.flat[np.arange(ends[-1]) + np.repeat(self._starts[at] - (ends - lens), lens)], ends
+
+    def encode_words(self, words: list[str]) -> np.ndarray:
+        if len(self.known) > REMEMBERED:
+            self.forget()
+        return self.tokens(self.lookup(words))[0]
 
     def parts(self, text: str) -> Iterator[str | int]:
         """Pieces of the text, cut where no word goes on, and the ids of added tokens."""
@@ -297,17 +307,17 @@ class SpeculativeBpe:
         n = 0
 
         def out() -> Iterator[np.ndarray]:
-            ids = self.encode_words([w for ws in held for w in ws])
-            at = np.fromiter(map(self.known.__getitem__, (w for ws in held for w in ws)), "int64", n) if n else np.zeros(0, "int64")
-            lens = self._lens[at] if n else at
-            bounds = np.concatenate([[0], np.cumsum(lens)])[np.cumsum([0, *map(len, held)])]
-            for i in range(len(held)):
-                yield ids[bounds[i] : bounds[i + 1]]
+            if len(self.known) > REMEMBERED:
+                self.forget()
+            ids, ends = self.tokens(self.lookup(list(itertools.chain.from_iterable(held))))
+            bounds = np.concatenate([[0], ends])[np.cumsum([0, *map(len, held)])]
+            for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
+                yield ids[a:b]
 
         for text in texts:
             text = text or ""
             if len(text) > PIECE or (self.cut and self.cut.search(text)):
-                yield from out()
+                yield from list(out())
                 held, n = [], 0
                 yield self.encode(text)
             else:
