@@ -21,7 +21,7 @@ from pathlore.llm.common import map_batches
 
 #: Base limits: least words; most percent of words in repeated windows; words of a window.
 LEAST_WORDS, MOST_REPEATED, WINDOW = 10, 20, 5
-#: Line limits: share of marks among characters, share of separators among words, words without end punctuation, share of capitals.
+#: Line limits: share of marks among characters, share of separators among words, words of a line that capitals are judged in, share of capitals.
 MOST_MARKS, MOST_SEPARATORS, BARE_WORDS, MOST_CAPITALS = 0.10, 0.30, 8, 0.8
 #: Share of the words that the removed lines may hold.
 MOST_REMOVED = 0.5
@@ -44,8 +44,8 @@ BOILERPLATE = (
     "terms of use",
     "use cookies",
 )
-#: Marks that count as symbols; separators of navigation lines; ends of sentences.
-SYMBOLS, SEPARATORS, ENDS = "#*$%&|<>", ("|", "»", "›", "•", "·", "/", "::", "-->", "→"), ".!?…\"'”’»)。！？:;,"
+#: Marks that count as symbols; separators of navigation lines.
+SYMBOLS, SEPARATORS = "#*$%&|<>", ("|", "»", "›", "•", "·", "/", "::", "-->", "→")
 SPACES = " \t\n\x0b\x0c\r"
 MARKS = re.compile("[" + re.escape(SYMBOLS) + "]")
 PHRASES = re.compile("|".join(map(re.escape, BOILERPLATE)))

@@ -17,13 +17,12 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pathlore.llm.common import attach_groups, connected_components, map_batches, stage, with_row_tag
+from pathlore.llm.common import attach_groups, connected_components, map_batches, stage
 
 WORDS_IN_SHINGLE, SEED, RADIUS = 3, 42, 2
 #: Fingerprints on which the upper tree is fitted; home fingerprints that a shard should have; fingerprints compared in a block.

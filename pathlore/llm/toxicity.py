@@ -169,18 +169,8 @@ class ToxicityModel:
         return self.memo[key]
 
 
-def log_likelihood_ratio(a: float, b: float, p: float, n: float) -> float:
-    """G-squared of a term with a of p toxic and b of n clean examples."""
-    total, seen = p + n, a + b
-    out = 0.0
-    for x, e in ((a, p * seen / total), (b, n * seen / total), (p - a, p * (total - seen) / total), (n - b, n * (total - seen) / total)):
-        if x > 0 and e > 0:
-            out += 2 * x * np.log(x / e)
-    return out
-
-
 def choose_terms(counts: DataFrame, toxic: int, clean: int) -> dict[str, int]:
-    """Number the terms that are more frequent in toxic examples, best first."""
+    """Number the terms that are more frequent in toxic examples by G-squared (the log-likelihood ratio), best first."""
     ratio = lambda x, e: F.when((x > 0) & (e > 0), 2 * x * F.log(x / e)).otherwise(0.0)
     a, b, total = F.col("toxic").cast("double"), F.col("clean").cast("double"), toxic + clean
     seen = a + b
