@@ -6,7 +6,7 @@ import operator
 from dataclasses import dataclass, field
 
 from pathlore.plans.automaton import AutomatonBook
-from pathlore.plans.ontology import Exists, Name, Ontology, TestSet
+from pathlore.plans.ontology import Name, Ontology, TestSet
 from pathlore.plans.query import ConjunctivePathQuery
 from pathlore.plans.terms import TOP, EdgeStep, LabelTest, Nest, NodeTest, Role
 

@@ -34,9 +34,6 @@ class DataTest:
         return f"{self.key}{self.op}{self.value!r}" if isinstance(self.value, str) else f"{self.key}{self.op}{self.value}"
 
 
-Tests = frozenset  # of DataTest
-
-
 def show_tests(tests) -> str:
     return ",".join(sorted(map(str, tests)))
 
@@ -105,5 +102,3 @@ class Nest:
     def __str__(self) -> str:
         return f"<{self.automaton}{'' if self.start is None else f'@{self.start}'}>"
 
-
-Symbol = EdgeStep | NodeTest | LabelTest | Nest

@@ -462,3 +462,10 @@ def evaluate_generated(spark: SparkSession, sf_dir: str) -> DataFrame:
 def concept_closure(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The closure of the large ontology's inclusions, by doubling joins."""
     return closure.saturate_concepts_df(closure.direct_inclusions(spark, workload.scaled_ontology()))
+
+
+@query()
+def ontology_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sizes of the ontologies."""
+    rows = [(name, *statistics.ontology_statistics(onto).values()) for name, onto in (("flat", workload.scaled_ontology()), ("shop", shop()), ("shop_18", workload.shop_18()))]
+    return spark.createDataFrame(rows, "ontology string, concepts int, roles int, concept_axioms int, role_axioms int, existentials int")
