@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import uuid
 from collections.abc import Callable, Iterable, Iterator
 
@@ -39,6 +42,14 @@ def with_row_tag(df: DataFrame) -> DataFrame:
     return df.withColumn("row_tag", F.monotonically_increasing_id())
 
 
+def give_back() -> None:
+    """Return freed memory to the system: Python workers stay alive between tasks and stages."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def map_batches(df: DataFrame, work: Callable[[pa.RecordBatch], Iterable[pa.RecordBatch] | None], schema: str) -> DataFrame:
     """``mapInArrow`` with a function of one batch."""
 
@@ -46,6 +57,7 @@ def map_batches(df: DataFrame, work: Callable[[pa.RecordBatch], Iterable[pa.Reco
         for batch in batches:
             if batch.num_rows:
                 yield from work(batch)
+        give_back()
 
     return df.mapInArrow(each, schema)
 

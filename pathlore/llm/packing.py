@@ -34,9 +34,9 @@ QUANTILES = (1 << BITS) - 1
 #: Bits of the key that hold a hash of the row.
 SPREAD = 24
 #: Words that a worker remembers.
-REMEMBERED = 250_000
+REMEMBERED = 200_000
 #: Rows whose chunks are looked up together.
-ROWS_AT_ONCE = 1024
+ROWS_AT_ONCE = 256
 #: Runs of these alone are one word.
 SIGNS = frozenset(".,;:!?()|-/") | frozenset((".,", "!!", "...", "--"))
 WORD = re.compile(r"\w+|[^\w\s]+|\n")

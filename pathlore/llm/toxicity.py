@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from pathlore.llm.common import map_batches, release, stage
+from pathlore.llm.common import give_back, map_batches, release, stage
 
 #: Labelled rows of the sample; terms kept; least log-likelihood ratio and frequency ratio of a term; least toxic examples with it.
 EXAMPLES, TERMS, LEAST_RATIO, LEAST_LIFT, LEAST_SEEN = 16_000, 2_000, 22.0, 2.0, 3
@@ -33,7 +33,7 @@ NEIGHBOURS, BLOCK, NEAR = 15, 64, 0.05
 SHRINK = 2
 PREFIXES = (3, 4, 5, 6)
 #: Scores that a worker remembers, by the text's terms.
-REMEMBERED = 5_000
+REMEMBERED = 1_000
 WORD = re.compile(r"[^\W_]+")
 
 
@@ -208,6 +208,7 @@ def train(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES) -> Toxic
             docs_seen += batch.num_rows
             for t in batch.column("text"):
                 df.update(term_counts(t.as_py(), terms).keys())
+        give_back()
         yield pa.RecordBatch.from_arrays([pa.array([-1, *df], pa.int32()), pa.array([docs_seen, *df.values()], pa.int64())], ["term", "df"])
 
     if terms:
