@@ -2,15 +2,18 @@
 
 Templates are cut into lower-case words of letters and digits. Of the hashes of GRAM neighbouring words, the least of each
 WINDOW goes into an inverted index: gram -> (template, place). A document's grams are looked up; hits of one
-template on nearby diagonals make a candidate, and an alignment within BAND words of the diagonal gives the matched
+template on one diagonal make a candidate, and an alignment within BAND words of the diagonal gives the matched
 share of the template and the span in the text. Of overlapping spans the one with more matched words stays,
-then that with larger coverage, then by template name.
+then that with larger coverage, then by template name, then the earlier one; each diagonal is aligned again on the words that the
+spans found so far leave, so neighbouring notices of one template are all found.
 
 A null text is an empty one and has no spans. Repeated rows give their spans each time; null ids are carried through.
 """
 
 from __future__ import annotations
 
+import bisect
+import heapq
 import re
 import zlib
 from collections import defaultdict
@@ -56,20 +59,29 @@ def align(template: list[int], words: list[int], shift: int, band: int = BAND) -
 
     Ties prefer the shorter span, then the earlier one.
     """
-    best: dict[int, tuple[int, int, int]] = {}  # place in words -> (matched, -first, last) of the best match ending there
+    best: dict[int, tuple[int, int, int]] = {}  # place in words -> (matched, first, last) of the best match ending there
     for i, t in enumerate(template):
         fresh = {}
         for j in range(max(0, i + shift - band), min(len(words), i + shift + band + 1)):
             if words[j] == t:
-                before = max(((m, f, e) for at, (m, f, e) in best.items() if at < j), default=(0, -j, j))
-                fresh[j] = (before[0] + 1, before[1] if before[0] else -j, j)
+                before = max(((m, f, e) for at, (m, f, e) in best.items() if at < j), default=(0, j, j))
+                fresh[j] = (before[0] + 1, before[1] if before[0] else j, j)
         for j, x in fresh.items():
             if j not in best or x > best[j]:
                 best[j] = x
-    if not best:
-        return 0, 0, 0
-    m, f, e = max(best.values(), key=lambda x: (x[0], x[1] - x[2], x[1]))
-    return m, -f, e
+    return max(best.values(), key=lambda x: (x[0], x[1] - x[2], -x[1]), default=(0, 0, 0))
+
+
+def free_parts(lo: int, hi: int, taken: list[tuple[int, int]]) -> Iterator[tuple[int, int]]:
+    """What of the words from ``lo`` to before ``hi`` the sorted spans (first, last) leave."""
+    for first, last in taken[max(0, bisect.bisect_left(taken, (lo, 0)) - 1) :]:
+        if first >= hi:
+            break
+        if lo < first:
+            yield lo, first
+        lo = max(lo, last + 1)
+    if lo < hi:
+        yield lo, hi
 
 
 @dataclass
@@ -116,21 +128,30 @@ class LicenseIndex:
         for p in hits.tolist():
             for name, place in self.postings[at[p]]:
                 near[name].append(p - place)
-        found = []
-        for name, shifts in near.items():
-            shifts, last, template = sorted(set(shifts)), None, self.words[name]
-            for shift in shifts:
-                if last is not None and shift - last <= BAND:
-                    continue
-                last = shift
-                lo, hi = max(0, shift - BAND), shift + len(template) + BAND
+        found: list[tuple] = []
+        taken: list[tuple[int, int]] = []
+
+        def look(name: str, shift: int, lo: int, hi: int) -> None:
+            template = self.words[name]
+            if hi - lo >= LEAST_COVERAGE * len(template):
                 matched, first, end = align(template, ids[lo:hi].tolist(), shift - lo)
                 if matched >= LEAST_COVERAGE * len(template):
-                    found.append((matched, matched / len(template), name, lo + first, lo + end))
+                    heapq.heappush(found, (-matched, -matched / len(template), name, lo + first, lo + end, shift, lo, hi))
+
+        for name, shifts in near.items():
+            for shift in set(shifts):
+                look(name, shift, max(0, shift - BAND), min(len(ids), shift + len(self.words[name]) + BAND))
         kept: list[tuple] = []
-        for x in sorted(found, key=lambda x: (-x[0], -x[1], x[2], x[3])):
-            if all(x[4] < k[3] or k[4] < x[3] for k in kept):
-                kept.append(x)
+        while found:
+            matched, cov, name, first, end, shift, lo, hi = heapq.heappop(found)
+            parts = [*free_parts(lo, hi, taken)]
+            if any(a <= first and end < b for a, b in parts):
+                kept.append((-matched, -cov, name, first, end))
+                bisect.insort(taken, (first, end))
+                parts = [*free_parts(lo, hi, taken)]
+            #: The diagonal goes on with the words that are left: another notice may lie within its band.
+            for part in parts:
+                look(name, shift, *part)
         if not kept:
             return []
         places = [m.span() for m in WORD.finditer(low)]
