@@ -113,6 +113,11 @@ def generate_queries(onto: Ontology, n: int = 100, seed: int = 42, max_len: int
                 step = f"({step}|{'^' * same[0][1]}{same[0][0]})"
             if nest and rng.random() < 0.2:
                 out.append(f"<{walk(2, nest - 1, at)}>")
+            #: A star needs equal ends: the step and a way back, by the same role or by another that leads there.
+            if rng.random() < p_star:
+                back = rng.choice([("^" * (not inverse)) + r, *("^" * (not v) + w for w, v, t in ways if t == to and w != r)])
+                out.append(f"({step}/{back})*")
+                continue
             out.append(step)
             at = to
         return "/".join(out)
