@@ -6,12 +6,13 @@ that key and laid end to end along the curve; every 2048 tokens start the next s
 on the curve share sequences, and only the last sequence has padding.
 
 The range of a row depends on the key and, where many rows share a key, on a hash of the row, so a third
-of all rows with one text spreads over many ranges. A null text counts as empty and has the end token alone; null and
+of all rows with one text spreads over many ranges. The number of ranges grows with the tokens (SPAN_TOKENS a range). A null text counts as empty and has the end token alone; null and
 repeated doc_ids are packed as any other row; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
+import functools
 import itertools
 import json
 import re
@@ -37,9 +38,12 @@ SPREAD = 24
 REMEMBERED = 200_000
 #: Rows whose chunks are looked up together.
 ROWS_AT_ONCE = 256
+#: Tokens of a span of the curve, which one task lays out; and the finest rank that its borders are sought to.
+SPAN_TOKENS, FINEST = 16 << 20, 1_000_000
 #: Runs of these alone are one word.
 SIGNS = frozenset(".,;:!?()|-/") | frozenset((".,", "!!", "...", "--"))
 WORD = re.compile(r"\w+|[^\w\s]+|\n")
+HIGH = re.compile("[\U00010000-\U0010ffff]")
 
 
 def spread(starts: np.ndarray, lens: np.ndarray) -> np.ndarray:
@@ -48,13 +52,21 @@ def spread(starts: np.ndarray, lens: np.ndarray) -> np.ndarray:
     return np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(starts - (ends - lens), lens)
 
 
+@functools.cache
+def odd_signs() -> re.Pattern:
+    """Signs up to U+FFFF that Python and the library may read differently: some separators, letters whose lower case depends on
+    the place or is longer, and code points that Python's tables don't assign but the library's may."""
+    unassigned = [c for c in map(chr, range(0x80, 0x10000)) if unicodedata.category(c) == "Cn"]
+    return re.compile("[\x1c-\x1fΣİ" + "".join(unassigned) + "]")
+
+
 class ChunkTokenizer:
     """Ids of the tokenizers library, remembered by lower-case word.
 
     The vocabulary's normalizer and word pattern never look across white space, nor across the border of letters and digits
     to other signs, but for apostrophes and underscores; so a text's ids are those of its words, or, with such signs, of
-    what white space parts. Where Python and the library may differ about white space, case or normal form, the library
-    takes the text.
+    what white space parts. Where Python and the library may differ about white space, case, normal form or what a code point is,
+    the library takes the text.
     """
 
     def __init__(self, path: str):
@@ -161,7 +173,10 @@ class ChunkTokenizer:
 
     @staticmethod
     def is_plain(t: str) -> bool:
-        return t.isascii() and not any(c in t for c in "\x1c\x1d\x1e\x1f") or not any(c in t for c in "\x1c\x1d\x1e\x1fΣİ") and unicodedata.is_normalized("NFC", t)
+        """Whether Python and the library agree about the text's white space, case, letters and normal form."""
+        if t.isascii():
+            return not any(c in t for c in "\x1c\x1d\x1e\x1f")
+        return not odd_signs().search(t) and not any(unicodedata.category(c) == "Cn" for c in set(HIGH.findall(t))) and unicodedata.is_normalized("NFC", t)
 
 
 _LOADED: dict[str, ChunkTokenizer] = {}
@@ -249,11 +264,9 @@ def pack(docs: DataFrame, path: str, length: int = 2048, end_id: int = 1, ranges
 def pack_tokens(rows: DataFrame, kind: str, length: int = 2048, ranges: int = 0, with_ids: bool = False) -> DataFrame:
     """Lay staged rows of ``tokenize`` along the curve."""
     spark = rows.sparkSession
-    ranges = ranges or 2 * partitions_for(spark)
     cuts = [i / (QUANTILES + 1) for i in range(1, QUANTILES + 1)]
-    stats = rows.agg(*(F.percentile_approx(f"p{d}", cuts, 10000).alias(f"p{d}") for d in range(DIMS))).first()
-    if stats[0] is None:
-        ranges = 1
+    stats = rows.agg(*(F.percentile_approx(f"p{d}", cuts, 10000).alias(f"p{d}") for d in range(DIMS)), F.sum("n_tokens").alias("tokens")).first()
+    ranges = 1 if stats.tokens is None else ranges or max(2 * partitions_for(spark), -(-stats.tokens // SPAN_TOKENS))
     bounds = [np.array(stats[d] or [0.0], "float32") for d in range(DIMS)]
 
     def curve(*p: pd.Series) -> np.ndarray:
@@ -266,7 +279,7 @@ def pack_tokens(rows: DataFrame, kind: str, length: int = 2048, ranges: int = 0,
 
     columns = ["p0", "p1", "p2", "p3", F.pmod(F.xxhash64("row_tag"), F.lit(1 << SPREAD))]
     keys = rows.select(F.pandas_udf(key_of, "long")(*columns).alias("key"))
-    inner = keys.agg(F.percentile_approx("key", [i / ranges for i in range(1, ranges)] or [0.5], 100 * ranges).alias("q")).first().q if ranges > 1 else []
+    inner = keys.agg(F.percentile_approx("key", [i / ranges for i in range(1, ranges)], min(100 * ranges, FINEST)).alias("q")).first().q if ranges > 1 else []
     place = np.array(sorted(set(inner or [])), "int64")
 
     def place_of(p0: pd.Series, p1: pd.Series, p2: pd.Series, p3: pd.Series, spread: pd.Series) -> pd.DataFrame:
