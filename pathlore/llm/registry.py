@@ -42,14 +42,29 @@ def op6_differencing_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_by_bytes(table(spark, sf_dir, "documents"), 16)
 
 
+def curation(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """Signed changes: documents labelled toxic go, those of low quality are revised (signs that are no prose are taken out)."""
+    known = labels.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("toxic").alias("toxic"), F.min("quality").alias("quality"))
+    rows = docs.select("doc_id", "source", "lang", "text").join(known, "doc_id").where("toxic = 1 OR quality = 0")
+    change = lambda sign, text: F.struct(F.lit(sign).alias("sign"), text.alias("text"))
+    old, new = change(-1, F.col("text")), change(1, F.translate("text", "#*$%&|<>", ""))
+    changes = F.when(F.col("toxic") == 1, F.array(old)).otherwise(F.array(old, new))
+    return rows.select("source", "lang", F.explode(changes).alias("change")).select("source", "lang", "change.text", "change.sign")
+
+
 def op7_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All documents as one batch of insertions, committed twice: the second commit adds nothing."""
+    """Two batches, each committed twice (the second time adds nothing): all documents come, then deletes and revisions.
+
+    The totals as of both versions: 0 after the documents came, 1 after the changes.
+    """
     docs = table(spark, sf_dir, "documents")
     counters = {"byte_bpe_50k/1": token_rollup.count_bpe(public_tokenizers.path("byte_bpe_50k.json")), "words/1": token_rollup.count_words}
     rollup = token_rollup.fresh_rollup(spark)
     for _ in range(2):
         rollup.commit("documents", docs, counters)
-    return rollup.totals()
+        rollup.commit("curation", curation(docs, table(spark, sf_dir, "labels")), counters)
+    zero, one = (rollup.totals(v).withColumn("version", F.lit(v)) for v in rollup.versions())
+    return zero.unionByName(one)
 
 
 def op8_speculative_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:

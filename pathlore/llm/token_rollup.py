@@ -1,17 +1,20 @@
 """Token counts kept as additive totals by source, language and tokenizer version.
 
 A batch of signed changes (+1 a row that comes, -1 a row that goes; a revision is both) is counted, summed up and
-committed under its batch id. A batch that is committed again changes nothing: its sums lie in a folder of their own and
-count once the folder has its success mark; a broken attempt is overwritten. Totals are the sums over all commits;
-``compact`` folds them into one.
+committed under its batch id: its sums are written aside and take their place by one rename, so a batch counts wholly or not at all and of two writers
+of one id one wins. A batch that is committed again changes nothing. Each commit then folds what is new into the
+next version of the totals, likewise by one rename; reading takes the latest version and the commits that it lacks. Earlier
+versions stay and can be read as of then. ``compact`` starts anew from the totals.
 
-A null text counts as empty (no tokens); null sources and languages form groups of their own; repeated rows count each
-time. A batch without rows commits nothing but its id.
+A null text counts as empty (no tokens); null sources and languages form groups of their own; a null sign counts as +1; repeated rows count each
+time; other columns are ignored. A batch without rows commits nothing but its id.
 """
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable, Iterator
+from urllib.parse import quote, unquote
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -23,6 +26,8 @@ from pathlore.llm.common import shared_path
 KEYS = ("source", "lang", "tokenizer")
 SUMS = ("n_docs", "n_tokens", "n_bytes")
 SCHEMA = "source string, lang string, tokenizer string, n_docs long, n_tokens long, n_bytes long"
+#: Groups that a task sums up before it hands them on.
+HELD = 100_000
 
 
 def count_words(texts: list[str]) -> list[int]:
@@ -38,6 +43,11 @@ def batch_sums(changes: DataFrame, tokenizers: dict[str, Callable[[list[str]], l
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums: dict[tuple, list[int]] = {}
+
+        def out() -> pa.RecordBatch:
+            cols, vals = ([*zip(*x, strict=True)] if sums else [[]] * 3 for x in (sums, sums.values()))
+            return pa.RecordBatch.from_arrays([*(pa.array(c, pa.string()) for c in cols), *(pa.array(v, pa.int64()) for v in vals)], [*KEYS, *SUMS])
+
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 part = batch.slice(at, 256)
@@ -49,9 +59,10 @@ def batch_sums(changes: DataFrame, tokenizers: dict[str, Callable[[list[str]], l
                         row[0] += sign
                         row[1] += sign * n
                         row[2] += sign * size
-        cols = [*zip(*sums, strict=True)] if sums else [[]] * 3
-        vals = [*zip(*sums.values(), strict=True)] if sums else [[]] * 3
-        yield pa.RecordBatch.from_arrays([*(pa.array(c, pa.string()) for c in cols), *(pa.array(v, pa.int64()) for v in vals)], [*KEYS, *SUMS])
+                if len(sums) > HELD:
+                    yield out()
+                    sums.clear()
+        yield out()
 
     sign = F.coalesce(F.col("sign"), F.lit(1)) if "sign" in changes.columns else F.lit(1)
     rows = changes.select("source", "lang", "text", sign.cast("int").alias("sign")).mapInArrow(work, SCHEMA)
@@ -59,37 +70,79 @@ def batch_sums(changes: DataFrame, tokenizers: dict[str, Callable[[list[str]], l
 
 
 class TokenRollup:
-    """Commits under ``path``, one folder a batch."""
+    """Commits under ``path``/batch=..., versions of the totals under ``path``/totals=... with the ids that they hold."""
 
     def __init__(self, spark: SparkSession, path: str):
         self.spark, self.path = spark, path.rstrip("/")
-        p = spark._jvm.org.apache.hadoop.fs.Path(self.path)
-        self._fs, self._path = p.getFileSystem(spark._jsc.hadoopConfiguration()), spark._jvm.org.apache.hadoop.fs.Path
-        self._fs.mkdirs(p)
+        self._path = spark._jvm.org.apache.hadoop.fs.Path
+        root = self._path(self.path)
+        self._fs = root.getFileSystem(spark._jsc.hadoopConfiguration())
+        self._fs.mkdirs(root)
+
+    def _named(self, kind: str) -> list[str]:
+        found = [f.getPath().getName() for f in self._fs.listStatus(self._path(self.path)) if f.isDirectory()]
+        return sorted(unquote(n.removeprefix(kind)) for n in found if n.startswith(kind))
+
+    def _place(self, name: str, tables: dict[str, DataFrame]) -> bool:
+        """Write the tables aside, then give them their name by one rename; False if the name is taken."""
+        target, aside = self._path(f"{self.path}/{name}"), f"aside-{uuid.uuid4().hex}"
+        if self._fs.exists(target):
+            return False
+        for table, rows in tables.items():
+            rows.write.parquet(f"{self.path}/{aside}/{table}")
+        source = self._path(f"{self.path}/{aside}")
+        moved, inside = self._fs.rename(source, target), self._path(target, aside)
+        lost = not moved or self._fs.exists(inside)  # a rename onto a folder moves into it: another writer was first
+        self._fs.delete(source, True)
+        self._fs.delete(inside, True)
+        return not lost
+
+    def _read(self, *tables: str) -> DataFrame:
+        return self.spark.read.schema(SCHEMA).parquet(*(f"{self.path}/{t}" for t in tables)) if tables else self.spark.createDataFrame([], SCHEMA)
+
+    def versions(self) -> list[int]:
+        return sorted(map(int, self._named("totals=")))
+
+    def _held(self, version: int | None) -> set[str]:
+        """The batch ids in a version."""
+        return {r.batch for r in self.spark.read.schema("batch string").parquet(f"{self.path}/totals={version}/batches").collect()} if version is not None else set()
 
     def committed(self) -> list[str]:
-        found = [f.getPath() for f in self._fs.listStatus(self._path(self.path)) if f.isDirectory()]
-        return sorted(p.getName().removeprefix("batch=") for p in found if p.getName().startswith("batch=") and self._fs.exists(self._path(p, "_SUCCESS")))
+        latest = self.versions()[-1:]
+        return sorted(self._held(latest[0] if latest else None) | set(self._named("batch=")))
 
     def commit(self, batch_id: str, changes: DataFrame, tokenizers: dict[str, Callable[[list[str]], list[int]]]) -> bool:
         """Count and commit; False if the batch was committed before."""
         if batch_id in self.committed():
             return False
-        batch_sums(changes, tokenizers).write.mode("overwrite").parquet(f"{self.path}/batch={batch_id}")
-        return True
-
-    def totals(self) -> DataFrame:
-        paths = [f"{self.path}/batch={b}" for b in self.committed()]
-        rows = self.spark.read.schema(SCHEMA).parquet(*paths) if paths else self.spark.createDataFrame([], SCHEMA)
+        done = self._place(f"batch={quote(batch_id, safe='')}", {"sums": batch_sums(changes, tokenizers)})
+        self.fold()
+        return done
+
+    def fold(self) -> None:
+        """Write the next version of the totals if there are commits that the latest lacks."""
+        version = (self.versions() or [None])[-1]
+        held, all_ = self._held(version), set(self.committed())
+        if all_ - held:
+            names = self.spark.createDataFrame([(b,) for b in sorted(all_)], "batch string")
+            self._place(f"totals={0 if version is None else version + 1}", {"sums": self._totals(version, all_ - held), "batches": names})
+
+    def _totals(self, version: int | None, more: set[str]) -> DataFrame:
+        rows = self._read(*([] if version is None else [f"totals={version}/sums"]), *(f"batch={quote(b, safe='')}/sums" for b in sorted(more)))
         return rows.groupBy(*KEYS).agg(*(F.sum(c).alias(c) for c in SUMS)).where("n_docs <> 0 or n_tokens <> 0 or n_bytes <> 0")
 
+    def totals(self, version: int | None = None) -> DataFrame:
+        """The totals now, or as of a version."""
+        if version is not None:
+            return self._totals(version, set())
+        latest = (self.versions() or [None])[-1]
+        return self._totals(latest, set(self.committed()) - self._held(latest))
+
     def compact(self, into: str) -> TokenRollup:
-        """A new rollup with one commit that holds the totals, and empty commits that keep the batch ids."""
+        """A new rollup that holds the totals as its first version, and the batch ids."""
         out = TokenRollup(self.spark, into)
-        self.totals().write.mode("overwrite").parquet(f"{out.path}/batch=compacted")
-        none = self.spark.createDataFrame([], SCHEMA)
-        for b in self.committed():
-            none.write.mode("overwrite").parquet(f"{out.path}/batch={b}") if b != "compacted" else None
+        names = self.spark.createDataFrame([(b,) for b in self.committed()], "batch string")
+        out._place("totals=0", {"sums": self.totals(), "batches": names})
         return out
 
 
