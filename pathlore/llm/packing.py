@@ -43,7 +43,6 @@ SPAN_TOKENS, FINEST = 16 << 20, 1_000_000
 #: Runs of these alone are one word.
 SIGNS = frozenset(".,;:!?()|-/") | frozenset((".,", "!!", "...", "--"))
 WORD = re.compile(r"\w+|[^\w\s]+|\n")
-HIGH = re.compile("[\U00010000-\U0010ffff]")
 
 
 def spread(starts: np.ndarray, lens: np.ndarray) -> np.ndarray:
@@ -54,10 +53,10 @@ def spread(starts: np.ndarray, lens: np.ndarray) -> np.ndarray:
 
 @functools.cache
 def odd_signs() -> re.Pattern:
-    """Signs up to U+FFFF that Python and the library may read differently: some separators, letters whose lower case depends on
-    the place or is longer, and code points that Python's tables don't assign but the library's may."""
+    """Signs that Python and the library may read differently: some separators, letters whose lower case depends on
+    the place or is longer, and code points that Python's tables don't assign but the library's may; and all beyond U+FFFF."""
     unassigned = [c for c in map(chr, range(0x80, 0x10000)) if unicodedata.category(c) == "Cn"]
-    return re.compile("[\x1c-\x1fΣİ" + "".join(unassigned) + "]")
+    return re.compile("[\x1c-\x1fΣİ" + "".join(unassigned) + "\U00010000-\U0010ffff]")
 
 
 class ChunkTokenizer:
@@ -176,7 +175,12 @@ class ChunkTokenizer:
         """Whether Python and the library agree about the text's white space, case, letters and normal form."""
         if t.isascii():
             return not any(c in t for c in "\x1c\x1d\x1e\x1f")
-        return not odd_signs().search(t) and not any(unicodedata.category(c) == "Cn" for c in set(HIGH.findall(t))) and unicodedata.is_normalized("NFC", t)
+        found = odd_signs().search(t)
+        if found:  # beyond U+FFFF each sign is looked at
+            odd = set(odd_signs().findall(t)) if found[0] > "\uffff" else found[0]
+            if any(c <= "\uffff" or unicodedata.category(c) == "Cn" for c in odd):
+                return False
+        return unicodedata.is_normalized("NFC", t)
 
 
 _LOADED: dict[str, ChunkTokenizer] = {}
