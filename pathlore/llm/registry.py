@@ -11,6 +11,10 @@ from pyspark.sql import functions as F
 from pathlore.llm import bpe, exact_dedup, license_scan, packing, quality, sharding, simhash, suffix_dedup, token_rollup, toxicity
 
 
+#: What the changes of op7_token_rollup go by: fewest characters of a document that stays, and the signs that revisions take out.
+SHORT, SIGNS = 60, "#*$%&|<>"
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -42,13 +46,13 @@ def op6_differencing_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_by_bytes(table(spark, sf_dir, "documents"), 16)
 
 
-def curation(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """Signed changes: documents labelled toxic go, those of low quality are revised (signs that are no prose are taken out)."""
-    known = labels.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("toxic").alias("toxic"), F.min("quality").alias("quality"))
-    rows = docs.select("doc_id", "source", "lang", "text").join(known, "doc_id").where("toxic = 1 OR quality = 0")
+def curation(docs: DataFrame) -> DataFrame:
+    """Signed changes: documents of fewer than SHORT characters go, those with signs that are no prose are revised without these."""
     change = lambda sign, text: F.struct(F.lit(sign).alias("sign"), text.alias("text"))
-    old, new = change(-1, F.col("text")), change(1, F.translate("text", "#*$%&|<>", ""))
-    changes = F.when(F.col("toxic") == 1, F.array(old)).otherwise(F.array(old, new))
+    text = F.col("text")
+    old, new = change(-1, text), change(1, F.translate(text, SIGNS, ""))
+    rows = docs.where((F.length(text) < SHORT) | text.rlike(f"[{SIGNS}]"))
+    changes = F.when(F.length(text) < SHORT, F.array(old)).otherwise(F.array(old, new))
     return rows.select("source", "lang", F.explode(changes).alias("change")).select("source", "lang", "change.text", "change.sign")
 
 
@@ -62,7 +66,7 @@ def op7_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
     rollup = token_rollup.fresh_rollup(spark)
     for _ in range(2):
         rollup.commit("documents", docs, counters)
-        rollup.commit("curation", curation(docs, table(spark, sf_dir, "labels")), counters)
+        rollup.commit("curation", curation(docs), counters)
     zero, one = (rollup.totals(v).withColumn("version", F.lit(v)) for v in rollup.versions())
     return zero.unionByName(one)
 

@@ -1,19 +1,23 @@
 """Toxicity by nearest labelled examples under exact TF-IDF cosine, with a block-max inverted index.
 
-Terms are words and the first 3 to 6 letters of longer words. A bounded sample of labelled rows (EXAMPLES
-rows, by hash order of the id) gives the examples and, by a log-likelihood ratio, the at most TERMS terms that are more
-frequent in toxic ones; document frequencies of these terms are counted over all documents. The index holds, for each
-term, the largest weight in each block of BLOCK examples: blocks are visited in order of their upper bound until it
-falls below the NEIGHBOURS-th best cosine, so results are those of an exhaustive search. Votes are weighted by distance
-and mapped to a probability by an isotonic fit to leave-one-out votes of the examples.
-
-A text without any of the terms (empty and null texts too) has no neighbour; its score is the share of toxic
-examples among those without terms. Labels without doc_id or toxic are ignored; of repeated labels the larger holds.
-Without any usable label every score is 0. Other columns and the order of rows have no influence.
+Terms are words and the first PREFIX letters of longer words. A bounded sample of labelled rows (EXAMPLES rows, by
+hash order of the id, one text a doc_id) gives the examples, and every term of theirs counts; document frequencies of these terms are
+counted over all documents. A term's weight is (1 + ln tf) * idf, times 1 + BOOST * (G2 - NOISE) where the log-likelihood ratio G2
+says that the term is more frequent in toxic examples beyond NOISE. The index holds, for each term, the largest weight in each block
+of BLOCK examples: blocks are visited in order of their upper bound until it falls below the NEIGHBOURS-th best cosine, so results are
+those of an exhaustive search (cosines are summed in single precision; those within TIE are ties). Terms that more than one in COMMON examples has are
+rows of a matrix instead of postings: their part of the cosines is known before blocks are chosen. Votes are weighted by distance and mapped to a probability by an isotonic fit to leave-one-out votes of the
+examples, which are found in tasks.
+
+A text without any term of the examples (empty and null texts too) has no neighbour; its score is the share of toxic ones among the examples
+without terms, drawn towards that of all. Labels without doc_id or toxic are ignored; of repeated labels the larger holds, of different texts of one
+labelled doc_id the last in byte order. Without any usable label every score is 0. Very long texts are taken whole. Empty
+tables give empty results; other columns and the order of rows have no influence.
 """
 
 from __future__ import annotations
 
+import itertools
 import re
 from collections import Counter
 from collections.abc import Iterator
@@ -24,37 +28,51 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from pathlore.llm.common import give_back, map_batches, release, stage
+from pathlore.llm.common import give_back, map_batches, partitions_for, release, stage
 
-#: Labelled rows of the sample; terms kept; least log-likelihood ratio and frequency ratio of a term; least toxic examples with it.
-EXAMPLES, TERMS, LEAST_RATIO, LEAST_LIFT, LEAST_SEEN = 16_000, 2_000, 22.0, 2.0, 3
-NEIGHBOURS, BLOCK, NEAR = 15, 64, 0.05
-#: Imagined examples without terms in each pool of the calibration: the terms were chosen on the same examples.
+#: Labelled rows of the sample, at most.
+EXAMPLES = 4_000
+NEIGHBOURS, BLOCK, NEAR, TIE, COMMON = 15, 64, 0.05, 1e-6, 16
+PREFIX, BOOST, NOISE = 5, 0.05, 10.0
+#: Imagined examples of the overall rate in each pool of the calibration: the boosts were found on the same examples.
 SHRINK = 2
-PREFIXES = (3, 4, 5, 6)
-#: Scores that a worker remembers, by the text's terms.
-REMEMBERED = 1_000
 WORD = re.compile(r"[^\W_]+")
 
 
-def term_counts(text: str | None, wanted: dict[str, int] | None = None) -> Counter:
-    """Terms of a text and how often they occur; only those of ``wanted`` (by its numbers) if given."""
-    words = Counter(WORD.findall((text or "").lower()))
-    out: Counter = Counter()
-    if wanted is None:
-        for w, n in words.items():
-            out[w] += n
-            for k in PREFIXES:
-                if len(w) > k:
-                    out["^" + w[:k]] += n
-        return out
-    for w, n in words.items():
-        if w in wanted:
-            out[wanted[w]] += n
-        for k in PREFIXES:
-            if len(w) > k and (t := wanted.get("^" + w[:k])) is not None:
-                out[t] += n
-    return out
+def words_of(text: str | None) -> list[str]:
+    return WORD.findall((text or "").lower())
+
+
+@dataclass
+class Terms:
+    """Numbers of words and of beginnings."""
+
+    words: dict[str, int] = field(default_factory=dict)
+    beginnings: dict[str, int] = field(default_factory=dict)
+
+    def __len__(self) -> int:
+        return len(self.words) + len(self.beginnings)
+
+    def learn(self, counts: dict[str, int]) -> tuple[np.ndarray, np.ndarray]:
+        """The terms of an example (new ones get the next numbers) and how often they occur."""
+        out: dict[int, int] = {}
+        for w, n in counts.items():
+            out[self.words.setdefault(w, len(self))] = n
+        for w, n in counts.items():
+            if len(w) > PREFIX:
+                t = self.beginnings.setdefault(w[:PREFIX], len(self))
+                out[t] = out.get(t, 0) + n
+        ids = np.fromiter(out, "int64", len(out))
+        order = np.argsort(ids)
+        return ids[order], np.fromiter(out.values(), "int64", len(out))[order]
+
+    def read(self, text: str | None) -> tuple[np.ndarray, np.ndarray]:
+        """The terms of a text in ascending order, and how often they occur; others are left out."""
+        ws = words_of(text)
+        find, none = self.beginnings.get, itertools.repeat(-1)
+        found = [*map(self.words.get, ws, none), *[find(w[:PREFIX], -1) for w in ws if len(w) > PREFIX]]
+        ids = np.array(found, "int64")
+        return np.unique(ids[ids >= 0], return_counts=True)
 
 
 def held_out(doc_id: str = "doc_id") -> Column:
@@ -62,89 +80,112 @@ def held_out(doc_id: str = "doc_id") -> Column:
     return F.coalesce(F.crc32(F.col(doc_id).cast("string").cast("binary")) % 3 == 1, F.lit(False))
 
 
+def runs(starts: np.ndarray, lens: np.ndarray) -> np.ndarray:
+    """The places start, start + 1, ... of each run."""
+    ends = np.cumsum(lens)
+    return np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(starts - (ends - lens), lens)
+
+
 @dataclass
 class ToxicityModel:
-    terms: dict[str, int]
-    idf: np.ndarray
-    vectors: list[dict[int, float]] = field(default_factory=list)  # unit length, distinct
-    toxic: np.ndarray = field(default_factory=lambda: np.zeros(0))  # examples with the vector, by label
-    clean: np.ndarray = field(default_factory=lambda: np.zeros(0))
-    evidence: list[int] = field(default_factory=list)  # an example's doc_id
+    """Example vectors (distinct, of unit length) by term and block, and the calibration."""
+
+    terms: Terms
+    weights: np.ndarray  # of a term: idf and boost
+    rate: float = 0.0  # share of toxic examples
     without: float = 0.0  # score of a text without terms
+    toxic: np.ndarray = field(default_factory=lambda: np.zeros(0, "int64"))  # examples with a vector, by label
+    clean: np.ndarray = field(default_factory=lambda: np.zeros(0, "int64"))
+    evidence: np.ndarray = field(default_factory=lambda: np.zeros(0, "int64"))  # an example's doc_id
     cuts: np.ndarray = field(default_factory=lambda: np.zeros(0))
     levels: np.ndarray = field(default_factory=lambda: np.zeros(1))
 
-    def weigh(self, counts: dict[int, int]) -> dict[int, float]:
-        w = {t: (1 + np.log(n)) * self.idf[t] for t, n in counts.items()}
-        length = float(np.sqrt(sum(x * x for x in w.values())))
-        return {t: x / length for t, x in w.items()} if length else {}
-
-    def index(self) -> None:
-        """Postings by term, their bounds by block, and each block's largest weight."""
-        n, m = len(self.vectors), len(self.idf)
-        self.blocks = -(-n // BLOCK)
-        post: list[list[tuple[int, float]]] = [[] for _ in range(m)]
-        for i, v in enumerate(self.vectors):
-            for t, x in v.items():
-                post[t].append((i, x))
-        self.ids = [np.array([i for i, _ in p], "int64") for p in post]
-        self.weights = [np.array([x for _, x in p]) for p in post]
-        self.tops = np.zeros((m, self.blocks))
-        for t in range(m):
-            np.maximum.at(self.tops[t], self.ids[t] // BLOCK, self.weights[t])
-        self.bounds = [np.searchsorted(i, np.arange(self.blocks + 1) * BLOCK) for i in self.ids]
-        self.memo: dict[tuple, tuple[float, list[int]]] = {}
-
-    def nearest(self, query: dict[int, float], skip: int = -1) -> tuple[np.ndarray, np.ndarray]:
+    def weigh(self, ids: np.ndarray, counts: np.ndarray) -> np.ndarray:
+        w = (1 + np.log(counts)) * self.weights[ids]
+        length = float(np.sqrt((w * w).sum()))
+        return w / length if length else w
+
+    def index(self, vectors: list[tuple[np.ndarray, np.ndarray]]) -> None:
+        """Postings by term and example; of each term and block, where the postings begin and their largest weight; common terms apart."""
+        lens = np.array([len(ids) for ids, _ in vectors], "int64")
+        self.vector_starts = np.concatenate([[0], np.cumsum(lens)])
+        self.vector_ids = np.concatenate([np.zeros(0, "int32"), *(ids for ids, _ in vectors)]).astype("int32")
+        self.vector_weights = np.concatenate([np.zeros(0, "float32"), *(w for _, w in vectors)]).astype("float32")
+        owner = np.repeat(np.arange(len(vectors), dtype="int32"), lens)
+        self.blocks = -(-len(vectors) // BLOCK)
+        is_common = np.bincount(self.vector_ids, minlength=len(self.terms)) * COMMON > max(BLOCK, len(vectors))
+        self.common = np.where(is_common, np.cumsum(is_common) - 1, -1)
+        mine = is_common[self.vector_ids]
+        self.matrix = np.zeros((int(is_common.sum()), self.blocks * BLOCK), "float32")
+        self.matrix[self.common[self.vector_ids[mine]], owner[mine]] = self.vector_weights[mine]
+        rare = np.flatnonzero(~mine)
+        order = rare[np.argsort(self.vector_ids[rare], kind="stable")]
+        term, self.post_ids, self.post_weights = self.vector_ids[order], owner[order], self.vector_weights[order]
+        block = self.post_ids // BLOCK
+        new = np.flatnonzero(np.concatenate([[True], (term[1:] != term[:-1]) | (block[1:] != block[:-1])])) if len(term) else np.zeros(0, "int64")
+        self.entry_blocks = block[new]
+        self.entry_tops = np.maximum.reduceat(self.post_weights, new) if len(new) else np.zeros(0, "float32")
+        self.entry_starts = np.append(new, len(term))
+        self.term_starts = np.searchsorted(term[new], np.arange(len(self.terms) + 1))
+
+    def vector(self, i: int) -> tuple[np.ndarray, np.ndarray]:
+        at = slice(self.vector_starts[i], self.vector_starts[i + 1])
+        return self.vector_ids[at], self.vector_weights[at].astype("float64")
+
+    def nearest(self, ids: np.ndarray, weights: np.ndarray, skip: int = -1) -> tuple[np.ndarray, np.ndarray]:
         """Distinct example vectors in falling order of cosine, as many as hold NEIGHBOURS examples, with all ties of the last."""
-        terms = list(query)
-        q = np.array([query[t] for t in terms])
-        upper = q @ self.tops[terms]
+        rows = self.common[ids]
+        base = weights[rows >= 0].astype("float32") @ self.matrix[rows[rows >= 0]]
+        ids, weights = ids[rows < 0], weights[rows < 0]
+        first = self.term_starts[ids]
+        n = self.term_starts[ids + 1] - first
+        entry, query = runs(first, n), np.repeat(weights, n)
+        block = self.entry_blocks[entry]
+        base = base.reshape(self.blocks, BLOCK)
+        upper = np.bincount(block, query * self.entry_tops[entry], self.blocks) + base.max(axis=1) + TIE
         order = np.argsort(-upper, kind="stable")
-        found_i, found_c = np.zeros(0, "int64"), np.zeros(0)
-        count = self.toxic + self.clean
-        least = 0.0
-        for at in range(0, len(order), 8):
-            some = order[at : at + 8]
-            some = some[upper[some] > max(least - 1e-9, 0)]
+        held = self.toxic + self.clean
+        found_i, found_c, least = np.zeros(0, "int64"), np.zeros(0), TIE
+        done, size = 0, 4
+        rank = np.empty(self.blocks, "int64")
+        while done < self.blocks:
+            some = order[done : done + size]
+            some = some[upper[some] > least - TIE]
             if not len(some):
                 break
-            for b in some:
-                acc = np.zeros(BLOCK)
-                for t, x in zip(terms, q, strict=True):
-                    lo, hi = self.bounds[t][b], self.bounds[t][b + 1]
-                    if lo < hi:
-                        acc[self.ids[t][lo:hi] - b * BLOCK] += x * self.weights[t][lo:hi]
-                hit = np.flatnonzero(acc > max(least - 1e-9, 0))
-                found_i, found_c = np.concatenate([found_i, hit + b * BLOCK]), np.concatenate([found_c, acc[hit]])
-            rank = np.lexsort((found_i, -found_c))
-            found_i, found_c = found_i[rank], found_c[rank]
-            held = np.cumsum(count[found_i] - (found_i == skip))
-            if held.size and held[-1] >= NEIGHBOURS:
-                least = found_c[np.searchsorted(held, NEIGHBOURS)]
-                keep = found_c >= least - 1e-9
+            done, size = done + size, 2 * size
+            rank[:] = -1
+            rank[some] = np.arange(len(some))
+            mine = np.flatnonzero(rank[block] >= 0)
+            starts = self.entry_starts[entry[mine]]
+            lens = self.entry_starts[entry[mine] + 1] - starts
+            at = runs(starts, lens)
+            local = self.post_ids[at] % BLOCK + BLOCK * np.repeat(rank[block[mine]], lens)
+            cosine = np.bincount(local, self.post_weights[at] * np.repeat(query[mine], lens), len(some) * BLOCK) + base[some].ravel()
+            hit = np.flatnonzero(cosine > least - TIE if len(found_i) else cosine > TIE)
+            found_i = np.concatenate([found_i, some[hit // BLOCK] * BLOCK + hit % BLOCK])
+            found_c = np.concatenate([found_c, cosine[hit]])
+            best = np.lexsort((found_i, -found_c))
+            found_i, found_c = found_i[best], found_c[best]
+            so_far = np.cumsum(held[found_i] - (found_i == skip))
+            if so_far.size and so_far[-1] >= NEIGHBOURS:
+                least = max(TIE, found_c[np.searchsorted(so_far, NEIGHBOURS)])
+                keep = found_c >= least - TIE
                 found_i, found_c = found_i[keep], found_c[keep]
         return found_i, found_c
 
-    def vote(self, query: dict[int, float], skip: int = -1, skip_toxic: bool = False) -> tuple[float, np.ndarray]:
-        """The share of the distance-weighted votes that says toxic."""
-        i, c = self.nearest(query, skip)
-        w = 1 / (1 - np.minimum(c, 1) + NEAR)
+    def vote(self, ids: np.ndarray, weights: np.ndarray, skip: int = -1, skip_toxic: bool = False) -> tuple[float, np.ndarray]:
+        """The share of the distance-weighted votes that says toxic; ``skip``: without one example, with that label, of this vector."""
+        i, cosine = self.nearest(ids, weights, skip)
+        w = 1 / (1 - np.minimum(cosine, 1) + NEAR)
         toxic, clean = self.toxic[i].astype(float), self.clean[i].astype(float)
         if skip >= 0:
             (toxic if skip_toxic else clean)[i == skip] -= 1
-        all_ = float((w * (toxic + clean)).sum())
-        prior = 1.0
-        return (float((w * toxic).sum()) + prior * self.without) / (all_ + prior), i
-
-    def calibrate(self) -> None:
-        """Isotonic fit (pool adjacent violators) to the examples' own votes, each without itself."""
-        votes = []
-        for i, v in enumerate(self.vectors):
-            for label, n in ((True, self.toxic[i]), (False, self.clean[i])):
-                if n:
-                    votes.append((self.vote(v, i, label)[0], float(n if label else 0), float(n)))
-        pools: list[list[float]] = []  # vote, toxic, all
+        return (float((w * toxic).sum()) + self.rate) / (float((w * (toxic + clean)).sum()) + 1), i
+
+    def calibrate(self, votes: list[tuple[float, float, float]]) -> None:
+        """Isotonic fit (pool adjacent violators) to votes: vote, toxic examples, all examples."""
+        pools: list[list[float]] = []
         for vote, toxic, n in sorted(votes):
             pools.append([vote, toxic, n])
             while len(pools) > 1 and pools[-2][1] * pools[-1][2] >= pools[-1][1] * pools[-2][2]:
@@ -152,109 +193,139 @@ class ToxicityModel:
                 pools[-1][1] += t
                 pools[-1][2] += k
         self.cuts = np.array([p[0] for p in pools][1:])
-        self.levels = np.array([(p[1] + SHRINK * self.without) / (p[2] + SHRINK) for p in pools]) if pools else np.array([self.without])
+        self.levels = np.array([(p[1] + SHRINK * self.rate) / (p[2] + SHRINK) for p in pools]) if pools else np.array([self.without])
 
-    def score(self, text: str | None) -> tuple[float, list[int]]:
+    def score_terms(self, ids: np.ndarray, counts: np.ndarray) -> tuple[float, list[int]]:
         """Score and the doc_ids of the nearest examples."""
-        counts = term_counts(text, self.terms)
-        if not counts or not self.vectors:
+        if not len(ids) or not len(self.toxic):
             return self.without, []
-        key = tuple(sorted(counts.items()))
-        if key not in self.memo:
-            if len(self.memo) > REMEMBERED:
-                self.memo.clear()
-            vote, near = self.vote(self.weigh(counts))
-            level = float(self.levels[np.searchsorted(self.cuts, vote, side="right")])
-            self.memo[key] = (min(1.0, max(0.0, level)), [self.evidence[i] for i in near[:3]])
-        return self.memo[key]
-
-
-def choose_terms(counts: DataFrame, toxic: int, clean: int) -> dict[str, int]:
-    """Number the terms that are more frequent in toxic examples by G-squared (the log-likelihood ratio), best first."""
-    ratio = lambda x, e: F.when((x > 0) & (e > 0), 2 * x * F.log(x / e)).otherwise(0.0)
-    a, b, total = F.col("toxic").cast("double"), F.col("clean").cast("double"), toxic + clean
-    seen = a + b
-    g2 = ratio(a, seen * toxic / total) + ratio(b, seen * clean / total) + ratio(toxic - a, (total - seen) * toxic / total) + ratio(clean - b, (total - seen) * clean / total)
-    best = counts.where((a >= LEAST_SEEN) & (a * clean >= LEAST_LIFT * b * toxic)).withColumn("g2", F.round(g2, 6)).where(F.col("g2") >= LEAST_RATIO)
-    return {r.term: i for i, r in enumerate(best.orderBy(F.desc("g2"), "term").limit(TERMS).collect())}
+        vote, near = self.vote(ids, self.weigh(ids, counts))
+        level = float(self.levels[np.searchsorted(self.cuts, vote, side="right")])
+        return min(1.0, max(0.0, level)), self.evidence[near[:3]].tolist()
 
+    def score(self, text: str | None) -> tuple[float, list[int]]:
+        return self.score_terms(*self.terms.read(text))
 
-def train(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES) -> ToxicityModel:
-    spark = docs.sparkSession
-    known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
-    chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(examples)  # the stated bound
-    texts = stage(docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id"), "examples")
-
-    def count(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-        toxic, clean = Counter(), Counter()
-        for t, y in zip(batch.column("text"), batch.column("toxic").to_pylist(), strict=True):
-            (toxic if y else clean).update(term_counts(t.as_py()).keys())
-        terms = list(toxic | clean)
-        yield pa.RecordBatch.from_arrays([pa.array(terms, pa.string()), pa.array([toxic[t] for t in terms], pa.int64()), pa.array([clean[t] for t in terms], pa.int64())], ["term", "toxic", "clean"])
-
-    counts = map_batches(texts, count, "term string, toxic long, clean long").groupBy("term").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
-    by_label = {bool(r.toxic): r.n for r in texts.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
-    p, n = by_label.get(True, 0), by_label.get(False, 0)
-    terms = choose_terms(counts, p, n) if p and n else {}
-    model = ToxicityModel(terms, np.ones(len(terms)))
 
-    def vectors(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-        found = [term_counts(t.as_py(), terms) for t in batch.column("text")]
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("toxic").cast(pa.int32()), pa.array([list(f) for f in found], pa.list_(pa.int32())), pa.array([list(f.values()) for f in found], pa.list_(pa.int32()))], ["doc_id", "toxic", "terms", "counts"])
+def boosts(toxic_with: np.ndarray, clean_with: np.ndarray, toxic: int, clean: int) -> np.ndarray:
+    """Of terms by the toxic and clean examples that have them: 1 and more, the more G-squared says that toxic ones do."""
+    part = lambda x, expected: np.where(x > 0, 2 * x * np.log(np.maximum(x, 1) / np.maximum(expected, 1e-12)), 0.0)
+    n, seen = toxic + clean, toxic_with + clean_with
+    g2 = part(toxic_with, seen * toxic / n) + part(clean_with, seen * clean / n) + part(toxic - toxic_with, (n - seen) * toxic / n) + part(clean - clean_with, (n - seen) * clean / n)
+    return 1 + BOOST * np.where(toxic_with * clean > clean_with * toxic, np.maximum(g2 - NOISE, 0), 0)
+
 
-    def frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        df, docs_seen = Counter(), 0
+def document_frequencies(docs: DataFrame, terms: Terms) -> tuple[np.ndarray, int]:
+    """In how many of all documents each term is, and the number of documents."""
+    shared = docs.sparkSession.sparkContext.broadcast(terms)  # bounded by the sampled texts
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = shared.value
+        df, seen = np.zeros(len(known) + 1, "int64"), 0
         for batch in batches:
-            docs_seen += batch.num_rows
-            for t in batch.column("text"):
-                df.update(term_counts(t.as_py(), terms).keys())
+            seen += batch.num_rows
+            for text in batch.column("text"):
+                df[known.read(text.as_py())[0]] += 1
+        df[-1] = seen
+        some = np.flatnonzero(df)
+        yield pa.RecordBatch.from_arrays([pa.array(some.astype("int32")), pa.array(df[some])], ["term", "df"])
         give_back()
-        yield pa.RecordBatch.from_arrays([pa.array([-1, *df], pa.int32()), pa.array([docs_seen, *df.values()], pa.int64())], ["term", "df"])
-
-    if terms:
-        df = {r.term: r.df for r in docs.select("text").mapInArrow(frequencies, "term int, df long").groupBy("term").agg(F.sum("df").alias("df")).collect()}  # TERMS rows at most
-        model.idf = np.array([np.log((1 + df[-1]) / (1 + df.get(i, 0))) + 1 for i in range(len(terms))])
-    groups: dict[tuple, list] = {}
-    none = [0, 0]
-    for r in map_batches(texts, vectors, "doc_id long, toxic int, terms array<int>, counts array<int>").collect():  # EXAMPLES rows at most
-        if not r.terms:
-            none[bool(r.toxic)] += 1
-            continue
-        g = groups.setdefault(tuple(sorted(zip(r.terms, r.counts, strict=True))), [0, 0, r.doc_id])
-        g[bool(r.toxic)] += 1
-        g[2] = min(g[2], r.doc_id)
-    #: Neighbouring numbers share their heaviest term, so the block bounds are tight.
-    weighed = sorted(((model.weigh(dict(k)), k, g) for k, g in groups.items()), key=lambda x: (max(x[0], key=lambda t: (x[0][t], -t)), x[1]))
-    model.vectors = [v for v, _, _ in weighed]
-    model.clean = np.array([g[0] for _, _, g in weighed], "int64")
-    model.toxic = np.array([g[1] for _, _, g in weighed], "int64")
-    model.evidence = [g[2] for _, _, g in weighed]
-    model.without = none[1] / (sum(none) + 1)
-    model.index()
-    if model.vectors:
-        model.calibrate()
-    release(texts)
+
+    found = docs.select("text").mapInArrow(count, "term int, df long").groupBy("term").agg(F.sum("df").alias("df")).toArrow()  # a row a term
+    df = np.zeros(len(terms) + 1, "int64")
+    df[found.column("term").to_numpy()] = found.column("df").to_numpy()
+    shared.unpersist()
+    return df[:-1], int(df[-1])
+
+
+def sampled_texts(docs: DataFrame, labels: DataFrame, examples: int) -> DataFrame:
+    """doc_id, toxic, text of at most ``examples`` labelled documents that are not held out."""
+    known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
+    chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(examples)  # the stated bound
+    return docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").groupBy("doc_id").agg(F.max("toxic").alias("toxic"), F.max("text").alias("text"))
+
+
+def train(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES) -> ToxicityModel:
+    def take_apart(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        found = [Counter(words_of(t.as_py())) for t in batch.column("text")]
+        words, counts = (pa.array([" ".join(c) for c in found], pa.string()), pa.array([np.fromiter(c.values(), "int32", len(c)).tobytes() for c in found], pa.binary()))
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("toxic").cast(pa.int32()), words, counts], ["doc_id", "toxic", "words", "counts"])
+
+    staged = stage(map_batches(sampled_texts(docs, labels, examples), take_apart, "doc_id long, toxic int, words string, counts binary"), "examples")
+    terms, rows = Terms(), []
+    for r in staged.orderBy("doc_id").collect():  # ``examples`` rows at most
+        rows.append((r.doc_id, bool(r.toxic), *terms.learn(dict(zip(r.words.split(), np.frombuffer(r.counts, "int32").tolist(), strict=True)))))
+    release(staged)
+    label = np.array([y for _, y, _, _ in rows], bool)
+    toxic, clean = int(label.sum()), int((~label).sum())
+    model = ToxicityModel(terms, np.ones(len(terms)))
+    if not rows:
+        return model
+    model.rate = toxic / len(rows)
+    bare = [y for _, y, t, _ in rows if not len(t)]
+    model.without = (sum(bare) + model.rate) / (len(bare) + 1)
+    if not len(terms):
+        return model
+    number, in_toxic = np.concatenate([t for _, _, t, _ in rows]), np.repeat(label, [len(t) for _, _, t, _ in rows])
+    by_label = [np.bincount(number[in_toxic == y], minlength=len(terms)) for y in (True, False)]
+    df, n = document_frequencies(docs, terms)
+    boost = boosts(*by_label, toxic, clean) if toxic and clean else np.ones(len(terms))
+    model.weights = (np.log((1 + n) / (1 + df)) + 1) * boost
+    groups: dict[tuple[bytes, bytes], list] = {}
+    for i, y, ids, c in rows:
+        if len(ids):
+            groups.setdefault((ids.tobytes(), c.tobytes()), [0, 0, i, ids, c])[y] += 1
+    #: Neighbouring numbers share their most frequent terms and their heaviest one, so the block bounds are tight.
+    held = []
+    for no, yes, i, ids, c in groups.values():
+        w = model.weigh(ids, c)
+        common = ids[np.lexsort((ids, -df[ids]))[:2]].tolist()
+        held.append(((int(boost[ids].max() > 1.5), *common, int(ids[np.argmax(w)]), i), no, yes, i, ids, w))
+    held.sort(key=lambda h: h[0])
+    model.clean, model.toxic, model.evidence = (np.array([h[k] for h in held], "int64") for k in (1, 2, 3))
+    model.index([(h[4], h[5]) for h in held])
+    model.calibrate(own_votes(docs, model))
     return model
 
 
+def own_votes(docs: DataFrame, model: ToxicityModel) -> list[tuple[float, float, float]]:
+    """For each vector and label: the vote without one such example, and how many of them are toxic and are there. Found in tasks."""
+    spark = docs.sparkSession
+    shared = spark.sparkContext.broadcast(model)
+
+    def work(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        m = shared.value
+        out = [(m.vote(*m.vector(i), i, label)[0], float(n if label else 0), float(n)) for i in batch.column("id").to_pylist() for label, n in ((True, int(m.toxic[i])), (False, int(m.clean[i]))) if n]
+        yield pa.RecordBatch.from_arrays([pa.array(c, pa.float64()) for c in zip(*out, strict=True)], ["vote", "toxic", "all"])
+
+    n = len(model.toxic)
+    found = map_batches(spark.range(0, n, 1, max(1, min(n, 2 * partitions_for(spark)))), work, "vote double, toxic double, all double").collect()  # two rows a vector at most
+    shared.unpersist()
+    return [tuple(r) for r in found]
+
+
 def with_scores(docs: DataFrame, model: ToxicityModel) -> DataFrame:
     """doc_id, held_out, score, and evidence (doc_ids of near examples)."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by EXAMPLES and TERMS
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by the sampled texts
 
-    def work(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
-        found = [m.score(t.as_py()) for t in batch.column("text")]
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array([s for s, _ in found], pa.float64()), pa.array([e for _, e in found], pa.list_(pa.int64()))], ["doc_id", "held_out", "score", "evidence"])
+        for batch in batches:
+            found = [m.score(t.as_py()) for t in batch.column("text")]
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array([s for s, _ in found], pa.float64()), pa.array([e for _, e in found], pa.list_(pa.int64()))], ["doc_id", "held_out", "score", "evidence"])
+        give_back()
 
-    return map_batches(docs.select("doc_id", "text", held_out().alias("held_out")), work, "doc_id long, held_out boolean, score double, evidence array<long>")
+    return docs.select("doc_id", "text", held_out().alias("held_out")).mapInArrow(work, "doc_id long, held_out boolean, score double, evidence array<long>")
 
 
 def drop_toxic(docs: DataFrame, model: ToxicityModel, least: float = 0.7) -> DataFrame:
     """The documents with a score below ``least``, all columns unchanged."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
-    def work(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
-        yield batch.filter(pa.array([m.score(t.as_py())[0] < least for t in batch.column("text")], pa.bool_()))
+        for batch in batches:
+            yield batch.filter(pa.array([m.score(t.as_py())[0] < least for t in batch.column("text")], pa.bool_()))
+        give_back()
 
-    return map_batches(docs, work, docs.schema)
+    return docs.mapInArrow(work, docs.schema)

@@ -231,26 +231,92 @@ def test_toxicity_on_held_out_labels(tox):
     docs, labels, model = tox
     rows = toxicity.with_scores(docs, model).join(labels, "doc_id").where("held_out").collect()
     hit = [r for r in rows if r.score >= 0.7]
-    assert sum(r.toxic for r in hit) >= 0.95 * len(hit) and sum(r.toxic for r in hit) >= 0.75 * sum(r.toxic for r in rows)
+    assert sum(r.toxic for r in hit) >= 0.95 * len(hit) and sum(r.toxic for r in hit) >= 0.84 * sum(r.toxic for r in rows)
     assert all(0 <= r.score <= 1 for r in rows)
 
 
 def test_nearest_equals_exhaustive_search(tox):
-    _, _, model = tox
+    docs, _, model = tox
     count = model.toxic + model.clean
     rng = random.Random(1)
-    for _ in range(60):
-        query = model.weigh({t: rng.randint(1, 3) for t in rng.sample(range(len(model.terms)), rng.randint(1, 6))})
-        cos = np.array([sum(query[t] * v.get(t, 0) for t in query) for v in model.vectors])
-        order = [i for i in np.lexsort((np.arange(len(cos)), -cos)) if cos[i] > 0]
+    vectors = [dict(zip(*(x.tolist() for x in model.vector(i)), strict=True)) for i in range(len(count))]
+    texts = [r.text for r in docs.orderBy("doc_id").limit(40).collect()] + [" ".join(rng.choices(["idiot", "the", "and", "de", "queen", "scum"], k=3)) for _ in range(20)]
+    for ids, counts in map(model.terms.read, texts):
+        weights = model.weigh(ids, counts)
+        query = dict(zip(ids.tolist(), weights.tolist(), strict=True))
+        cos = np.array([sum(x * query.get(t, 0) for t, x in v.items()) for v in vectors])
+        order = [i for i in np.lexsort((np.arange(len(cos)), -cos)) if cos[i] > toxicity.TIE]
         held, want = 0, []
         for i in order:
-            if held >= toxicity.NEIGHBOURS and cos[i] < cos[want[-1]] - 1e-9:
+            if held >= toxicity.NEIGHBOURS and cos[i] < cos[want[-1]] - toxicity.TIE:
                 break
             want.append(i)
             held += count[i]
-        got, near = model.nearest(query)
-        assert set(got.tolist()) == set(want) and np.allclose(near, cos[got])
+        got, near = model.nearest(ids, weights)
+        assert set(got.tolist()) == set(want) and np.allclose(near, cos[got], atol=1e-5)
+
+
+def brute_toxicity(docs, labels):
+    """Scores of all documents, from the definition: terms as strings, all cosines, votes, pools."""
+
+    def terms(t):
+        words = re.findall(r"[^\W_]+", (t or "").lower())
+        return Counter([w for w in words] + ["^" + w[: toxicity.PREFIX] for w in words if len(w) > toxicity.PREFIX])
+
+    of = {i: terms(t) for i, t in docs}
+    known = {i: max(y for j, y in labels if j == i) for i, _ in labels if i in of and zlib.crc32(str(i).encode()) % 3 != 1}
+    pos, neg = sum(known.values()), sum(not y for y in known.values())
+    df = Counter(t for c in of.values() for t in c)
+    weight = {}
+    for t in {t for i in known for t in of[i]}:
+        a, b = (sum(t in of[i] for i, y in known.items() if y == label) for label in (1, 0))
+        g2 = 0.0
+        for x, size, col in ((a, pos, a + b), (b, neg, a + b), (pos - a, pos, pos + neg - a - b), (neg - b, neg, pos + neg - a - b)):
+            g2 += 2 * x * np.log(x * (pos + neg) / (size * col)) if x else 0
+        more = a * neg > b * pos
+        weight[t] = (np.log((1 + len(of)) / (1 + df[t])) + 1) * (1 + toxicity.BOOST * (max(g2 - toxicity.NOISE, 0) if more else 0))
+
+    def vector(c):
+        v = {t: (1 + np.log(n)) * weight[t] for t, n in c.items() if t in weight}
+        length = np.sqrt(sum(x * x for x in v.values()))
+        return {t: x / length for t, x in v.items()}
+
+    space = {i: vector(of[i]) for i in known}
+    rate = pos / (pos + neg)
+
+    def vote(v, skip=None):
+        near = sorted(((sum(x * v.get(t, 0) for t, x in w.items()), i) for i, w in space.items() if i != skip and w), key=lambda x: -x[0])
+        near = [(c, i) for c, i in near if c > 0]
+        last = near[toxicity.NEIGHBOURS - 1][0] if len(near) >= toxicity.NEIGHBOURS else 0
+        near = [(1 / (1 - min(c, 1) + toxicity.NEAR), known[i]) for c, i in near if c >= last - 1e-6]
+        return (sum(w * y for w, y in near) + rate) / (sum(w for w, _ in near) + 1)
+
+    pools = []
+    for x, y in sorted((vote(space[i], i), known[i]) for i in known if space[i]):
+        pools.append([x, y, 1])
+        while len(pools) > 1 and pools[-2][1] / pools[-2][2] >= pools[-1][1] / pools[-1][2]:
+            _, t, k = pools.pop()
+            pools[-1][1] += t
+            pools[-1][2] += k
+    bare = [known[i] for i in known if not space[i]]
+    out = {}
+    for i, c in of.items():
+        v = vector(c)
+        if not v:
+            out[i] = (sum(bare) + rate) / (len(bare) + 1)
+            continue
+        pool = [p for p in pools if p[0] <= vote(v) + 1e-9] or pools[:1]
+        out[i] = (pool[-1][1] + toxicity.SHRINK * rate) / (pool[-1][2] + toxicity.SHRINK)
+    return out
+
+
+def test_toxicity_scores_equal_brute_force(spark):
+    docs, labels = (registry.table(spark, DATA, n) for n in ("documents", "labels"))
+    want = brute_toxicity([(r.doc_id, r.text) for r in docs.collect()], [(r.doc_id, r.toxic) for r in labels.collect() if r.toxic is not None])
+    got = {r.doc_id: r.score for r in registry.QUERIES["op4_toxicity"](spark, DATA).collect()}
+    assert set(got) == set(want)
+    off = [i for i in got if abs(got[i] - want[i]) > 1e-6]
+    assert len(off) <= 2  # a vote on the border of two pools may fall to either by rounding
 
 
 def test_toxicity_edges(spark, tox):
@@ -260,18 +326,30 @@ def test_toxicity_edges(spark, tox):
     assert toxicity.with_scores(docs, model).count() == len(rows)
     none = toxicity.train(empty(spark), labels.limit(0))
     assert {r.score for r in toxicity.with_scores(docs, none).collect()} == {0.0}
+    assert toxicity.train(docs, labels.limit(0)).score("a")[0] == 0.0 and toxicity.train(empty(spark), labels).score("a")[0] == 0.0
     assert toxicity.drop_toxic(docs, tox[2]).columns == docs.columns
+    assert toxicity.with_scores(empty(spark), model).count() == 0 and toxicity.drop_toxic(empty(spark), model).count() == 0
     held = {r.doc_id: r.held_out for r in toxicity.with_scores(docs, none).collect() if r.doc_id is not None}
     assert all(h == (zlib.crc32(str(i).encode()) % 3 == 1) for i, h in held.items())
 
 
+def test_toxicity_sample_is_bounded(spark):
+    """A doc_id with very many rows gives one example."""
+    docs = spark.createDataFrame([(i % 3, f"text {i}") for i in range(200)] + [(9, "other")], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(10)], "doc_id long, toxic int")
+    assert toxicity.sampled_texts(docs, labels, 100).count() == len({i for i in (0, 1, 2, 9) if zlib.crc32(str(i).encode()) % 3 != 1})
+    assert toxicity.sampled_texts(docs, labels, 2).count() <= 2
+
+
 def test_learns_nothing_from_held_out_rows(spark, tox):
     docs, labels, _ = tox
     from pyspark.sql import functions as F
 
     flipped = labels.withColumn("toxic", F.when(toxicity.held_out(), 1 - F.col("toxic")).otherwise(F.col("toxic")))
     a, b = toxicity.train(docs, labels, 500), toxicity.train(docs, flipped, 500)
-    assert a.terms == b.terms and a.vectors == b.vectors and a.levels.tolist() == b.levels.tolist()
+    assert a.terms == b.terms
+    for name in ("weights", "vector_ids", "vector_weights", "levels", "cuts"):
+        assert np.array_equal(getattr(a, name), getattr(b, name))
 
 
 # ---- packing ---------------------------------------------------------------------------------------------------------------
@@ -383,12 +461,9 @@ def test_rollup_of_signed_batches(spark, tmp_path):
 def test_rollup_query_equals_a_recount(spark):
     t = Tokenizer.from_file(BYTE_BPE)
     counts = {"byte_bpe_50k/1": lambda x: len(t.encode(x, add_special_tokens=False).ids), "words/1": lambda x: len(re.findall(r"[^\x20\x09-\x0D]+", x))}
-    labels = {r.doc_id: r for r in registry.table(spark, DATA, "labels").collect()}
     want = defaultdict(lambda: [0, 0, 0])
     for r in registry.table(spark, DATA, "documents").collect():
-        state = {0: r.text, 1: r.text}
-        if (known := labels.get(r.doc_id)) and (known.toxic == 1 or known.quality == 0):
-            state[1] = None if known.toxic == 1 else re.sub(r"[#*$%&|<>]", "", r.text)
+        state = {0: r.text, 1: None if len(r.text) < 60 else re.sub(r"[#*$%&|<>]", "", r.text)}
         for version, text in state.items():
             for name, count in counts.items():
                 if text is not None:
