@@ -1,7 +1,8 @@
 """Toxicity by nearest labelled examples under exact TF-IDF cosine, with a block-max inverted index.
 
 Terms are words and the first PREFIX letters of longer words. A bounded sample of labelled rows (EXAMPLES rows, by
-hash order of the id, one text a doc_id) gives the examples, and every term of theirs counts; document frequencies of these terms are
+hash order of the id, half of them toxic where there are as many, one text a doc_id; an example stands for as many labelled rows of its label
+as the sample leaves out) gives the examples, and every term of theirs counts; document frequencies of these terms are
 counted over all documents. A term's weight is (1 + ln tf) * idf, times 1 + BOOST * (G2 - NOISE) where the log-likelihood ratio G2
 says that the term is more frequent in toxic examples beyond NOISE. The index holds, for each term, the largest weight in each block
 of BLOCK examples: blocks are visited in order of their upper bound until it falls below the NEIGHBOURS-th best cosine, so results are
@@ -31,11 +32,11 @@ from pyspark.sql import functions as F
 from pathlore.llm.common import give_back, map_batches, partitions_for, release, stage
 
 #: Labelled rows of the sample, at most.
-EXAMPLES = 4_000
-NEIGHBOURS, BLOCK, NEAR, TIE, COMMON = 15, 64, 0.05, 1e-6, 16
-PREFIX, BOOST, NOISE = 5, 0.05, 10.0
+EXAMPLES = 2_000
+NEIGHBOURS, BLOCK, NEAR, TIE, COMMON = 7, 64, 0.05, 1e-6, 16
+PREFIX, BOOST, NOISE = 5, 0.05, 8.0
 #: Imagined examples of the overall rate in each pool of the calibration: the boosts were found on the same examples.
-SHRINK = 2
+SHRINK = 1
 WORD = re.compile(r"[^\W_]+")
 
 
@@ -92,7 +93,8 @@ class ToxicityModel:
 
     terms: Terms
     weights: np.ndarray  # of a term: idf and boost
-    rate: float = 0.0  # share of toxic examples
+    rate: float = 0.0  # share of toxic ones among the labelled rows
+    shares: tuple[float, float] = (1.0, 1.0)  # labelled rows that a clean and a toxic example stand for
     without: float = 0.0  # score of a text without terms
     toxic: np.ndarray = field(default_factory=lambda: np.zeros(0, "int64"))  # examples with a vector, by label
     clean: np.ndarray = field(default_factory=lambda: np.zeros(0, "int64"))
@@ -146,14 +148,14 @@ class ToxicityModel:
         order = np.argsort(-upper, kind="stable")
         held = self.toxic + self.clean
         found_i, found_c, least = np.zeros(0, "int64"), np.zeros(0), TIE
-        done, size = 0, 4
+        done, size = 0, 8
         rank = np.empty(self.blocks, "int64")
         while done < self.blocks:
             some = order[done : done + size]
             some = some[upper[some] > least - TIE]
             if not len(some):
                 break
-            done, size = done + size, 2 * size
+            done, size = done + size, 4 * size
             rank[:] = -1
             rank[some] = np.arange(len(some))
             mine = np.flatnonzero(rank[block] >= 0)
@@ -181,10 +183,11 @@ class ToxicityModel:
         toxic, clean = self.toxic[i].astype(float), self.clean[i].astype(float)
         if skip >= 0:
             (toxic if skip_toxic else clean)[i == skip] -= 1
+        toxic, clean = toxic * self.shares[1], clean * self.shares[0]
         return (float((w * toxic).sum()) + self.rate) / (float((w * (toxic + clean)).sum()) + 1), i
 
     def calibrate(self, votes: list[tuple[float, float, float]]) -> None:
-        """Isotonic fit (pool adjacent violators) to votes: vote, toxic examples, all examples."""
+        """Isotonic fit (pool adjacent violators) to votes: vote, toxic examples, all examples, each for what it stands for."""
         pools: list[list[float]] = []
         for vote, toxic, n in sorted(votes):
             pools.append([vote, toxic, n])
@@ -238,11 +241,15 @@ def document_frequencies(docs: DataFrame, terms: Terms) -> tuple[np.ndarray, int
     return df[:-1], int(df[-1])
 
 
-def sampled_texts(docs: DataFrame, labels: DataFrame, examples: int) -> DataFrame:
-    """doc_id, toxic, text of at most ``examples`` labelled documents that are not held out."""
-    known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
-    chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(examples)  # the stated bound
-    return docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").groupBy("doc_id").agg(F.max("toxic").alias("toxic"), F.max("text").alias("text"))
+def sampled_texts(docs: DataFrame, labels: DataFrame, examples: int) -> tuple[DataFrame, list[int]]:
+    """doc_id, toxic, text of at most ``examples`` labelled documents that are not held out; and how many there are, clean and toxic."""
+    known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg((F.max("toxic") > 0).cast("int").alias("toxic"))
+    counts = {r.toxic: r.n for r in known.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
+    there = [counts.get(0, 0), counts.get(1, 0)]
+    toxic = min(there[1], max(examples // 2, examples - there[0]))
+    by_hash = lambda label, n: known.where(F.col("toxic") == label).orderBy(F.xxhash64("doc_id"), "doc_id").limit(n)
+    chosen = by_hash(1, toxic).unionByName(by_hash(0, examples - toxic))  # the stated bound
+    return docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").groupBy("doc_id").agg(F.max("toxic").alias("toxic"), F.max("text").alias("text")), there
 
 
 def train(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES) -> ToxicityModel:
@@ -251,7 +258,8 @@ def train(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES) -> Toxic
         words, counts = (pa.array([" ".join(c) for c in found], pa.string()), pa.array([np.fromiter(c.values(), "int32", len(c)).tobytes() for c in found], pa.binary()))
         yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("toxic").cast(pa.int32()), words, counts], ["doc_id", "toxic", "words", "counts"])
 
-    staged = stage(map_batches(sampled_texts(docs, labels, examples), take_apart, "doc_id long, toxic int, words string, counts binary"), "examples")
+    sample, there = sampled_texts(docs, labels, examples)
+    staged = stage(map_batches(sample, take_apart, "doc_id long, toxic int, words string, counts binary"), "examples")
     terms, rows = Terms(), []
     for r in staged.orderBy("doc_id").collect():  # ``examples`` rows at most
         rows.append((r.doc_id, bool(r.toxic), *terms.learn(dict(zip(r.words.split(), np.frombuffer(r.counts, "int32").tolist(), strict=True)))))
@@ -261,9 +269,11 @@ def train(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES) -> Toxic
     model = ToxicityModel(terms, np.ones(len(terms)))
     if not rows:
         return model
-    model.rate = toxic / len(rows)
-    bare = [y for _, y, t, _ in rows if not len(t)]
-    model.without = (sum(bare) + model.rate) / (len(bare) + 1)
+    model.shares = (there[0] / clean if clean else 1.0, there[1] / toxic if toxic else 1.0)
+    model.rate = there[1] / sum(there)
+    bare = [model.shares[y] * np.array([1, y]) for _, y, t, _ in rows if not len(t)]
+    n, yes = sum(bare, np.zeros(2)).tolist()
+    model.without = (yes + model.rate) / (n + 1)
     if not len(terms):
         return model
     number, in_toxic = np.concatenate([t for _, _, t, _ in rows]), np.repeat(label, [len(t) for _, _, t, _ in rows])
@@ -295,7 +305,7 @@ def own_votes(docs: DataFrame, model: ToxicityModel) -> list[tuple[float, float,
 
     def work(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         m = shared.value
-        out = [(m.vote(*m.vector(i), i, label)[0], float(n if label else 0), float(n)) for i in batch.column("id").to_pylist() for label, n in ((True, int(m.toxic[i])), (False, int(m.clean[i]))) if n]
+        out = [(m.vote(*m.vector(i), i, label)[0], n * m.shares[1] if label else 0.0, n * m.shares[label]) for i in batch.column("id").to_pylist() for label, n in ((True, int(m.toxic[i])), (False, int(m.clean[i]))) if n]
         yield pa.RecordBatch.from_arrays([pa.array(c, pa.float64()) for c in zip(*out, strict=True)], ["vote", "toxic", "all"])
 
     n = len(model.toxic)

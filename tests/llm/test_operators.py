@@ -231,7 +231,7 @@ def test_toxicity_on_held_out_labels(tox):
     docs, labels, model = tox
     rows = toxicity.with_scores(docs, model).join(labels, "doc_id").where("held_out").collect()
     hit = [r for r in rows if r.score >= 0.7]
-    assert sum(r.toxic for r in hit) >= 0.95 * len(hit) and sum(r.toxic for r in hit) >= 0.84 * sum(r.toxic for r in rows)
+    assert sum(r.toxic for r in hit) >= 0.95 * len(hit) and sum(r.toxic for r in hit) >= 0.85 * sum(r.toxic for r in rows)
     assert all(0 <= r.score <= 1 for r in rows)
 
 
@@ -337,8 +337,15 @@ def test_toxicity_sample_is_bounded(spark):
     """A doc_id with very many rows gives one example."""
     docs = spark.createDataFrame([(i % 3, f"text {i}") for i in range(200)] + [(9, "other")], "doc_id long, text string")
     labels = spark.createDataFrame([(i, i % 2) for i in range(10)], "doc_id long, toxic int")
-    assert toxicity.sampled_texts(docs, labels, 100).count() == len({i for i in (0, 1, 2, 9) if zlib.crc32(str(i).encode()) % 3 != 1})
-    assert toxicity.sampled_texts(docs, labels, 2).count() <= 2
+    learnt = {i for i in range(10) if zlib.crc32(str(i).encode()) % 3 != 1}
+    sample, there = toxicity.sampled_texts(docs, labels, 100)
+    assert sample.count() == len(learnt & {0, 1, 2, 9}) and there == [sum(i % 2 == y for i in learnt) for y in (0, 1)]
+    assert toxicity.sampled_texts(docs, labels, 2)[0].count() <= 2
+    many = spark.createDataFrame([(i, f"text {i}") for i in range(400)], "doc_id long, text string")
+    rare = spark.createDataFrame([(i, int(i % 10 == 0)) for i in range(400)], "doc_id long, toxic int")
+    sample, there = toxicity.sampled_texts(many, rare, 40)
+    found = [r.toxic for r in sample.collect()]
+    assert len(found) == 40 and sum(found) == min(20, there[1]) and sum(there) > 200
 
 
 def test_learns_nothing_from_held_out_rows(spark, tox):
