@@ -12,18 +12,22 @@ from dataclasses import dataclass, field
 from functools import reduce
 
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from pathlore.operators.staging import release, stage
+from pathlore.operators.staging import release, stage, stage_pairs
 from pathlore.plans.automaton import AutomatonBook, invert
 from pathlore.plans.query import ConjunctivePathQuery
-from pathlore.plans.terms import TOP, EdgeStep, LabelTest, Nest, NodeTest
+from pathlore.plans.terms import TOP, EdgeStep, LabelTest, Nest, NodeTest, Role
 from pathlore.sources.graph import PropertyGraph, natural_key
 
 
 #: Rounds after which the visited rows of an iteration are merged into one table.
 MERGE_PARTS = 12
+#: New rows of a round, and of these a node of the state that is iterated, from which on starts that reach a hub share what the hub reaches.
+CROWD_ROWS, CROWD_PER_NODE = 200_000, 4
+#: Bytes from which on the pairs of a guard that is iterated are laid out by their key once.
+LAID_OUT_BYTES = 64 << 20
 
 
 @dataclass
@@ -44,6 +48,7 @@ class EvaluationStats:
     rounds: int = 0
     guards: int = 0
     dead_moves: int = 0
+    crowds: int = 0
 
 
 def parts_of(states: set[int], moves: set[tuple[int, int]]) -> list[list[int]]:
@@ -91,9 +96,14 @@ class Evaluator:
     book: AutomatonBook
     binding: str = "edge"
     max_rounds: int = 1000
+    #: node_id, out_roles, in_roles (see ``statistics.node_signature``): one-edge nested tests become filters on it, without a join.
+    signature: DataFrame | None = None
+    #: Keep the states of an iteration as bits of one row a pair instead of a row a state; pays where many states hold the same pairs.
+    packed: bool = False
     stats: EvaluationStats = field(default_factory=EvaluationStats)
     _starts: dict[tuple, DataFrame | None] = field(default_factory=dict)
     _guards: dict[int, dict[tuple[int, int], Guard]] = field(default_factory=dict)
+    _crowds: int = 0
 
     # ---- guards --------------------------------------------------------------------------------------------------
 
@@ -118,6 +128,20 @@ class Evaluator:
             return None
         return reduce(lambda a, b: a.join(b, ["src", "dst"], "left_semi"), found)
 
+    def one_edge(self, nest: Nest) -> Role | None:
+        """The role of a nested test that asks for one edge of it and nothing else."""
+        a = self.book[nest.automaton]
+        starts = {nest.start} if nest.start is not None else a.starts
+        if len(a.moves) != 1 or starts & a.finals:
+            return None
+        ((x, s, y),) = a.moves
+        return next(iter(s.roles)) if isinstance(s, EdgeStep) and len(s.roles) == 1 and not s.tests and not s.way and x in starts and y in a.finals else None
+
+    def signed(self, roles: set[Role]) -> DataFrame:
+        """node_id of the nodes with an edge of one of the roles, from the signature."""
+        ways = [(c, sorted(r.name for r in roles if r.inverse == inverse)) for c, inverse in (("out_roles", False), ("in_roles", True))]
+        return self.signature.where(reduce(Column.__or__, [F.arrays_overlap(c, F.array(*map(F.lit, names))) for c, names in ways if names])).select("node_id")
+
     def guards(self, n: int) -> dict[tuple[int, int], Guard]:
         """One guard for each pair of states with a move; moves that the data cannot make are left out."""
         if n in self._guards:
@@ -128,6 +152,11 @@ class Evaluator:
         out = {}
         for pair, symbols in by_pair.items():
             pairs, nodes, free = [], [], False
+            if self.signature is not None:
+                ends = [self.one_edge(s) for s in symbols if isinstance(s, Nest)]
+                symbols = [s for s in symbols if not (isinstance(s, Nest) and self.one_edge(s))]
+                if any(ends):
+                    nodes.append(self.signed({r for r in ends if r}))
             for s in symbols:
                 match s:
                     case EdgeStep():
@@ -161,24 +190,24 @@ class Evaluator:
             self._starts[n, start] = None if rows is None else rows.distinct().persist(StorageLevel.MEMORY_AND_DISK)
         return self._starts[n, start]
 
+    def before(self, g: Guard, then: DataFrame | None, final: bool = False) -> list[DataFrame]:
+        """Nodes from which the guard leads into the set; a final state accepts every node."""
+        out = []
+        if g.pairs is not None:
+            rows = g.pairs if final else g.pairs.join(then.withColumnRenamed("node_id", "dst"), "dst", "left_semi")
+            out.append(rows.select(F.col("src").alias("node_id")))
+        if g.nodes is not None:
+            out.append(g.nodes if final else g.nodes.join(then, "node_id", "left_semi"))
+        if g.free:
+            out.append(self.graph.all_nodes() if final else then)
+        return out
+
     def _backward(self, n: int) -> dict[int, DataFrame]:
         if (n, "all") in self._starts:
             return self._starts[n, "all"]
         a, guards = self.book[n], self.guards(n)
         sets: dict[int, DataFrame] = {}
 
-        def before(g: Guard, then: DataFrame | None, final: bool) -> list[DataFrame]:
-            """Nodes from which the guard leads into the set; a final state accepts every node."""
-            out = []
-            if g.pairs is not None:
-                rows = g.pairs if final else g.pairs.join(then.withColumnRenamed("node_id", "dst"), "dst", "left_semi")
-                out.append(rows.select(F.col("src").alias("node_id")))
-            if g.nodes is not None:
-                out.append(g.nodes if final else g.nodes.join(then, "node_id", "left_semi"))
-            if g.free:
-                out.append(self.graph.all_nodes() if final else then)
-            return out
-
         for part in reversed(parts_of(set(range(a.states)), set(guards))):
             for s in part:
                 if s in a.finals:
@@ -186,14 +215,14 @@ class Evaluator:
             outer = {s: [] for s in part}
             for (x, y), g in guards.items():
                 if x in outer and (y in sets or y in a.finals) and (y not in part or y in a.finals) and x not in a.finals:
-                    outer[x] += before(g, sets.get(y), y in a.finals)
+                    outer[x] += self.before(g, sets.get(y), y in a.finals)
             seeds = {s: reduce(DataFrame.unionByName, rows).distinct() for s, rows in outer.items() if rows}
             inner = {p: g for p, g in guards.items() if p[0] in part and p[1] in part and p[0] not in a.finals and p[1] not in a.finals}
             if not inner:
                 sets |= seeds
                 continue
             if seeds:
-                links = {(y, x): (lambda rows, g=g: before(g, rows, False)) for (x, y), g in inner.items()}
+                links = {(y, x): (lambda rows, g=g: self.before(g, rows)) for (x, y), g in inner.items()}
                 sets |= self._fixpoint(seeds, links, part)
         self._starts[n, "all"] = sets
         return sets
@@ -215,13 +244,31 @@ class Evaluator:
     def identity(self) -> DataFrame:
         return self.graph.all_nodes().select(F.col("node_id").alias("src"), F.col("node_id").alias("node"))
 
-    def pairs_of(self, n: int, seeds: DataFrame | None = None) -> DataFrame:
-        """(src, node) for every run; ``seeds`` (node_id) restricts where runs start."""
+    def pairs_of(self, n: int, seeds: DataFrame | None = None, ends: DataFrame | None = None) -> DataFrame:
+        """(src, node) for every run; ``seeds`` (node_id) restricts where runs start, ``ends`` (node_id) where they end."""
+        crowds: list[DataFrame] = []
+        at = self._states(n, seeds, self._useful(n), crowds)
+        found = [at[s] if at[s] is not None else self.identity() for s in sorted(self.book[n].finals) if s in at]
+        if not found:
+            return self.graph.spark.createDataFrame([], "src long, node long")
+        rows = reduce(DataFrame.unionByName, found).distinct()
+        if ends is not None:
+            rows = rows.join(ends.withColumnRenamed("node_id", "node"), "node", "left_semi").select("src", "node")
+        return self._expand(rows, crowds)
+
+    def _expand(self, rows: DataFrame, crowds: list[DataFrame]) -> DataFrame:
+        """Replace crowds by their members, the last crowd first: it may hold earlier ones."""
+        for members in reversed(crowds):
+            own = rows.join(members, rows.src == members.crowd).select(F.col("member").alias("src"), "node")
+            rows = rows.join(members.select(F.col("crowd").alias("src")).distinct(), "src", "left_anti").select("src", "node").unionByName(own).distinct()
+        return rows
+
+    def _states(self, n: int, seeds: DataFrame | None, within: set[int], crowds: list[DataFrame]) -> dict[int, DataFrame | None]:
+        """(src, node) at each of the states ``within``; None: all (v, v). A src below zero is a crowd, whose members are in ``crowds``."""
         a, guards = self.book[n], self.guards(n)
-        at: dict[int, DataFrame | None] = {}  # a state's rows; None: all (v, v)
+        at: dict[int, DataFrame | None] = {}
         begin = None if seeds is None else seeds.select(F.col("node_id").alias("src"), F.col("node_id").alias("node")).distinct()
-        useful = self._useful(n)
-        for part in parts_of(useful, {p for p in guards if set(p) <= useful}):
+        for part in parts_of(within, {p for p in guards if set(p) <= within}):
             incoming: dict[int, list] = {s: [] for s in part}
             for (x, y), g in guards.items():
                 if y in incoming and x in at and x not in part:
@@ -239,12 +286,58 @@ class Evaluator:
                 continue
             if not rows:
                 continue
-            links = {k: (lambda r, g=g: self.advance(r, g)) for k, g in inner.items()}
-            at |= self._fixpoint(rows, links, part, self._populations(n, part))
-        found = [at[s] if at[s] is not None else self.identity() for s in sorted(a.finals) if s in at]
-        if not found:
-            return self.graph.spark.createDataFrame([], "src long, node long")
-        return reduce(DataFrame.unionByName, found).distinct()
+            laid = {k: Guard(None if g.pairs is None else stage_pairs(g.pairs, "src", LAID_OUT_BYTES), g.nodes, g.free) for k, g in inner.items()}
+            links = {k: (lambda r, g=g: self.advance(r, g)) for k, g in laid.items()}
+            back = {(y, x): (lambda r, g=g: self.before(g, r)) for (x, y), g in inner.items()}
+            at |= self._fixpoint(rows, links, part, self._populations(n, part), back, crowds)
+        return at
+
+    def linked(self, n: int, pairs: DataFrame) -> DataFrame:
+        """Those of the pairs (src, dst) that a run of the automaton joins.
+
+        Runs are sought from both ends and meet at a cut of the automaton, so a hub between the two sides is never multiplied out: the
+        cut lies where the least of the moves before it lead from one node to many, and of those behind it backwards.
+        """
+        useful = self._useful(n)
+        order = parts_of(useful, {p for p in self.guards(n) if set(p) <= useful})
+        moves = [p for p in self.guards(n) if set(p) <= useful]
+
+        def cost(k: int) -> tuple[int, int]:
+            left = {s for part in order[:k] for s in part}
+            wide = sum(self._fans_out(n, p, True) for p in moves if set(p) <= left) + sum(self._fans_out(n, p, False) for p in moves if p[1] not in left)
+            return wide, abs(2 * k - len(order))
+
+        left = {s for part in order[: min(range(1, len(order) + 1), key=cost)] for s in part} if order else set()
+        right = useful - left
+        crowds: tuple[list, list] = ([], [])
+        ahead = self._states(n, pairs.select(F.col("src").alias("node_id")).distinct(), left, crowds[0])
+        turned = invert(self.book, n)
+        gates = {x for x, y in moves if x in left and y in right}
+        behind = {}
+        if right:
+            behind = self._states(turned, pairs.select(F.col("dst").alias("node_id")).distinct(), right, crowds[1])
+            for s in sorted(gates):
+                rows = [r for (x, y), g in self.guards(turned).items() if y == s and x in behind for r in self.advance(behind[x], g)]
+                if rows:
+                    behind[s] = reduce(DataFrame.unionByName, rows).distinct()
+        found = []
+        for s in sorted(left & set(ahead)):
+            here = self._expand(ahead[s], crowds[0])
+            if s in self.book[n].finals:
+                found.append(pairs.join(here.withColumnRenamed("node", "dst"), ["src", "dst"], "left_semi"))
+            if s in gates and s in behind:
+                there = self._expand(behind[s], crowds[1]).select(F.col("src").alias("dst"), "node")
+                found.append(pairs.join(here, "src").join(there, ["dst", "node"], "left_semi").select("src", "dst"))
+        return reduce(DataFrame.unionByName, found).distinct() if found else pairs.limit(0)
+
+    def _fans_out(self, n: int, move: tuple[int, int], ahead: bool) -> bool:
+        """Whether the moves between two states may lead from one node to many (backwards: into one from many)."""
+        for x, s, y in self.book[n].moves:
+            if (x, y) == move and isinstance(s, EdgeStep):
+                role = next(iter(s.roles), None)
+                if role is None or self.graph.single.get(role.name, (False, False))[int(ahead == role.inverse)] is False and role.name in self.graph.roles:
+                    return True
+        return False
 
     def _useful(self, n: int) -> set[int]:
         """States on a way from a start to a final state by guards that the data can make."""
@@ -277,16 +370,19 @@ class Evaluator:
                 out[s] = sum(self.graph.kind_size(k) for k in kinds if k in self.graph.kinds)
         return out
 
-    def _fixpoint(self, seeds: dict[int, DataFrame], links: dict[tuple[int, int], Callable], part: list[int], populations: dict[int, int] | None = None) -> dict[int, DataFrame]:
+    def _fixpoint(self, seeds: dict[int, DataFrame], links: dict[tuple[int, int], Callable], part: list[int], populations: dict[int, int] | None = None, back: dict[tuple[int, int], Callable] | None = None, crowds: list[DataFrame] | None = None) -> dict[int, DataFrame]:
         """All rows of the states of a cyclic part, semi-naively.
 
         Only the states that cut all cycles are iterated: a round takes their new rows through the other states, which are
         in topological order then, in one plan. Visited rows stay as the parts in which they came and are merged when there
-        are many. Only whether a round brought rows comes to the driver.
+        are many. Only the number of a round's rows comes to the driver. Once pairs come in crowds (many starts at each
+        node; ``back`` and ``crowds`` given), the starts that reach a hub share what it reaches, see ``_crowd``.
         """
         cut = cycle_cut(part, set(links), populations)
         rest = [p[0] for p in parts_of(set(part) - set(cut), {k for k in links if not set(k) & set(cut)})]
         columns = next(iter(seeds.values())).columns
+        prune: Callable[[DataFrame], DataFrame] = lambda rows: rows
+        shared: dict[int, DataFrame] = {}
 
         def spread(at: dict[int, DataFrame], more: dict[int, DataFrame]) -> dict[int, DataFrame]:
             out = dict(at)
@@ -299,15 +395,39 @@ class Evaluator:
         def back_to_cut(at: dict[int, DataFrame]) -> list[DataFrame]:
             return [r.select(*columns, F.lit(y).alias("state")) for (x, y), f in links.items() if y in cut and x in at for r in f(at[x])]
 
+        bit = {s: 1 << i for i, s in enumerate(cut)}
+        packed = self.packed and 1 < len(cut) < 63
+        bit_of = F.element_at(F.create_map(*(F.lit(x) for s in cut for x in (s, bit[s]))), F.col("state")).cast("long")
+
+        def pack(rows: DataFrame) -> DataFrame:
+            """Distinct rows, of packed states one row for all."""
+            return rows.groupBy(*columns).agg(F.bit_or(bit_of).alias("states")) if packed else rows.distinct()
+
+        def news(rows: DataFrame, parts: list[DataFrame]) -> DataFrame:
+            """What no earlier round brought."""
+            seen = reduce(DataFrame.unionByName, parts)
+            if not packed:
+                return rows.join(seen, [*columns, "state"], "left_anti")
+            seen = seen.groupBy(*columns).agg(F.bit_or("states").alias("_seen"))
+            left = F.col("states").bitwiseAND(F.bitwise_not(F.coalesce("_seen", F.lit(0).cast("long"))))
+            return rows.join(seen, columns, "left").select(*columns, left.alias("states")).where("states <> 0")
+
         def by_state(rows: DataFrame) -> dict[int, DataFrame]:
-            return {s: rows.where(F.col("state") == s).select(*columns) for s in cut}
+            return {s: rows.where(F.col("states").bitwiseAND(F.lit(bit[s])) != 0 if packed else F.col("state") == s).select(*columns) for s in cut}
 
         first = back_to_cut(spread({}, seeds)) + [seeds[s].select(*columns, F.lit(s).alias("state")) for s in cut if s in seeds]
         if not first:
             return spread({}, seeds)
-        fresh = stage(reduce(DataFrame.unionByName, first).distinct(), "fresh")
+        fresh = stage(pack(reduce(DataFrame.unionByName, first)), "fresh")
         parts = [fresh]
+        may_crowd = not packed and back is not None and crowds is not None and set(cut) <= set(populations or {})
         for _ in range(self.max_rounds):
+            if may_crowd and (n := fresh.count()) >= max(CROWD_ROWS, CROWD_PER_NODE * sum(populations[s] for s in cut)):
+                may_crowd = False
+                prune, shared = self._crowd(seeds, fresh, links, back, part, cut, populations, crowds)
+                pruned = stage(prune(fresh), "fresh")
+                parts = [stage(prune(p), "seen") for p in parts if p is not fresh] + [pruned]
+                fresh = pruned
             moved = back_to_cut(spread(by_state(fresh), {}))
             if not moved:
                 break
@@ -318,13 +438,41 @@ class Evaluator:
                     if old is not fresh:
                         release(old)
                 parts = [merged]
-            fresh = stage(reduce(DataFrame.unionByName, moved).distinct().join(reduce(DataFrame.unionByName, parts), [*columns, "state"], "left_anti"), "fresh")
+            fresh = stage(prune(news(pack(reduce(DataFrame.unionByName, moved)), parts)), "fresh")
             if fresh.isEmpty():
                 break
             parts.append(fresh)
         else:
             raise RuntimeError("the iteration did not end")
-        return spread(by_state(reduce(DataFrame.unionByName, parts)), seeds)
+        own = by_state(reduce(DataFrame.unionByName, parts))
+        return spread({s: r.unionByName(shared[s]) if s in shared else r for s, r in own.items()}, seeds)
+
+    def _crowd(self, seeds: dict[int, DataFrame], fresh: DataFrame, links: dict, back: dict, part: list[int], cut: list[int], populations: dict[int, int], crowds: list[DataFrame]) -> tuple[Callable, dict[int, DataFrame]]:
+        """Let all starts that reach a hub share what the hub reaches.
+
+        The hub is the node, in a state, with most of the new rows. What it reaches, and what reaches it, are node sets, found in time linear in the
+        graph. The starts among the latter become members of a crowd, which takes their place in the rows that the hub
+        gives; of their own they keep only rows elsewhere. Members take the crowd's place again in the result.
+        """
+        self._crowds += 1
+        self.stats.crowds += 1
+        number = -self._crowds
+        hub = fresh.groupBy("node", "state").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "state", "node").first()
+        spark = self.graph.spark
+        reached = self._fixpoint({hub.state: spark.createDataFrame([(number, hub.node)], "src long, node long")}, links, part, populations)
+        reached = stage(reduce(DataFrame.unionByName, [reached[s].select("src", "node", F.lit(s).alias("state")) for s in cut if s in reached]).distinct(), "reached")
+        reaching = self._fixpoint({hub.state: spark.createDataFrame([(hub.node,)], "node_id long")}, back, part, populations)
+        members = [rows.join(reaching[s].withColumnRenamed("node_id", "node"), "node", "left_semi").select("src") for s, rows in seeds.items() if s in reaching]
+        members = stage(reduce(DataFrame.unionByName, members).distinct().select(F.lit(number).cast("long").alias("crowd"), F.col("src").alias("member")), "members")
+        crowds.append(members)
+        covered = reached.select("node", "state", F.lit(True).alias("_covered"))
+        in_crowd = members.select(F.col("member").alias("src"), F.lit(True).alias("_member"))
+
+        def prune(rows: DataFrame) -> DataFrame:
+            marked = rows.join(in_crowd, "src", "left").join(covered, ["node", "state"], "left")
+            return marked.where("_member IS NULL OR _covered IS NULL").select(*rows.columns)
+
+        return prune, {s: reached.where(F.col("state") == s).select("src", "node") for s in cut}
 
 
 def cycle_cut(part: list[int], moves: set[tuple[int, int]], populations: dict[int, int] | None = None) -> list[int]:
@@ -375,11 +523,17 @@ def starts_at_right(ev: Evaluator, n: int, left: DataFrame | None, right: DataFr
     return ends[1].count() < ends[0].count()
 
 
-def answer(q: ConjunctivePathQuery, graph: PropertyGraph, binding: str = "edge", bindings: dict[str, DataFrame] | None = None, decode: bool = True, evaluator: Evaluator | None = None) -> DataFrame:
+def has_answer(q: ConjunctivePathQuery, graph: PropertyGraph, **how) -> bool:
+    """Whether there is an answer: Spark stops at the first."""
+    return not answer(q, graph, **how).isEmpty()
+
+
+def answer(q: ConjunctivePathQuery, graph: PropertyGraph, binding: str = "edge", bindings: dict[str, DataFrame] | None = None, decode: bool = True, evaluator: Evaluator | None = None, limit: int | None = None) -> DataFrame:
     """Answers of a query whose variables are all answered (see ``bind_existentials``), one column a variable.
 
     Unary atoms come first and seed the binary ones; a binary atom starts at the end that is bound or more selective.
     ``bindings`` restricts variables to the node_id of a table. Columns hold natural keys unless ``decode`` is off.
+    ``limit``: any that many answers.
     """
     ev = evaluator or Evaluator(graph, q.book.copy(), binding)
     book = ev.book
@@ -403,15 +557,17 @@ def answer(q: ConjunctivePathQuery, graph: PropertyGraph, binding: str = "edge",
         known = done | set(sets)
         n, x, y = min(binary, key=lambda b: (-len({b[1], b[2]} & done), -len({b[1], b[2]} & known), q.atoms.index(b)))
         binary.remove((n, x, y))
+        if x != y and {x, y} <= done:
+            known = stage(joined.select(F.col(x).alias("src"), F.col(y).alias("dst")).distinct(), "known")
+            rows = ev.linked(n, known).select(F.col("src").alias(x), F.col("dst").alias(y))
+            joined = rows if set(joined.columns) == {x, y} else joined.join(rows, [x, y], "left_semi")
+            continue
         left = of(x) if x not in done else joined.select(F.col(x).alias("node_id")).distinct()
         right = of(y) if y not in done else joined.select(F.col(y).alias("node_id")).distinct()
-        turned = starts_at_right(ev, n, left, right)
-        if turned:
-            rows = ev.pairs_of(invert(book, n), right).select(F.col("node").alias("src"), F.col("src").alias("node"))
+        if starts_at_right(ev, n, left, right):
+            rows = ev.pairs_of(invert(book, n), right, left).select(F.col("node").alias("src"), F.col("src").alias("node"))
         else:
-            rows = ev.pairs_of(n, left)
-            if right is not None and y not in done:
-                rows = rows.join(right.withColumnRenamed("node_id", "node"), "node", "left_semi").select("src", "node")
+            rows = ev.pairs_of(n, left, right)
         if x == y:
             rows = rows.where("src = node").select(F.col("src").alias(x))
         else:
@@ -425,6 +581,7 @@ def answer(q: ConjunctivePathQuery, graph: PropertyGraph, binding: str = "edge",
             joined = of(v).withColumnRenamed("node_id", v)
             done.add(v)
     out = joined.select(*q.answer).distinct()
+    out = out if limit is None else out.limit(limit)
     return out.select(*(natural_key(v).alias(v) for v in q.answer)).distinct() if decode else out
 
 

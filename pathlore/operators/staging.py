@@ -30,6 +30,17 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     return staged
 
 
+def stage_pairs(df: DataFrame, key: str, least_bytes: int) -> DataFrame:
+    """A table that many rounds join by ``key``: written once, bucketed and sorted by it, if Spark's estimate of its size says that it is not small."""
+    spark = df.sparkSession
+    if int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()) <= least_bytes:
+        return df
+    name = f"pairs_{uuid.uuid4().hex}"
+    buckets = int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
+    df.write.format("parquet").bucketBy(buckets, key).sortBy(key).saveAsTable(name)
+    return spark.table(name)
+
+
 def release(df: DataFrame) -> None:
     """Delete a table that ``stage`` wrote, once nothing reads it any more."""
     path = getattr(df, "_staged_path", None)

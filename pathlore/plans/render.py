@@ -28,15 +28,40 @@ def _tests(tests, alias: str) -> list[str]:
     return [f"{alias}.{t.key} {t.op} {_literal(t.value)}" for t in sorted(tests, key=str)]
 
 
+class UnboundedQuery(ValueError):
+    pass
+
+
+def longest_run(book: AutomatonBook, n: int) -> int | None:
+    """Moves of the longest run of an automaton; None if it has a cycle."""
+    ahead: dict[int, set[int]] = {}
+    for x, _, y in book[n].moves:
+        ahead.setdefault(x, set()).add(y)
+    known: dict[int, int | None] = {}
+
+    def length(s: int, path: frozenset[int]) -> int | None:
+        if s in path:
+            return None
+        if s not in known:
+            own = [length(t, path | {s}) for t in sorted(ahead.get(s, ()))]
+            known[s] = None if None in own else max((1 + k for k in own), default=0)
+        return known[s]
+
+    own = [length(s, frozenset()) for s in range(book[n].states)]
+    return None if None in own else max(own, default=0)
+
+
 class SqlRenderer:
     """SQL over two open tables: nodes (node_id, labels array, properties) and edges (role, src, dst, properties).
 
-    Each automaton becomes a table of moves (a, b, src, dst) and, with ``rounds``, that many unrolled steps of distinct rows; so it
-    always ends, and it is complete where no run needs more steps (acyclic automata, or data of bounded depth).
+    Each automaton becomes a table of moves (a, b, src, dst) and its runs. An automaton without a cycle is unrolled to the length
+    of its longest run. One with a cycle becomes a recursive common table expression: with ``distinct`` one that drops rows seen
+    before, which always ends, for engines that have it; otherwise one that ends only if the data have no cycle that
+    the query follows, which the caller says by ``acyclic_data``. Nothing is cut off: what cannot be complete is refused.
     """
 
-    def __init__(self, book: AutomatonBook, rounds: int):
-        self.book, self.rounds, self.ctes, self.done = book, rounds, [], set()
+    def __init__(self, book: AutomatonBook, distinct: bool, acyclic_data: bool):
+        self.book, self.distinct, self.acyclic_data, self.ctes, self.done = book, distinct, acyclic_data, [], set()
 
     def move(self, x: int, s, y: int) -> str:
         head = f"SELECT {x} AS a, {y} AS b, "
@@ -67,16 +92,25 @@ class SqlRenderer:
         moves = [m for m in (self.move(*m) for m in a.moves) if m] or ["SELECT 0 AS a, 0 AS b, n.node_id AS src, n.node_id AS dst FROM nodes n WHERE false"]
         self.ctes.append((f"moves{n}", " UNION ALL ".join(moves)))
         begin = " UNION ALL ".join(f"SELECT {s} AS first, {s} AS state, n.node_id AS src, n.node_id AS node FROM nodes n" for s in firsts)
-        self.ctes.append((f"walk{n}_0", begin))
-        for i in range(1, self.rounds + 1):
-            self.ctes.append((f"walk{n}_{i}", f"SELECT first, state, src, node FROM walk{n}_{i - 1} UNION SELECT w.first, m.b, w.src, m.dst FROM walk{n}_{i - 1} w JOIN moves{n} m ON w.state = m.a AND w.node = m.src"))
+        step = lambda table: f"SELECT w.first, m.b, w.src, m.dst FROM {table} w JOIN moves{n} m ON w.state = m.a AND w.node = m.src"
+        longest = longest_run(self.book, n)
+        if longest is None:
+            if not (self.distinct or self.acyclic_data):
+                raise UnboundedQuery("the query has a cycle: it needs an engine with distinct recursion, or data known to be acyclic")
+            self.ctes.append((f"walk{n}(first, state, src, node)", f"{begin} {'UNION' if self.distinct else 'UNION ALL'} {step(f'walk{n}')}"))
+            walk = f"walk{n}"
+        else:
+            self.ctes.append((f"walk{n}_0", begin))
+            for i in range(1, longest + 1):
+                self.ctes.append((f"walk{n}_{i}", f"SELECT first, state, src, node FROM walk{n}_{i - 1} UNION {step(f'walk{n}_{i - 1}')}"))
+            walk = f"walk{n}_{longest}"
         finals = ", ".join(map(str, sorted(a.finals))) or "-1"
-        self.ctes.append((f"runs{n}", f"SELECT DISTINCT first, src, node FROM walk{n}_{self.rounds} WHERE state IN ({finals})"))
+        self.ctes.append((f"runs{n}", f"SELECT DISTINCT first, src, node FROM {walk} WHERE state IN ({finals})"))
 
 
-def to_sql(q: ConjunctivePathQuery, rounds: int = 8) -> str:
-    """The query in SQL that Spark and other engines run, over the open tables; node ids are returned."""
-    r = SqlRenderer(q.book, rounds)
+def to_sql(q: ConjunctivePathQuery, distinct: bool = False, acyclic_data: bool = False) -> str:
+    """The query in SQL over the open tables; node ids are returned. Spark has no distinct recursion: see ``SqlRenderer``."""
+    r = SqlRenderer(q.book, distinct, acyclic_data)
     froms, seen, where = [], {}, []
     for i, (n, x, y) in enumerate(q.atoms):
         r.automaton(n)
@@ -88,4 +122,4 @@ def to_sql(q: ConjunctivePathQuery, rounds: int = 8) -> str:
             else:
                 seen[v] = c
     ctes = ",\n".join(f"{name} AS ({body})" for name, body in r.ctes)
-    return f"WITH {ctes}\nSELECT DISTINCT {', '.join(f'{seen[v]} AS {v}' for v in q.answer)}\nFROM {', '.join(froms)}\nWHERE {' AND '.join(where)}"
+    return f"WITH RECURSIVE {ctes}\nSELECT DISTINCT {', '.join(f'{seen[v]} AS {v}' for v in q.answer)}\nFROM {', '.join(froms)}\nWHERE {' AND '.join(where)}"

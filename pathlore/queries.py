@@ -8,14 +8,14 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pathlore import workload
+from pathlore import experiments, workload
 from pathlore.operators import chase, closure, consistency, statistics, temporal
 from pathlore.operators.certain import certain_answers, plain_answers
 from pathlore.operators.evaluate import answer
 from pathlore.operators.runtime_jumps import answer_with_runtime_jumps
 from pathlore.plans.ontology import parse_ontology, shop
 from pathlore.plans.query import parse_query
-from pathlore.plans.rewrite import RewriteOptions, rewrite
+from pathlore.plans.rewrite import rewrite
 from pathlore.sources.graph import KEY_BITS, build_graph, natural_key, table
 from pathlore.streaming import events as event_stream
 
@@ -419,16 +419,34 @@ def candidate_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @query()
-def skip_by_relevance(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Relevant candidates checked one by one: the same tuples as the saturation, at a higher cost."""
-    rows = []
-    for name in ("v1_licensed", "v2_accredited_region", "v3_handled_supplier", "v5_licence_star"):
-        q = parse_query(workload.QUERIES[name])
-        for way in ("relevant", "saturate"):
-            s = rewrite(q, shop(), RewriteOptions(anonymous=way)).stats
-            rows.append((name, way, s.tuples_minimal, s.rewrite_ms, s.infeasible))
-    return spark.createDataFrame(rows, "query string, way string, tuples int, rewrite_ms double, infeasible boolean")
+def baseline_costs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every way of finding jumps over every hand-written query: candidates, jumps, whether it is infeasible, and the time."""
+    return spark.createDataFrame(list(experiments.baseline_costs()), "query string, way string, candidates string, tuples int, infeasible boolean, rewrite_ms double")
+
+
+@query()
+def infeasible_by_way(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Of 100 generated queries over each ontology, those that each way of finding jumps cannot rewrite."""
+    return spark.createDataFrame(list(experiments.infeasible_by_way()), "ontology string, way string, queries int, many_states int, infeasible int")
+
 
+@query()
+def generated_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sizes of all generated queries before and after rewriting."""
+    return spark.createDataFrame(list(experiments.generated_sizes()), "ontology string, guided boolean, number int, states_in int, transitions_in int, states_out int, transitions_out int, tuples_minimal int")
+
+
+@query()
+def rewriting_variants(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Moves and jumps of each hand-written query under each order of the passes and without each rule."""
+    return spark.createDataFrame(list(experiments.rewriting_variants()), "query string, variant string, transitions_in int, transitions_out int, tuples_minimal int")
+
+
+@query()
+def handwritten_queries(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The reference's table of hand-written queries: moves, jumps, times, with a timeout of 1000 s."""
+    schema = "query string, transitions_in int, transitions_out int, candidates_relevant string, tuples_minimal int, rewrite_ms double, eval_ms double, timed_out boolean, answers long, jobs int, stages int, shuffle_bytes long"
+    return spark.createDataFrame(list(experiments.handwritten(spark, sf_dir)), schema)
 
 
 @query()
@@ -447,19 +465,25 @@ def rewriting_correlations(spark: SparkSession, sf_dir: str) -> DataFrame:
     return reduce(DataFrame.unionByName, out)
 
 
+EVALUATED = "ontology string, guided boolean, number int, query string, transitions_in int, transitions_out int, rewrite_ms double, eval_ms double, timed_out boolean, answers long, star boolean"
+
+
 @query()
 def evaluate_generated(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """100 guided random queries over each ontology, rewritten and evaluated over all views under a timeout of 20 s each."""
-    rows = []
-    for name, onto in (("flat", workload.scaled_ontology()), ("shop", workload.shop_18())):
-        for text in workload.generate_queries(onto, seed=42, guided=True):
-            r = rewrite(parse_query(text), onto)
-            t = statistics.timed_answer(lambda q=r.query: answer(q, build_graph(spark, sf_dir, ("commerce", "activity", "text"))), 20, spark)
-            rows.append((name, text, "*" in text, r.stats.transitions_in, r.stats.transitions_out, r.stats.rewrite_ms, t["eval_ms"], t["timed_out"], t["answers"]))
-    out = spark.createDataFrame(rows, "ontology string, query string, star boolean, transitions_in int, transitions_out int, rewrite_ms double, eval_ms double, timed_out boolean, answers long")
-    finished = out.where(~F.col("timed_out")).groupBy("ontology")
-    by_output = finished.agg(F.try_divide(F.covar_pop("transitions_out", "eval_ms"), F.stddev_pop("transitions_out") * F.stddev_pop("eval_ms")).alias("eval_by_output"))
-    return out.join(by_output, "ontology", "left")
+    """100 free and 100 guided queries over each ontology, rewritten and evaluated over all views under a timeout of 20 s each."""
+    return spark.createDataFrame(experiments.evaluated(spark, sf_dir), EVALUATED)
+
+
+@query()
+def evaluation_correlation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How the evaluation time moves with the moves of the output; timeouts and queries with answers."""
+    rows = spark.createDataFrame(experiments.evaluated(spark, sf_dir), EVALUATED)
+    done = F.when(~F.col("timed_out"), F.col("eval_ms"))
+    size = F.when(~F.col("timed_out"), F.col("transitions_out"))
+    return rows.groupBy("ontology", "guided").agg(
+        F.count("*").alias("queries"), F.count_if("timed_out").alias("timeouts"), F.count_if(F.col("answers") > 0).alias("with_answers"),
+        F.percentile(done, 0.5).alias("median_ms"), F.max(done).alias("longest_ms"), F.try_divide(F.covar_pop(size, done), F.stddev_pop(size) * F.stddev_pop(done)).alias("time_by_output"),
+    )
 
 
 @query()

@@ -14,6 +14,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from pathlore.plans.ontology import Ontology
 from pathlore.plans.terms import TOP, DataTest
 
 KEY_BITS = 56
@@ -63,6 +64,8 @@ class PropertyGraph:
     extra: dict[str, DataFrame] = field(default_factory=dict)
     #: Which kinds a role leads from and to, where known: used for estimates only.
     ends: dict[str, tuple[str, str]] = field(default_factory=dict)
+    #: Whether a role leads from a node to one at most, and whether it leads into a node from one at most: used to choose plans only.
+    single: dict[str, tuple[bool, bool]] = field(default_factory=dict)
     _sizes: dict[str, int] = field(default_factory=dict)
 
     def kind_size(self, kind: str) -> int:
@@ -172,6 +175,9 @@ def commerce(g: PropertyGraph, read: Callable[[str], DataFrame]) -> None:
     }
 
 
+    g.single |= {"inRegion": (True, False), "customerNation": (True, False), "supplierNation": (True, False), "placed": (False, True), "ofBrand": (True, False)}
+
+
 def activity(g: PropertyGraph, read: Callable[[str], DataFrame]) -> None:
     events, talk = read("events"), read("conversations")
     g.kinds["event"] = NodeKind(
@@ -195,6 +201,7 @@ def activity(g: PropertyGraph, read: Callable[[str], DataFrame]) -> None:
     order = W.partitionBy("conv_id").orderBy("turn")
     reply = talk.select("conv_id", "turn", F.lead("turn").over(order).alias("next"), F.lead(F.length("text")).over(order).alias("reply_chars")).where("next IS NOT NULL")
     g.ends |= {"performed": ("customer", "event"), "nextEvent": ("event", "event"), "inConversation": ("turn", "conversation"), "nextTurn": ("turn", "turn")}
+    g.single |= {"performed": (False, True), "nextEvent": (True, True), "inConversation": (True, False), "nextTurn": (True, True)}
     g.roles["nextTurn"] = reply.select(turn_id("conv_id", "turn").alias("src"), turn_id("conv_id", "next").alias("dst"), "reply_chars")
 
 
@@ -239,6 +246,14 @@ def build_graph(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("com
     return g
 
 
+def signature(onto: Ontology, graph: PropertyGraph) -> dict[str, set[str]]:
+    """The names that queries may use (``extended``: of ontology and data) and those that the data have (``reduced``), roles and concepts apart."""
+    return {
+        "extended_concepts": onto.names() | graph.label_names(), "reduced_concepts": graph.label_names(),
+        "extended_roles": onto.role_names() | graph.role_names(), "reduced_roles": graph.role_names(),
+    }
+
+
 def graph_from_tables(nodes: DataFrame, edges: DataFrame, labels: set[str], roles: set[str]) -> PropertyGraph:
     """A graph of open tables: nodes (node_id, labels array, properties...) and edges (role, src, dst, properties...)."""
     props = tuple(c for c in nodes.columns if c not in ("node_id", "labels"))

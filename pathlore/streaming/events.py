@@ -45,3 +45,20 @@ def error_customers(events: DataFrame, wealthy: DataFrame) -> DataFrame:
     return events.where(F.col("event_type") == "error").join(wealthy, events.user_id == wealthy.c_custkey, "left_semi")
 
 
+def without_repeats(events: DataFrame, late: str = "1 hour") -> DataFrame:
+    """Each event once, as long as its repeats come within the watermark."""
+    return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
+
+
+def followed_by(events: DataFrame, first: str, then: str, within: str = "1 hour", late: str = "1 hour") -> DataFrame:
+    """Pairs of a user's events, the one of type ``then`` after that of type ``first`` and at most ``within`` later.
+
+    Works on a batch and on a stream: there both sides have a watermark, so the state of each is dropped once no partner can
+    come any more, and events later than ``late`` are left out.
+    """
+    side = lambda kind, *names: events.where(F.col("event_type") == kind).select(*(F.col(c).alias(n) for c, n in zip(("event_id", "user_id", "ts"), names, strict=True)))
+    a, b = side(first, "event_id", "user_id", "ts"), side(then, "next_id", "next_user", "next_ts")
+    if events.isStreaming:
+        a, b = a.withWatermark("ts", late), b.withWatermark("next_ts", late)
+    near = (F.col("user_id") == F.col("next_user")) & (F.col("next_ts") > F.col("ts")) & (F.col("next_ts") <= F.col("ts") + F.expr(f"INTERVAL {within}"))
+    return a.join(b, near).select("user_id", "event_id", "next_id")
