@@ -9,6 +9,7 @@ import pytest
 from test_operators import empty, fold, some_docs
 
 from pathlore.llm import exact_dedup, near_copies
+from pathlore.llm.common import stage
 
 WHITE = " \t\n\r\x0b\x0c"
 
@@ -61,7 +62,8 @@ def test_sets_equal_brute_force():
 
 @pytest.mark.parametrize("sf", ["sf0.001", "sf0.01"])
 def test_documents_equal_brute_force(spark, sf):
-    docs = exact_dedup.keep_first_of_equal(spark.read.parquet(f"/root/testdata/{sf}/documents.parquet")).localCheckpoint()
+    docs = exact_dedup.keep_first_of_equal(spark.read.parquet(f"/root/testdata/{sf}/documents.parquet"))
+    docs = stage(docs, "deduplicated")
     rows = docs.collect()
     root, pairs = brute_components([r.text for r in rows])
     best = {}
@@ -72,7 +74,9 @@ def test_documents_equal_brute_force(spark, sf):
     assert sf != "sf0.01" or pairs
 
 
-def test_edges_and_large_groups(spark):
+@pytest.mark.parametrize("block", [4000, 40, 3])
+def test_edges_and_large_groups(spark, monkeypatch, block):
+    monkeypatch.setattr(near_copies, "BLOCK_ROWS", block)
     docs, rows = some_docs(spark)
     rng = random.Random(5)
     base = [f"w{i}" for i in range(200)]
@@ -93,3 +97,22 @@ def test_bands_find_pairs_at_the_threshold():
     for _ in range(300):
         common, a, b = np.split(np.unique(rng.integers(0, 1 << 63, 100, "uint64")), [80, 90])
         assert (near_copies.bands(np.union1d(common, a)) == near_copies.bands(np.union1d(common, b))).any()
+
+
+def test_chains_across_blocks(spark, monkeypatch):
+    """Rows that are alike to their neighbours only, and others near them: components that no single block shows."""
+    monkeypatch.setattr(near_copies, "BLOCK_ROWS", 5)
+    rng = random.Random(2)
+    words, rows = [f"w{i}" for i in range(150)], []
+    for i in range(60):
+        words[(7 * i) % 150] = f"step{i}"
+        words[(7 * i + 75) % 150] = f"turn{i}"
+        rows.append((i, " ".join(words)))
+    rows += [(100 + i, edited(rng, [f"w{k}" for k in range(150)], 12 + i % 9)) for i in range(30)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    root, _ = brute_components([t for _, t in rows])
+    best = {}
+    for (i, _), c in zip(rows, root, strict=True):
+        best[c] = min(i, best.get(c, i))
+    assert 2 < len(best) < 60
+    assert sorted(r.doc_id for r in stage_of(spark, docs).collect()) == sorted(best.values())
