@@ -1,8 +1,8 @@
 """SimHash near-duplicates by vantage-point trees over Hamming distance.
 
 Fingerprints are made of the XXH64 hashes of word shingles. Equal fingerprints are first reduced to one, so copies are
-no hot spot. A tree of vantage points, fitted on a bounded sample (SAMPLE fingerprints), cuts the space
-into shards; each fingerprint has one home shard and visits every nearer shard that the triangle bound cannot rule
+no hot spot. A tree of vantage points, fitted on a sample (SAMPLE fingerprints, or PER_SHARD a shard where that is more), cuts the space
+into shards, of some candidates by the vantage point with the fewest fingerprints in reach of both sides; each fingerprint has one home shard and visits every nearer shard that the triangle bound cannot rule
 out, so that each linking pair meets in the home shard of one of its two. Within a shard the same cutting
 goes on in memory down to LEAF fingerprints, which are compared in blocks. A shard returns a spanning star of each of
 its linked sets, never all pairs; the sets are then joined by distributed connected components.
@@ -25,8 +25,10 @@ from pyspark.sql import functions as F
 from pathlore.llm.common import attach_groups, connected_components, map_batches, stage
 
 WORDS_IN_SHINGLE, SEED, RADIUS = 3, 42, 2
-#: Fingerprints on which the upper tree is fitted; home fingerprints that a shard should have; fingerprints compared in a block.
-SAMPLE, SHARD, LEAF = 20_000, 30_000, 256
+#: Fingerprints on which the upper tree is fitted, at least and for each shard; fingerprints compared in a block; vantage points tried.
+SAMPLE, PER_SHARD, LEAF, TRIED = 20_000, 16, 256, 6
+#: Home fingerprints of a shard: SHARD until there are MANY shards, then more, up to LARGEST.
+SHARD, MANY, LARGEST = 30_000, 4096, 1_000_000
 
 
 def fingerprint(text: str | None, words_in_shingle: int = WORDS_IN_SHINGLE, seed: int = SEED) -> int:
@@ -62,23 +64,47 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     return map_batches(docs.select("doc_id", "text"), work, "doc_id long, fp long")
 
 
-def split(points: np.ndarray, seed: int) -> tuple[np.uint64, int, np.ndarray] | None:
-    """A vantage point, the distance that halves the points, and the points' distances; None if no distance parts them."""
-    vantage = points[(seed * 0x9E3779B1) % len(points)]
-    d = np.bitwise_count(points ^ vantage)
-    at = int(np.median(d))
-    for cut in (at, at - 1, at + 1):
-        if 0 < np.count_nonzero(d <= cut) < len(points):
-            return vantage, cut, d
-    return None
-
-
-def grow(sample: np.ndarray, leaves: int, seed: int = 1) -> tuple | None:
-    """The upper tree: (vantage, cut, near, far), None for a shard."""
-    if leaves <= 1 or len(sample) < 8 or (s := split(sample, seed)) is None:
+def split(points: np.ndarray, seed: int, radius: int = RADIUS, tried: int = 1) -> tuple[np.uint64, int, np.ndarray] | None:
+    """A vantage point, the distance that about halves the points, and the points' distances; None if no distance parts them.
+
+    Of several vantage points and cuts that leave a third on either side, the pair with the fewest points that must visit the other side.
+    """
+    best = None
+    for k in range(tried):
+        vantage = points[(seed * 0x9E3779B1 + k * 0x85EBCA6B) % len(points)]
+        d = np.bitwise_count(points ^ vantage)
+        at = int(np.median(d))
+        sizes = np.cumsum(np.bincount(d, minlength=at + radius + 3))  # points within each distance
+        for cut in (at, at - 1, at + 1, *([at - 2, at + 2] if tried > 1 else [])):
+            if cut < 0 or not 0 < sizes[cut] < len(points):
+                continue
+            visitors = int(sizes[min(cut + radius, len(sizes) - 1)] - sizes[cut])
+            lopsided = 3 * min(sizes[cut], len(points) - sizes[cut]) < len(points)
+            if best is None or (lopsided, visitors) < best[0]:
+                best = ((lopsided, visitors), vantage, cut, d)
+            if tried == 1:
+                break
+        if tried == 1 and best:
+            break
+    return best and best[1:]
+
+
+def grow(sample: np.ndarray, leaves: int, radius: int = RADIUS, seed: int = 1) -> tuple | None:
+    """The upper tree: (vantage, cut, near, far), None for a shard. Leaves are dealt to the two sides by their sizes."""
+    if leaves <= 1 or len(sample) < 8 or (s := split(sample, seed, radius, TRIED)) is None:
         return None
     vantage, cut, d = s
-    return int(vantage), cut, grow(sample[d <= cut], leaves // 2, 2 * seed), grow(sample[d > cut], leaves - leaves // 2, 2 * seed + 1)
+    near = min(leaves - 1, max(1, round(leaves * np.count_nonzero(d <= cut) / len(d))))
+    return int(vantage), cut, grow(sample[d <= cut], near, radius, 2 * seed), grow(sample[d > cut], leaves - near, radius, 2 * seed + 1)
+
+
+def shards_for(count: int) -> int:
+    return max(min(-(-count // SHARD), MANY), -(-count // LARGEST), 1)
+
+
+def copies_per_point(tree: tuple | None, points: np.ndarray, radius: int = RADIUS) -> float:
+    """In how many shards a fingerprint is, home and visits, on average."""
+    return sum(len(home) + len(visit) for _, home, visit in route(tree, points, radius)) / max(1, len(points))
 
 
 def route(tree: tuple | None, points: np.ndarray, radius: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
@@ -124,7 +150,7 @@ def link_within(points: np.ndarray, home: np.ndarray, visit: np.ndarray, radius:
     """Join every home point with every home point or visitor within ``radius``."""
     if not len(home) or len(home) + len(visit) < 2:
         return
-    s = split(points[home], seed) if len(home) > LEAF else None
+    s = split(points[home], seed, radius) if len(home) > LEAF else None
     if s is None:
         both = np.concatenate([home, visit])
         step = max(1, (1 << 22) // len(home))
@@ -156,8 +182,9 @@ def link_shard(radius: int):
 
 def link_fingerprints(distinct: DataFrame, count: int, radius: int = RADIUS) -> DataFrame:
     """(node, root) of the linked fingerprints of a table with distinct fp; those without a link are absent."""
-    sample = np.array([r.fp for r in distinct.orderBy(F.xxhash64("fp"), "fp").limit(SAMPLE).select("fp").collect()], "int64").view("uint64")
-    tree = grow(sample, max(1, -(-count // SHARD)))
+    leaves = shards_for(count)
+    chosen = distinct.orderBy(F.xxhash64("fp"), "fp").limit(max(SAMPLE, PER_SHARD * leaves)).select("fp")  # a part in 10,000 or less once there are many
+    tree = grow(chosen.toArrow().column("fp").to_numpy().view("uint64"), leaves, radius)
 
     def work(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         points = batch.column("fp").to_numpy().view("uint64")

@@ -6,8 +6,8 @@ over a whole corpus cannot be built, so the text is first brought together by co
 1. Documents are packed into blocks. In each block, every LENGTH-byte window is keyed by the least hash of its
    GRAM-byte substrings; neighbouring windows mostly share a key. Equal windows have equal keys. Each block sends its
    distinct keys, once each, to the key's bucket.
-2. A bucket tells each block which of its keys other documents have too. Keys that very many blocks have are marked
-   heavy.
+2. A bucket tells each block which of its keys other documents have too. Keys that very many blocks have, or with very much
+   text, are marked heavy.
 3. Blocks send the distinct stretches of windows with a shared key to the key's bucket. Under a heavy key each
    window is sent alone, to the bucket of its own hash, so that no bucket grows with one key.
 4. A bucket groups equal windows: stretches with the same bytes are one; where a key has different stretches, a suffix
@@ -37,8 +37,8 @@ from pathlore.llm.suffix_groups import suffix_array
 LENGTH, GRAM = 50, 20
 #: Text bytes of a block and of a bucket: they grow with the table between these bounds.
 BLOCK_BYTES, BUCKET_BYTES = (2 << 20, 64 << 20), (4 << 20, 256 << 20)
-#: Blocks that share a key before it counts as heavy; bytes of one suffix array's text.
-HEAVY_BLOCKS, ARRAY_BYTES = 4096, 200_000
+#: Blocks that share a key, or bytes under it, before it counts as heavy; bytes of one suffix array's text.
+HEAVY_BLOCKS, HEAVY_BYTES, ARRAY_BYTES = 4096, 32 << 20, 200_000
 ODD_A, ODD_B = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 KEY_BITS = 40
 #: Bytes whose hashes are computed at once.
@@ -187,13 +187,15 @@ def send_keys(buckets: int):
         for batch in batches:
             for block_id, message in zip(batch.column("block_id").to_pylist(), batch.column("message"), strict=True):
                 block = Block(message.as_buffer())
-                key, doc, _, _ = block.runs()
-                b, short, several, _ = distinct_keys(key, block.ids[doc], buckets)
+                key, doc, first, last = block.runs()
+                b, short, several, number = distinct_keys(key, block.ids[doc], buckets)
+                size = np.bincount(number, last - first + LENGTH - 1, len(b))
+                size = np.ceil(np.log2(np.maximum(size, 1))).astype("uint8")  # up to the next power of two
                 names, at = np.unique(b, return_index=True)
                 ends = np.append(at[1:], len(b))[: len(at)]
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(names), pa.array(np.full(len(names), block_id)), pa.array([to_planes(short[x:y], KEY_BITS // 8) for x, y in zip(at, ends, strict=True)], pa.binary()), pa.array([np.packbits(several[x:y]).tobytes() for x, y in zip(at, ends, strict=True)], pa.binary())],
-                    ["bucket", "block_id", "keys", "several"],
+                    [pa.array(names), pa.array(np.full(len(names), block_id)), pa.array([to_planes(short[x:y], KEY_BITS // 8) for x, y in zip(at, ends, strict=True)], pa.binary()), pa.array([np.packbits(several[x:y]).tobytes() for x, y in zip(at, ends, strict=True)], pa.binary()), pa.array([size[x:y].tobytes() for x, y in zip(at, ends, strict=True)], pa.binary())],
+                    ["bucket", "block_id", "keys", "several", "sizes"],
                 )
 
     return work
@@ -209,7 +211,9 @@ def mark_shared(heavy_blocks: int):
         all_keys, number, count = np.unique(np.concatenate(keys), return_inverse=True, return_counts=True)
         in_one = np.zeros(len(all_keys), bool)
         np.logical_or.at(in_one, number, np.concatenate(several))
-        mark = np.where(count > heavy_blocks, 2, np.where((count > 1) | in_one, 1, 0)).astype("uint8")[number]
+        size = np.bincount(number, np.exp2(np.frombuffer(b"".join(x.as_py() for x in sent.column("sizes")), "uint8")), len(all_keys))
+        shared = (count > 1) | in_one
+        mark = np.where(shared & ((count > heavy_blocks) | (size > HEAVY_BYTES)), 2, shared).astype("uint8")[number]
         parts = np.split(mark, np.cumsum(lens)[:-1])
         keep = [i for i, p in enumerate(parts) if p.any()]
         return pa.table({"block_id": sent.column("block_id").take(pa.array(keep, pa.int64())), "bucket": sent.column("bucket").take(pa.array(keep, pa.int64())), "marks": pa.array([parts[i].tobytes() for i in keep], pa.binary())})
@@ -311,13 +315,14 @@ def find_repeats(sent: pa.Table) -> pa.Table:
     least: list[int] = []  # of a text: its smallest id
     by_key: dict[int, set[int]] = {}
     occurrences = []
-    for row in sent.to_pylist():
+    for i in range(sent.num_rows):  # one row at a time: a bucket is not held twice
+        row = {name: sent.column(name)[i].as_py() for name in sent.column_names}
         keys, lens = np.frombuffer(row["keys"], "uint64").tolist(), np.frombuffer(row["lens"], "<u4").astype("int64")
         counts, places, ids = np.frombuffer(row["counts"], "<u4").astype("int64"), np.frombuffer(row["places"], "<i8"), np.frombuffer(row["ids"], "int64")
         ends, of = np.cumsum(lens).tolist(), np.cumsum(counts) - counts
         smallest = np.minimum.reduceat(ids, of).tolist()
         numbers, data = np.empty(len(keys), "int64"), row["data"]
-        for i, (k, n, e, m) in enumerate(zip(keys, lens.tolist(), ends, smallest, strict=True)):
+        for at, (k, n, e, m) in enumerate(zip(keys, lens.tolist(), ends, smallest, strict=True)):
             t = data[e - n : e]
             x = texts.get(t)
             if x is None:
@@ -328,7 +333,7 @@ def find_repeats(sent: pa.Table) -> pa.Table:
                 if m < least[x]:
                     least[x] = m
                 by_key[k].add(x)
-            numbers[i] = x
+            numbers[at] = x
         occurrences.append((row["block_id"], np.repeat(numbers, counts), places, ids))
     window_ids, first, n_windows = order_stretches(list(texts), np.array(least, "int64"), [sorted(x) for x in by_key.values() if len(x) > 1])
     blocks, starts, ends = [], [], []
@@ -462,7 +467,7 @@ def _spans(docs: DataFrame, heavy_blocks: int) -> tuple[DataFrame, DataFrame]:
     parts = partitions_for(spark)
     buckets = int(max(parts, -(-total // _between(total / 2000, BUCKET_BYTES))))
     blocks = stage_bucketed(pack_blocks(docs, _between(total / 2000, BLOCK_BYTES)), "blocks", "block_id", parts)
-    keys = blocks.mapInArrow(send_keys(buckets), "bucket long, block_id long, keys binary, several binary")
+    keys = blocks.mapInArrow(send_keys(buckets), "bucket long, block_id long, keys binary, several binary, sizes binary")
     marks = stage(keys.groupBy("bucket").applyInArrow(mark_shared(heavy_blocks), "block_id long, bucket long, marks binary"), "marks")
     sent = blocks.groupBy("block_id").cogroup(marks.groupBy("block_id")).applyInArrow(send_stretches(buckets), "bucket long, block_id long, keys binary, lens binary, data binary, counts binary, places binary, ids binary")
     spans = stage(sent.groupBy("bucket").applyInArrow(find_repeats, "block_id long, starts binary, ends binary"), "spans")

@@ -9,17 +9,21 @@ Nothing is renamed and nothing recurses.
 
 from __future__ import annotations
 
+import itertools
 from collections.abc import Sequence
 
 UNSET = -2
 
 
 def suffix_array(symbols: Sequence[int]) -> list[int]:
-    """Starts of the suffixes in ascending order. The last symbol must be smaller than any other."""
+    """Starts of the suffixes in ascending order. Symbols are small numbers from 0 on, the last smaller than any other."""
     n = len(symbols)
     if n < 2:
         return list(range(n))
-    order = sorted(range(n), key=symbols.__getitem__)
+    of_symbol: list[list[int]] = [[] for _ in range(max(symbols) + 1)]  # symbols are small numbers: sorted by counting
+    for i, s in enumerate(symbols):
+        of_symbol[s].append(i)
+    order = [*itertools.chain.from_iterable(of_symbol)]
     first = [0] * n  # of a suffix: where its group begins in ``order``
     place = [0] * n  # of a suffix: where it stands in ``order``
     size = [0] * n  # of a group, by where it begins
@@ -80,8 +84,10 @@ def suffix_array(symbols: Sequence[int]) -> list[int]:
         by_count: dict[int, list[int]] = {}
         for p, count in pointed.items():
             by_count.setdefault(count, []).append(p)
-        for count in sorted(by_count, reverse=True):
-            moved = by_count[count]
+        for count in range(max(by_count), 0, -1):  # at most as many steps as the group has members
+            moved = by_count.get(count)
+            if not moved:
+                continue
             touched: dict[int, int] = {}
             for p in moved:
                 group = first[p]

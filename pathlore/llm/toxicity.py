@@ -26,7 +26,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pathlore.llm.common import give_back, map_batches, partitions_for, release, stage
@@ -218,29 +218,47 @@ def boosts(toxic_with: np.ndarray, clean_with: np.ndarray, toxic: int, clean: in
     return 1 + BOOST * np.where(toxic_with * clean > clean_with * toxic, np.maximum(g2 - NOISE, 0), 0)
 
 
-def document_frequencies(docs: DataFrame, terms: Terms) -> tuple[np.ndarray, int]:
-    """In how many of all documents each term is, and the number of documents."""
-    shared = docs.sparkSession.sparkContext.broadcast(terms)  # bounded by the sampled texts
+def sum_by_term(rows: DataFrame, column: str, terms: Terms, read) -> tuple[np.ndarray, int]:
+    """In how many rows each term is, and the number of rows; ``read`` gives the terms of a value."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = shared.value
-        df, seen = np.zeros(len(known) + 1, "int64"), 0
+        df, seen = np.zeros(size + 1, "int64"), 0
         for batch in batches:
             seen += batch.num_rows
-            for text in batch.column("text"):
-                df[known.read(text.as_py())[0]] += 1
+            for value in batch.column(column):
+                df[read(value)] += 1
         df[-1] = seen
         some = np.flatnonzero(df)
         yield pa.RecordBatch.from_arrays([pa.array(some.astype("int32")), pa.array(df[some])], ["term", "df"])
         give_back()
 
-    found = docs.select("text").mapInArrow(count, "term int, df long").groupBy("term").agg(F.sum("df").alias("df")).toArrow()  # a row a term
-    df = np.zeros(len(terms) + 1, "int64")
+    size = len(terms)
+    found = rows.select(column).mapInArrow(count, "term int, df long").groupBy("term").agg(F.sum("df").alias("df")).toArrow()  # a row a term
+    df = np.zeros(size + 1, "int64")
     df[found.column("term").to_numpy()] = found.column("df").to_numpy()
-    shared.unpersist()
     return df[:-1], int(df[-1])
 
 
+def document_frequencies(docs: DataFrame, terms: Terms) -> tuple[np.ndarray, int]:
+    """In how many of all documents each term is, and the number of documents."""
+    shared = docs.sparkSession.sparkContext.broadcast(terms)  # bounded by the sampled texts
+    found = sum_by_term(docs, "text", terms, lambda text: shared.value.read(text.as_py())[0])
+    shared.unpersist()
+    return found
+
+
+def term_rows(docs: DataFrame, terms: Terms) -> DataFrame:
+    """doc_id, held_out, and the text's terms and how often they occur, as little-endian 32-bit integers."""
+    shared = docs.sparkSession.sparkContext.broadcast(terms)
+
+    def work(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        found = [shared.value.read(t.as_py()) for t in batch.column("text")]
+        blobs = (pa.array([x[k].astype("<i4").tobytes() for x in found], pa.binary()) for k in (0, 1))
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), *blobs], ["doc_id", "held_out", "ids", "counts"])
+
+    return map_batches(docs.select("doc_id", "text", held_out().alias("held_out")), work, "doc_id long, held_out boolean, ids binary, counts binary")
+
+
 def sampled_texts(docs: DataFrame, labels: DataFrame, examples: int) -> tuple[DataFrame, list[int]]:
     """doc_id, toxic, text of at most ``examples`` labelled documents that are not held out; and how many there are, clean and toxic."""
     known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg((F.max("toxic") > 0).cast("int").alias("toxic"))
@@ -252,7 +270,16 @@ def sampled_texts(docs: DataFrame, labels: DataFrame, examples: int) -> tuple[Da
     return docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").groupBy("doc_id").agg(F.max("toxic").alias("toxic"), F.max("text").alias("text")), there
 
 
-def train(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES) -> ToxicityModel:
+@dataclass
+class Sample:
+    """The examples: doc_id, label, terms and counts of each; and how many labelled rows there are, clean and toxic."""
+
+    terms: Terms
+    rows: list[tuple[int, bool, np.ndarray, np.ndarray]]
+    there: list[int]
+
+
+def examples_of(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES) -> Sample:
     def take_apart(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         found = [Counter(words_of(t.as_py())) for t in batch.column("text")]
         words, counts = (pa.array([" ".join(c) for c in found], pa.string()), pa.array([np.fromiter(c.values(), "int32", len(c)).tobytes() for c in found], pa.binary()))
@@ -264,21 +291,26 @@ def train(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES) -> Toxic
     for r in staged.orderBy("doc_id").collect():  # ``examples`` rows at most
         rows.append((r.doc_id, bool(r.toxic), *terms.learn(dict(zip(r.words.split(), np.frombuffer(r.counts, "int32").tolist(), strict=True)))))
     release(staged)
-    label = np.array([y for _, y, _, _ in rows], bool)
-    toxic, clean = int(label.sum()), int((~label).sum())
+    return Sample(terms, rows, there)
+
+
+def fit(spark: SparkSession, sample: Sample, df: np.ndarray, n: int) -> ToxicityModel:
+    """The model of the examples, given in how many of ``n`` documents each term is."""
+    terms, rows = sample.terms, sample.rows
     model = ToxicityModel(terms, np.ones(len(terms)))
     if not rows:
         return model
-    model.shares = (there[0] / clean if clean else 1.0, there[1] / toxic if toxic else 1.0)
-    model.rate = there[1] / sum(there)
+    label = np.array([y for _, y, _, _ in rows], bool)
+    toxic, clean = int(label.sum()), int((~label).sum())
+    model.shares = (sample.there[0] / clean if clean else 1.0, sample.there[1] / toxic if toxic else 1.0)
+    model.rate = sample.there[1] / sum(sample.there)
     bare = [model.shares[y] * np.array([1, y]) for _, y, t, _ in rows if not len(t)]
-    n, yes = sum(bare, np.zeros(2)).tolist()
-    model.without = (yes + model.rate) / (n + 1)
+    all_bare, toxic_bare = sum(bare, np.zeros(2)).tolist()
+    model.without = (toxic_bare + model.rate) / (all_bare + 1)
     if not len(terms):
         return model
     number, in_toxic = np.concatenate([t for _, _, t, _ in rows]), np.repeat(label, [len(t) for _, _, t, _ in rows])
     by_label = [np.bincount(number[in_toxic == y], minlength=len(terms)) for y in (True, False)]
-    df, n = document_frequencies(docs, terms)
     boost = boosts(*by_label, toxic, clean) if toxic and clean else np.ones(len(terms))
     model.weights = (np.log((1 + n) / (1 + df)) + 1) * boost
     groups: dict[tuple[bytes, bytes], list] = {}
@@ -294,13 +326,25 @@ def train(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES) -> Toxic
     held.sort(key=lambda h: h[0])
     model.clean, model.toxic, model.evidence = (np.array([h[k] for h in held], "int64") for k in (1, 2, 3))
     model.index([(h[4], h[5]) for h in held])
-    model.calibrate(own_votes(docs, model))
+    model.calibrate(own_votes(spark, model))
     return model
 
 
-def own_votes(docs: DataFrame, model: ToxicityModel) -> list[tuple[float, float, float]]:
+def train(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES) -> ToxicityModel:
+    sample = examples_of(docs, labels, examples)
+    return fit(docs.sparkSession, sample, *document_frequencies(docs, sample.terms))
+
+
+def train_and_score(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES) -> DataFrame:
+    """``with_scores`` of a model of the same documents, reading each text once: its terms are staged between counting and scoring."""
+    sample = examples_of(docs, labels, examples)
+    rows = stage(term_rows(docs, sample.terms), "terms")
+    model = fit(docs.sparkSession, sample, *sum_by_term(rows, "ids", sample.terms, lambda ids: np.frombuffer(ids.as_buffer(), "<i4")))
+    return score_rows(rows, model, ["ids", "counts"], lambda m, ids, counts: m.score_terms(np.frombuffer(ids.as_buffer(), "<i4"), np.frombuffer(counts.as_buffer(), "<i4")))
+
+
+def own_votes(spark: SparkSession, model: ToxicityModel) -> list[tuple[float, float, float]]:
     """For each vector and label: the vote without one such example, and how many of them are toxic and are there. Found in tasks."""
-    spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(model)
 
     def work(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
@@ -314,18 +358,19 @@ def own_votes(docs: DataFrame, model: ToxicityModel) -> list[tuple[float, float,
     return [tuple(r) for r in found]
 
 
-def with_scores(docs: DataFrame, model: ToxicityModel) -> DataFrame:
-    """doc_id, held_out, score, and evidence (doc_ids of near examples)."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by the sampled texts
+def score_rows(rows: DataFrame, model: ToxicityModel, columns: list[str], score) -> DataFrame:
+    shared = rows.sparkSession.sparkContext.broadcast(model)  # bounded by the sampled texts
+
+    def work(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        found = [score(shared.value, *x) for x in zip(*(batch.column(c) for c in columns), strict=True)]
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array([s for s, _ in found], pa.float64()), pa.array([e for _, e in found], pa.list_(pa.int64()))], ["doc_id", "held_out", "score", "evidence"])
+
+    return map_batches(rows.select("doc_id", "held_out", *columns), work, "doc_id long, held_out boolean, score double, evidence array<long>")
 
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m = shared.value
-        for batch in batches:
-            found = [m.score(t.as_py()) for t in batch.column("text")]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array([s for s, _ in found], pa.float64()), pa.array([e for _, e in found], pa.list_(pa.int64()))], ["doc_id", "held_out", "score", "evidence"])
-        give_back()
 
-    return docs.select("doc_id", "text", held_out().alias("held_out")).mapInArrow(work, "doc_id long, held_out boolean, score double, evidence array<long>")
+def with_scores(docs: DataFrame, model: ToxicityModel) -> DataFrame:
+    """doc_id, held_out, score, and evidence (doc_ids of near examples)."""
+    return score_rows(docs.select("doc_id", "text", held_out().alias("held_out")), model, ["text"], lambda m, text: m.score(text.as_py()))
 
 
 def drop_toxic(docs: DataFrame, model: ToxicityModel, least: float = 0.7) -> DataFrame:

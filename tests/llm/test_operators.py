@@ -185,8 +185,9 @@ def brute_removal(rows):
     return out
 
 
-@pytest.mark.parametrize("heavy", [4096, 0])
-def test_suffix_dedup_equals_brute_force(spark, monkeypatch, heavy):
+@pytest.mark.parametrize(("heavy", "heavy_bytes"), [(4096, 32 << 20), (0, 32 << 20), (4096, 200)])
+def test_suffix_dedup_equals_brute_force(spark, monkeypatch, heavy, heavy_bytes):
+    monkeypatch.setattr(suffix_dedup, "HEAVY_BYTES", heavy_bytes)
     monkeypatch.setattr(suffix_dedup, "ARRAY_BYTES", 3000)
     monkeypatch.setattr(suffix_dedup, "BLOCK_BYTES", (3000, 3000))
     rng = random.Random(5)
