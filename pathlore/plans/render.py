@@ -60,8 +60,8 @@ class SqlRenderer:
     the query follows, which the caller says by ``acyclic_data``. Nothing is cut off: what cannot be complete is refused.
     """
 
-    def __init__(self, book: AutomatonBook, distinct: bool, acyclic_data: bool):
-        self.book, self.distinct, self.acyclic_data, self.ctes, self.done = book, distinct, acyclic_data, [], set()
+    def __init__(self, book: AutomatonBook, distinct: bool, acyclic_data: bool, nodes: str, edges: str):
+        self.book, self.distinct, self.acyclic_data, self.nodes, self.edges, self.ctes, self.done = book, distinct, acyclic_data, nodes, edges, [], set()
 
     def move(self, x: int, s, y: int) -> str:
         head = f"SELECT {x} AS a, {y} AS b, "
@@ -72,12 +72,12 @@ class SqlRenderer:
                     return ""
                 cond = [f"e.role = {_literal(r.name)}" for r in s.roles] + _tests(s.tests, "e")
                 src, dst = ("e.src", "e.dst") if way > 0 else ("e.dst", "e.src")
-                return f"{head}{src} AS src, {dst} AS dst FROM edges e WHERE {' AND '.join(cond)}"
+                return f"{head}{src} AS src, {dst} AS dst FROM {self.edges} e WHERE {' AND '.join(cond)}"
             case LabelTest(name):
                 where = "" if name == TOP else f" WHERE array_contains(n.labels, {_literal(name)})"
-                return f"{head}n.node_id AS src, n.node_id AS dst FROM nodes n{where}"
+                return f"{head}n.node_id AS src, n.node_id AS dst FROM {self.nodes} n{where}"
             case NodeTest(tests):
-                return f"{head}n.node_id AS src, n.node_id AS dst FROM nodes n WHERE {' AND '.join(_tests(tests, 'n'))}"
+                return f"{head}n.node_id AS src, n.node_id AS dst FROM {self.nodes} n WHERE {' AND '.join(_tests(tests, 'n'))}"
             case Nest(inner, start):
                 self.automaton(inner)
                 return f"{head}r.src AS src, r.src AS dst FROM (SELECT DISTINCT src FROM runs{inner} WHERE first IN ({', '.join(map(str, [start] if start is not None else sorted(self.book[inner].starts)))})) r"
@@ -89,9 +89,9 @@ class SqlRenderer:
         self.done.add(n)
         a = self.book[n]
         firsts = sorted(a.starts | {s.start for m in self.book.automata.values() for s in m.nests() if s.automaton == n and s.start is not None})
-        moves = [m for m in (self.move(*m) for m in a.moves) if m] or ["SELECT 0 AS a, 0 AS b, n.node_id AS src, n.node_id AS dst FROM nodes n WHERE false"]
+        moves = [m for m in (self.move(*m) for m in a.moves) if m] or [f"SELECT 0 AS a, 0 AS b, n.node_id AS src, n.node_id AS dst FROM {self.nodes} n WHERE false"]
         self.ctes.append((f"moves{n}", " UNION ALL ".join(moves)))
-        begin = " UNION ALL ".join(f"SELECT {s} AS first, {s} AS state, n.node_id AS src, n.node_id AS node FROM nodes n" for s in firsts)
+        begin = " UNION ALL ".join(f"SELECT {s} AS first, {s} AS state, n.node_id AS src, n.node_id AS node FROM {self.nodes} n" for s in firsts)
         step = lambda table: f"SELECT w.first, m.b, w.src, m.dst FROM {table} w JOIN moves{n} m ON w.state = m.a AND w.node = m.src"
         longest = longest_run(self.book, n)
         if longest is None:
@@ -108,9 +108,9 @@ class SqlRenderer:
         self.ctes.append((f"runs{n}", f"SELECT DISTINCT first, src, node FROM {walk} WHERE state IN ({finals})"))
 
 
-def to_sql(q: ConjunctivePathQuery, distinct: bool = False, acyclic_data: bool = False) -> str:
+def to_sql(q: ConjunctivePathQuery, distinct: bool = False, acyclic_data: bool = False, nodes: str = "nodes", edges: str = "edges") -> str:
     """The query in SQL over the open tables; node ids are returned. Spark has no distinct recursion: see ``SqlRenderer``."""
-    r = SqlRenderer(q.book, distinct, acyclic_data)
+    r = SqlRenderer(q.book, distinct, acyclic_data, nodes, edges)
     froms, seen, where = [], {}, []
     for i, (n, x, y) in enumerate(q.atoms):
         r.automaton(n)

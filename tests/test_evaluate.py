@@ -146,17 +146,20 @@ def duck():
     return con
 
 
-@pytest.mark.parametrize("name", sorted(registered.ORACLES))
+ORACLES = registered.oracles()
+
+
+@pytest.mark.parametrize("name", sorted(ORACLES))
 def test_registered_query_equals_sql(spark, duck, name):
     rows = registered.QUERIES[name](spark, DATA)
-    found = duck.execute(registered.ORACLES[name])
+    found = duck.execute(ORACLES[name])
     names = [d[0] for d in found.description]
     assert sorted(rows.columns) == sorted(names)
     want = sorted(map(repr, ({n: v for n, v in sorted(zip(names, r, strict=True))} for r in found.fetchall())))
     assert sorted(repr(dict(sorted(r.asDict().items()))) for r in rows.collect()) == want
 
 
-@pytest.mark.parametrize("name", sorted(set(registered.QUERIES) - set(registered.ORACLES)))
+@pytest.mark.parametrize("name", sorted(set(registered.QUERIES) - set(ORACLES) - {"evaluate_generated", "evaluation_correlation"}))
 def test_measures_have_rows(spark, name):
     assert registered.QUERIES[name](spark, DATA).count() > 0
 
