@@ -9,12 +9,13 @@ import uuid
 from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pathlore.operators.staging import release, shared_path, shared_root, stage
 
-__all__ = ["attach_groups", "connected_components", "map_batches", "partitions_for", "release", "shared_path", "shared_root", "stage", "stage_bucketed", "text_or_empty", "with_row_tag"]
+__all__ = ["attach_groups", "connected_components", "map_batches", "partitions_for", "release", "shared_path", "shared_root", "stage", "stage_bucketed", "text_or_empty", "unload", "with_row_tag"]
 
 #: Groups larger than one ``HEAVY_PARTS``-th of all rows count as heavy; so there are fewer than that many.
 HEAVY_PARTS = 2000
@@ -50,13 +51,20 @@ def give_back() -> None:
         ctypes.CDLL(None).malloc_trim(0)
 
 
-def map_batches(df: DataFrame, work: Callable[[pa.RecordBatch], Iterable[pa.RecordBatch] | None], schema: str) -> DataFrame:
-    """``mapInArrow`` with a function of one batch."""
+def unload(shared: Broadcast) -> None:
+    """Let a worker forget a broadcast's value: it would hold it while idle. The next task reads it from its file again."""
+    shared.__dict__.pop("_value", None)
+
+
+def map_batches(df: DataFrame, work: Callable[[pa.RecordBatch], Iterable[pa.RecordBatch] | None], schema: str, shared: Broadcast | None = None) -> DataFrame:
+    """``mapInArrow`` with a function of one batch; ``shared``: a broadcast that the worker forgets after its task."""
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
                 yield from work(batch)
+        if shared is not None:
+            unload(shared)
         give_back()
 
     return df.mapInArrow(each, schema)

@@ -26,10 +26,11 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pathlore.llm.common import give_back, map_batches, partitions_for, release, stage
+from pathlore.llm.common import give_back, map_batches, partitions_for, release, stage, unload
 
 #: Labelled rows of the sample, at most.
 EXAMPLES = 2_000
@@ -218,8 +219,8 @@ def boosts(toxic_with: np.ndarray, clean_with: np.ndarray, toxic: int, clean: in
     return 1 + BOOST * np.where(toxic_with * clean > clean_with * toxic, np.maximum(g2 - NOISE, 0), 0)
 
 
-def sum_by_term(rows: DataFrame, column: str, terms: Terms, read) -> tuple[np.ndarray, int]:
-    """In how many rows each term is, and the number of rows; ``read`` gives the terms of a value."""
+def sum_by_term(rows: DataFrame, column: str, terms: Terms, read, shared: Broadcast | None = None) -> tuple[np.ndarray, int]:
+    """In how many rows each term is, and the number of rows; ``read`` gives the terms of a value, by ``shared``."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         df, seen = np.zeros(size + 1, "int64"), 0
@@ -230,6 +231,8 @@ def sum_by_term(rows: DataFrame, column: str, terms: Terms, read) -> tuple[np.nd
         df[-1] = seen
         some = np.flatnonzero(df)
         yield pa.RecordBatch.from_arrays([pa.array(some.astype("int32")), pa.array(df[some])], ["term", "df"])
+        if shared is not None:
+            unload(shared)
         give_back()
 
     size = len(terms)
@@ -242,7 +245,7 @@ def sum_by_term(rows: DataFrame, column: str, terms: Terms, read) -> tuple[np.nd
 def document_frequencies(docs: DataFrame, terms: Terms) -> tuple[np.ndarray, int]:
     """In how many of all documents each term is, and the number of documents."""
     shared = docs.sparkSession.sparkContext.broadcast(terms)  # bounded by the sampled texts
-    found = sum_by_term(docs, "text", terms, lambda text: shared.value.read(text.as_py())[0])
+    found = sum_by_term(docs, "text", terms, lambda text: shared.value.read(text.as_py())[0], shared)
     shared.unpersist()
     return found
 
@@ -256,7 +259,7 @@ def term_rows(docs: DataFrame, terms: Terms) -> DataFrame:
         blobs = (pa.array([x[k].astype("<i4").tobytes() for x in found], pa.binary()) for k in (0, 1))
         yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), *blobs], ["doc_id", "held_out", "ids", "counts"])
 
-    return map_batches(docs.select("doc_id", "text", held_out().alias("held_out")), work, "doc_id long, held_out boolean, ids binary, counts binary")
+    return map_batches(docs.select("doc_id", "text", held_out().alias("held_out")), work, "doc_id long, held_out boolean, ids binary, counts binary", shared)
 
 
 def sampled_texts(docs: DataFrame, labels: DataFrame, examples: int) -> tuple[DataFrame, list[int]]:
@@ -353,7 +356,7 @@ def own_votes(spark: SparkSession, model: ToxicityModel) -> list[tuple[float, fl
         yield pa.RecordBatch.from_arrays([pa.array(c, pa.float64()) for c in zip(*out, strict=True)], ["vote", "toxic", "all"])
 
     n = len(model.toxic)
-    found = map_batches(spark.range(0, n, 1, max(1, min(n, 2 * partitions_for(spark)))), work, "vote double, toxic double, all double").collect()  # two rows a vector at most
+    found = map_batches(spark.range(0, n, 1, max(1, min(n, 2 * partitions_for(spark)))), work, "vote double, toxic double, all double", shared).collect()  # two rows a vector at most
     shared.unpersist()
     return [tuple(r) for r in found]
 
@@ -365,7 +368,7 @@ def score_rows(rows: DataFrame, model: ToxicityModel, columns: list[str], score)
         found = [score(shared.value, *x) for x in zip(*(batch.column(c) for c in columns), strict=True)]
         yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array([s for s, _ in found], pa.float64()), pa.array([e for _, e in found], pa.list_(pa.int64()))], ["doc_id", "held_out", "score", "evidence"])
 
-    return map_batches(rows.select("doc_id", "held_out", *columns), work, "doc_id long, held_out boolean, score double, evidence array<long>")
+    return map_batches(rows.select("doc_id", "held_out", *columns), work, "doc_id long, held_out boolean, score double, evidence array<long>", shared)
 
 
 def with_scores(docs: DataFrame, model: ToxicityModel) -> DataFrame:
@@ -377,10 +380,7 @@ def drop_toxic(docs: DataFrame, model: ToxicityModel, least: float = 0.7) -> Dat
     """The documents with a score below ``least``, all columns unchanged."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m = shared.value
-        for batch in batches:
-            yield batch.filter(pa.array([m.score(t.as_py())[0] < least for t in batch.column("text")], pa.bool_()))
-        give_back()
+    def work(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        yield batch.filter(pa.array([shared.value.score(t.as_py())[0] < least for t in batch.column("text")], pa.bool_()))
 
-    return docs.mapInArrow(work, docs.schema)
+    return map_batches(docs, work, docs.schema, shared)
