@@ -356,7 +356,7 @@ def own_votes(spark: SparkSession, model: ToxicityModel) -> list[tuple[float, fl
         yield pa.RecordBatch.from_arrays([pa.array(c, pa.float64()) for c in zip(*out, strict=True)], ["vote", "toxic", "all"])
 
     n = len(model.toxic)
-    found = map_batches(spark.range(0, n, 1, max(1, min(n, 2 * partitions_for(spark)))), work, "vote double, toxic double, all double", shared).collect()  # two rows a vector at most
+    found = map_batches(spark.range(0, n, 1, max(1, min(partitions_for(spark), n // 200))), work, "vote double, toxic double, all double", shared).collect()  # two rows a vector at most
     shared.unpersist()
     return [tuple(r) for r in found]
 
