@@ -11,11 +11,10 @@ from collections.abc import Callable
 from dataclasses import dataclass, field
 from functools import reduce
 
-from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from pathlore.operators.staging import release, stage, stage_pairs
+from pathlore.operators.staging import keep, release, stage, stage_pairs
 from pathlore.plans.automaton import AutomatonBook, invert
 from pathlore.plans.query import ConjunctivePathQuery
 from pathlore.plans.terms import TOP, EdgeStep, LabelTest, Nest, NodeTest, Role
@@ -187,7 +186,7 @@ class Evaluator:
             ends = self._backward(n)
             found = [ends[s] for s in ([start] if start is not None else sorted(a.starts)) if s in ends]
             rows = reduce(DataFrame.unionByName, found) if found else None
-            self._starts[n, start] = None if rows is None else rows.distinct().persist(StorageLevel.MEMORY_AND_DISK)
+            self._starts[n, start] = None if rows is None else keep(rows.distinct())
         return self._starts[n, start]
 
     def before(self, g: Guard, then: DataFrame | None, final: bool = False) -> list[DataFrame]:

@@ -2,10 +2,42 @@
 
 from __future__ import annotations
 
+import contextlib
+import threading
 import uuid
+from collections.abc import Callable, Iterator
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 
+_SCRATCH = threading.local()
+
+
+@contextlib.contextmanager
+def scratch() -> Iterator[None]:
+    """Whatever this thread stages or keeps within is given back at the end: for work whose results are taken inside."""
+    outer, mine = getattr(_SCRATCH, "held", None), []
+    _SCRATCH.held = mine
+    try:
+        yield
+    finally:
+        _SCRATCH.held = outer
+        for give_back in reversed(mine):
+            with contextlib.suppress(Exception):  # what is gone already needs no deleting
+                give_back()
+
+
+def _held(give_back: Callable[[], object]) -> None:
+    if getattr(_SCRATCH, "held", None) is not None:
+        _SCRATCH.held.append(give_back)
+
+
+def keep(df: DataFrame) -> DataFrame:
+    """Cached, on disk where memory is short."""
+    kept = df.persist(StorageLevel.MEMORY_AND_DISK)
+    _held(kept.unpersist)
+    return kept
+
 
 def shared_root(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir``. Where it is unset, as in tests, a local session gets one of our own."""
@@ -24,12 +56,18 @@ def shared_path(spark: SparkSession, name: str) -> str:
 def stage(df: DataFrame, name: str) -> DataFrame:
     """Write a table into the shared folder and read it back."""
     path = shared_path(df.sparkSession, name)
+    _held(lambda: delete(df.sparkSession, path))
     df.write.parquet(path)
     staged = df.sparkSession.read.schema(df.schema).parquet(path)
     staged._staged_path = path
     return staged
 
 
+def delete(spark: SparkSession, path: str) -> None:
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
+
+
 def stage_pairs(df: DataFrame, key: str, least_bytes: int) -> DataFrame:
     """A table that many rounds join by ``key``: written once, bucketed and sorted by it, if Spark's estimate of its size says that it is not small."""
     spark = df.sparkSession
@@ -37,6 +75,7 @@ def stage_pairs(df: DataFrame, key: str, least_bytes: int) -> DataFrame:
         return df
     name = f"pairs_{uuid.uuid4().hex}"
     buckets = int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
+    _held(lambda: spark.sql(f"DROP TABLE IF EXISTS {name}"))
     df.write.format("parquet").bucketBy(buckets, key).sortBy(key).saveAsTable(name)
     return spark.table(name)
 
@@ -45,5 +84,4 @@ def release(df: DataFrame) -> None:
     """Delete a table that ``stage`` wrote, once nothing reads it any more."""
     path = getattr(df, "_staged_path", None)
     if path:
-        p = df.sparkSession._jvm.org.apache.hadoop.fs.Path(path)
-        p.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(p, True)
+        delete(df.sparkSession, path)
