@@ -103,6 +103,72 @@ class Evaluator:
     _starts: dict[tuple, DataFrame | None] = field(default_factory=dict)
     _guards: dict[int, dict[tuple[int, int], Guard]] = field(default_factory=dict)
     _crowds: int = 0
+    _ahead: dict[int, list[set[str]]] = field(default_factory=dict)
+    _behind: dict[int, list[set[str]]] = field(default_factory=dict)
+    #: Leave out moves that the kinds of nodes rule out, before anything is planned.
+    typed: bool = True
+
+    # ---- kinds: what the catalog alone rules out -------------------------------------------------------------------
+
+    def _all_kinds(self) -> set[str]:
+        return {*self.graph.kinds, "?"}
+
+    def _passes(self, symbol) -> list[tuple[set[str], set[str]]]:
+        """Kinds that a move may start at, and those that it then may lead to; for a test both are one and the same kind."""
+        all_ = self._all_kinds()
+        match symbol:
+            case LabelTest(name):
+                found = all_ if name == TOP or name in self.graph.extra else {k for k, v in self.graph.kinds.items() if name in v.labels}
+                return [({k}, {k}) for k in found]
+            case NodeTest(tests):
+                return [({k}, {k}) for k, v in self.graph.kinds.items() if {t.key for t in tests} <= set(v.props)]
+            case Nest(inner, start):
+                behind = self._kinds_behind(inner)
+                return [({k}, {k}) for k in set().union(*(behind[s] for s in ([start] if start is not None else self.book[inner].starts)))]
+        way, keys = symbol.explicit_way(), {t.key for t in symbol.tests}
+        if self.binding == "pair" and len(symbol.roles) + len(symbol.tests) > 1:
+            return [(all_, all_)]
+        out = []
+        for name in [r.name for r in symbol.roles][:1] or sorted(self.graph.roles):
+            if way and name in self.graph.roles and keys <= self.graph.role_keys(name):
+                a, b = ({k} for k in self.graph.ends[name]) if name in self.graph.ends else (all_, all_)
+                out.append((a, b) if way > 0 else (b, a))
+        return out
+
+    def _kinds_behind(self, n: int) -> list[set[str]]:
+        """Of each state, the kinds of nodes from which a run may still be accepted."""
+        if n not in self._behind:
+            a = self.book[n]
+            found = self._behind[n] = [self._all_kinds() if s in a.finals else set() for s in range(a.states)]
+            moves = [(x, self._passes(s), y) for x, s, y in a.moves]
+            grown = True
+            while grown:
+                grown = False
+                for x, passes, y in moves:
+                    more = {k for f, t in passes if t & found[y] for k in f} - found[x]
+                    grown |= bool(more)
+                    found[x] |= more
+        return self._behind[n]
+
+    def _kinds_ahead(self, n: int) -> list[set[str]]:
+        """Of each state, the kinds of nodes that a run from a start may reach; all for automata that nested tests may restart."""
+        if n not in self._ahead:
+            a, all_ = self.book[n], self._all_kinds()
+            nested = any(s.automaton == n for m in self.book.automata.values() for s in m.nests())
+            found = self._ahead[n] = [set(all_) if nested or s in a.starts else set() for s in range(a.states)]
+            moves = [(x, self._passes(s), y) for x, s, y in a.moves]
+            grown = True
+            while grown:
+                grown = False
+                for x, passes, y in moves:
+                    more = {k for f, t in passes if f & found[x] for k in t} - found[y]
+                    grown |= bool(more)
+                    found[y] |= more
+        return self._ahead[n]
+
+    def _possible(self, n: int, x: int, symbol, y: int) -> bool:
+        ahead, behind = self._kinds_ahead(n)[x], self._kinds_behind(n)[y]
+        return any(f & ahead and t & behind for f, t in self._passes(symbol))
 
     # ---- guards --------------------------------------------------------------------------------------------------
 
@@ -147,6 +213,9 @@ class Evaluator:
             return self._guards[n]
         by_pair: dict[tuple[int, int], list] = {}
         for x, s, y in self.book[n].moves:
+            if self.typed and not self._possible(n, x, s, y):
+                self.stats.dead_moves += 1
+                continue
             by_pair.setdefault((x, y), []).append(s)
         out = {}
         for pair, symbols in by_pair.items():

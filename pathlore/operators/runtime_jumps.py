@@ -24,6 +24,7 @@ from pathlore.sources.graph import PropertyGraph
 class JumpingEvaluator(Evaluator):
     onto: Ontology | None = None
     jumps: dict[int, list[tuple[int, int, SkipTuple]]] = field(default_factory=dict)  # (from, to, tuple)
+    typed: bool = False  # jumps go where the moves alone could not
 
     def guards(self, n: int) -> dict[tuple[int, int], Guard]:
         if n in self._guards:

@@ -62,7 +62,7 @@ class PropertyGraph:
     kinds: dict[str, NodeKind] = field(default_factory=dict)
     roles: dict[str, DataFrame] = field(default_factory=dict)
     extra: dict[str, DataFrame] = field(default_factory=dict)
-    #: Which kinds a role leads from and to, where known: used for estimates only.
+    #: Which kinds all edges of a role lead from and to, where known: what cannot be is not planned.
     ends: dict[str, tuple[str, str]] = field(default_factory=dict)
     #: Whether a role leads from a node to one at most, and whether it leads into a node from one at most: used to choose plans only.
     single: dict[str, tuple[bool, bool]] = field(default_factory=dict)
@@ -224,6 +224,7 @@ def text(g: PropertyGraph, read: Callable[[str], DataFrame]) -> None:
     g.roles["hostedOn"] = hosts.select(node_id("page", F.col("page_id")).alias("src"), node_id("host", text_key(F.col("host"))).alias("dst"))
     links = pages.select("page_id", F.explode(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), F.lit(1))).alias("href"))
     g.kinds["target"] = NodeKind(links.select(node_id("target", text_key(F.col("href"))).alias("node_id"), F.col("href").alias("url")).distinct(), {"Target": None}, ("url",))
+    g.ends |= {"fromSource": ("document", "source"), "inLang": ("document", "lang"), "firstCopy": ("document", "document"), "hostedOn": ("page", "host"), "linksTo": ("page", "target")}
     g.roles["linksTo"] = links.select(node_id("page", F.col("page_id")).alias("src"), node_id("target", text_key(F.col("href"))).alias("dst"))
 
 

@@ -2,7 +2,7 @@
 
 import pytest
 
-from pathlore import queries, workload
+from pathlore import experiments, queries, workload
 
 
 @pytest.mark.parametrize("onto", [workload.scaled_ontology(), workload.shop_18()], ids=["flat", "shop"])
@@ -11,8 +11,51 @@ def test_guided_queries_have_stars(onto):
     assert len(texts) == 100 and sum(")*" in t for t in texts) >= 20
 
 
+@pytest.mark.parametrize("onto", [workload.scaled_ontology(), workload.shop_18()], ids=["flat", "shop"])
+def test_free_queries_are_as_large_as_the_references(onto):
+    sizes = [s["states_in"] for s in workload.rewriting_stats(onto, workload.generate_queries(onto))]
+    assert 55 <= sum(n >= experiments.MANY_STATES for n in sizes) <= 70
+
+
 def test_evaluation_takes_every_query(spark, monkeypatch):
-    monkeypatch.setattr(queries.statistics, "timed_answer", lambda work, timeout_s, spark: {"eval_ms": 1.0, "timed_out": False, "answers": 0})
+    monkeypatch.setattr(experiments.statistics, "timed_answer", lambda work, timeout_s, spark: {"eval_ms": 1.0, "timed_out": False, "answers": 0})
+    monkeypatch.setattr(experiments, "_EVALUATED", {})
     rows = queries.QUERIES["evaluate_generated"](spark, "/root/testdata/sf0.001").collect()
-    assert {n: sum(r.ontology == n for r in rows) for n in ("flat", "shop")} == {"flat": 100, "shop": 100}
-    assert all(any(r.star for r in rows if r.ontology == n) for n in ("flat", "shop"))
+    assert {(n, g): sum((r.ontology, r.guided) == (n, g) for r in rows) for n in ("flat", "shop") for g in (False, True)} == dict.fromkeys([(n, g) for n in ("flat", "shop") for g in (False, True)], 100)
+    assert all(any(r.star for r in rows if (r.ontology, r.guided) == (n, g)) for n in ("flat", "shop") for g in (False, True))
+    summary = queries.QUERIES["evaluation_correlation"](spark, "/root/testdata/sf0.001").collect()
+    assert len(summary) == 4 and all(r.queries == 100 and r.timeouts == 0 for r in summary)
+
+
+def test_evaluation_of_a_few(spark, monkeypatch):
+    """Side by side and for real: free queries have no answers, guided ones may."""
+    monkeypatch.setattr(experiments, "_EVALUATED", {})
+    monkeypatch.setattr(experiments, "GENERATED", 3)
+    rows = experiments.evaluated(spark, "/root/testdata/sf0.001")
+    assert len(rows) == 12 and all(r[9] == 0 for r in rows if not r[1] and not r[8]) and any(r[9] for r in rows if r[1])
+
+
+def test_ways_of_finding_jumps_agree():
+    found = {(r[0], r[1]): r for r in experiments.baseline_costs()}
+    for name in workload.QUERIES:
+        feasible = {found[name, way][3] for way in experiments.WAYS if not found[name, way][4]}
+        assert len(feasible) == 1 and not found[name, "saturate"][4]
+
+
+def test_infeasible_queries_by_way():
+    found = {(o, way): n for o, way, _, _, n in experiments.infeasible_by_way()}
+    for o in ("flat", "shop"):
+        assert found[o, "saturate"] == 0 and 55 <= found[o, "power set"] <= 70
+    assert found["shop", "relevant"] > 50
+
+
+def test_timeouts_give_back_what_they_staged(spark):
+    import glob
+
+    from pathlore.operators.staging import stage
+    from pathlore.operators.statistics import timed_answer
+
+    before = set(glob.glob("/tmp/checkpoints/pathlore/*"))
+    assert timed_answer(lambda: stage(spark.range(10), "mine"), 60, spark)["answers"] == 10
+    slow = timed_answer(lambda: stage(spark.range(1 << 40).where("id % 1000003 = -1"), "slow"), 0.5, spark)
+    assert slow["timed_out"] and set(glob.glob("/tmp/checkpoints/pathlore/*")) <= before
