@@ -93,8 +93,11 @@ class ChunkTokenizer:
     def learn(self, words: list[str]) -> None:
         # Letters alone and signs alone are one word of the vocabulary's pattern: their merges are made together.
         # The rest (digits, apostrophes, odd signs) goes to the library.
-        one = [w for w in words if self.simple and (w.isalpha() or w in SIGNS)]
-        rest = [w for w in words if not (self.simple and (w.isalpha() or w in SIGNS))]
+        one, rest = [], []
+        for w in words:
+            (one if w.isalpha() or w in SIGNS else rest).append(w)
+        if not self.simple:
+            one, rest = [], words
         raw = [w.encode() for w in one]
         sizes = np.fromiter(map(len, raw), "int64", len(raw))
         data = np.frombuffer(b"".join(raw), "uint8")
@@ -126,18 +129,21 @@ class ChunkTokenizer:
             at[missing] = np.fromiter(map(self.known.__getitem__, new), "int64", len(new))
         return at
 
-    def encode_chunks(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    def encode_chunks(self, distinct: pa.StringArray) -> tuple[np.ndarray, np.ndarray]:
         """Flat ids and lengths of distinct chunks."""
-        odd = [("'" in c or "_" in c) for c in chunks]
-        words = WORD.findall("\n".join("" if o else c for c, o in zip(chunks, odd, strict=True)))
+        chunks = distinct.to_pylist()
+        where = np.flatnonzero(pc.or_(pc.match_substring(distinct, "'"), pc.match_substring(distinct, "_")))
+        plain = list(chunks)
+        for i in where.tolist():
+            plain[i] = ""
+        words = WORD.findall("\n".join(plain))
         at = self.lookup(words)
         ends = np.flatnonzero(at == self.known["\n"])
         lens = self.lens[at]
         total = np.concatenate([[0], np.cumsum(lens)])
         bounds = np.concatenate([[0], total[ends], total[-1:]])
         flat, sizes = self.gather(at, lens), np.diff(bounds)
-        if any(odd):
-            where = np.flatnonzero(odd)
+        if len(where):
             at = self.lookup([chunks[i] for i in where.tolist()])
             more = self.lens[at]
             owner = np.concatenate([np.repeat(np.arange(len(chunks)), sizes), np.repeat(where, more)])
@@ -161,7 +167,7 @@ class ChunkTokenizer:
         parts = pc.utf8_split_whitespace(pa.array([t.lower() if p else "" for t, p in zip(texts, plain, strict=True)], pa.string()))
         chunks = parts.flatten().dictionary_encode()
         at = chunks.indices.to_numpy()
-        flat, sizes = self.encode_chunks(chunks.dictionary.to_pylist())
+        flat, sizes = self.encode_chunks(chunks.dictionary)
         lens = sizes[at]
         ids = flat[spread((np.cumsum(sizes) - sizes)[at], lens)]
         bounds = np.concatenate([[0], np.cumsum(lens)])[parts.offsets.to_numpy()]
