@@ -1,5 +1,7 @@
 """The generated evaluation runs all its queries, stars among them, over both ontologies."""
 
+from collections import Counter
+
 import pytest
 
 from pathlore import experiments, queries, workload
@@ -20,18 +22,17 @@ def test_free_queries_are_as_large_as_the_references(onto):
 def test_evaluation_takes_every_query(spark, monkeypatch):
     monkeypatch.setattr(experiments.statistics, "timed_answer", lambda work, timeout_s, spark: {"eval_ms": 1.0, "timed_out": False, "answers": 0})
     monkeypatch.setattr(experiments, "_EVALUATED", {})
-    rows = queries.QUERIES["evaluate_generated"](spark, "/root/testdata/sf0.001").collect()
-    assert {(n, g): sum((r.ontology, r.guided) == (n, g) for r in rows) for n in ("flat", "shop") for g in (False, True)} == dict.fromkeys([(n, g) for n in ("flat", "shop") for g in (False, True)], 100)
-    assert all(any(r.star for r in rows if (r.ontology, r.guided) == (n, g)) for n in ("flat", "shop") for g in (False, True))
+    for name, kinds in (("evaluate_generated", experiments.FREE), ("evaluate_guided_flat", experiments.GUIDED[:1]), ("evaluate_guided_shop", experiments.GUIDED[1:])):
+        rows = queries.QUERIES[name](spark, "/root/testdata/sf0.001").collect()
+        assert Counter((r.ontology, r.guided) for r in rows) == dict.fromkeys(kinds, 100) and any(r.star for r in rows)
     summary = queries.QUERIES["evaluation_correlation"](spark, "/root/testdata/sf0.001").collect()
-    assert len(summary) == 4 and all(r.queries == 100 and r.timeouts == 0 for r in summary)
+    assert len(summary) == 2 and all(r.queries == 100 and r.timeouts == 0 for r in summary)
 
 
 def test_evaluation_of_a_few(spark, monkeypatch):
-    """Side by side and for real: free queries have no answers, guided ones may."""
+    """For real: free queries have no answers, guided ones may."""
     monkeypatch.setattr(experiments, "_EVALUATED", {})
-    monkeypatch.setattr(experiments, "GENERATED", 3)
-    rows = experiments.evaluated(spark, "/root/testdata/sf0.001")
+    rows = experiments.evaluated(spark, "/root/testdata/sf0.001", experiments.FREE + experiments.GUIDED, 3)
     assert len(rows) == 12 and all(r[9] == 0 for r in rows if not r[1] and not r[8]) and any(r[9] for r in rows if r[1])
 
 
