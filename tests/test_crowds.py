@@ -4,12 +4,14 @@ import random
 
 import pytest
 import randoms
+from pyspark.sql import functions as F
 from test_evaluate import frames
 
 from pathlore.operators import evaluate
 from pathlore.operators.evaluate import Evaluator, answer
 from pathlore.oracle import brute
 from pathlore.plans.query import bind_existentials, parse_query
+from pathlore.sources.graph import NodeKind, PropertyGraph
 
 
 def with_ends(g):
@@ -40,3 +42,19 @@ def test_linked_pairs(spark, text, seed):
     f.single = {"r": (True, False), "t": (False, True)} if seed else {}
     q = bind_existentials(parse_query(text))
     assert {tuple(r) for r in answer(q, f, decode=False).collect()} == brute.brute_answers(q, g)
+
+
+def test_each_connected_part_has_its_crowd(spark, monkeypatch):
+    """Copies of a graph that nothing joins: one hub could serve the starts of one copy only."""
+    monkeypatch.setattr(evaluate, "CROWD_ROWS", 1)
+    monkeypatch.setattr(evaluate, "CROWD_PER_NODE", 0)
+    ring = [(100 * copy + i, 100 * copy + (i + 1) % 6) for copy in range(5) for i in range(6)]
+    edges = spark.createDataFrame(ring, "src long, dst long")
+    g = PropertyGraph(spark, {"node": NodeKind(edges.select(F.col("src").alias("node_id")), {})}, {"r": edges})
+    q = bind_existentials(parse_query("ans(x,y) <- r*(x,y)"))
+    members = []
+    own = Evaluator._expand
+    monkeypatch.setattr(Evaluator, "_expand", lambda self, rows, crowds: (members.extend(crowds), own(self, rows, crowds))[1])
+    found = answer(q, with_ends(g), decode=False)
+    assert sorted(map(tuple, found.collect())) == [(a, b) for a, _ in ring for b, _ in ring if a // 100 == b // 100]
+    assert members[0].count() == 30 and members[0].select("crowd").distinct().count() >= 5
