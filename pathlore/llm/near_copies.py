@@ -1,10 +1,11 @@
 """Near copies by the similarity of word shingles: of each component of documents that are alike enough one row stays.
 
-Two texts are linked when the sets of their five-word shingles have a Jaccard similarity of 0.8 or more. SimHash
-fingerprints of two such texts differ in about ten of 64 bits, and unrelated ones not in many more than thirty, so
-a Hamming radius that finds them all leaves a vantage-point tree nothing to rule out. Candidates therefore come from
-min-hashes: BANDS bands of ROWS each; a pair at 0.8 shares no band with a probability of 1.3e-7, a closer pair with a smaller one.
-Rows that share a band are joined to the band's first row, never to one another, and the clusters of these edges are
+Two texts are linked when the sets of their five-word shingles have a Jaccard similarity of 0.8 or more. Candidates are
+first the texts whose SimHash fingerprints of these shingles differ in RADIUS bits or fewer, found by the vantage-point
+tree of ``simhash``. Fingerprints of two texts at 0.8 differ in about ten of 64 bits, and a radius that finds them all leaves
+a tree nothing to rule out, so min-hashes complete the candidates beyond the tree's radius: BANDS bands of ROWS each; a pair at
+0.8 shares no band with a probability of 1.3e-7, a closer pair with a smaller one. Rows that share a band are joined
+to the band's first row, linked fingerprints to their set's first, never all to one another, and the clusters of these edges are
 found by distributed connected components. Within a cluster every pair whose sizes allow it is compared exactly unless
 both are in one component by then. No task holds more than two blocks of BLOCK_ROWS rows: a larger cluster is first resolved block by block, then its
 components' first rows are, and at last all rows outside the largest component meet the blocks of that component and one
@@ -27,9 +28,12 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from pathlore.llm import simhash
 from pathlore.llm.common import attach_groups, connected_components, map_batches, stage, text_or_empty
 
 WORDS_IN_SHINGLE, SEED = 5, 42
+#: Differing bits up to which fingerprints make candidates.
+RADIUS = 4
 #: Least similarity, as a fraction.
 PART, WHOLE = 4, 5
 BANDS, ROWS = 40, 5
@@ -104,14 +108,16 @@ def row_key() -> Column:
 
 
 def sketches(docs: DataFrame) -> DataFrame:
-    """near_key, and the keys of its bands."""
+    """near_key, the fingerprint of its shingles, and the keys of its bands."""
 
     def work(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-        keys = np.concatenate([bands(shingles(t.as_py())) for t in batch.column("text")])
+        sets = [shingles(t.as_py()) for t in batch.column("text")]
+        fps = np.fromiter(map(simhash.bits_over_half, sets), "uint64", len(sets))
+        keys = np.concatenate([bands(s) for s in sets])
         lists = pa.ListArray.from_arrays(pa.array(np.arange(0, len(keys) + 1, BANDS, dtype="int32")), pa.array(keys))
-        yield pa.RecordBatch.from_arrays([batch.column("near_key"), lists], ["near_key", "bands"])
+        yield pa.RecordBatch.from_arrays([batch.column("near_key"), pa.array(fps.view("int64")), lists], ["near_key", "fp", "bands"])
 
-    return map_batches(docs.select(row_key().alias("near_key"), "text"), work, "near_key binary, bands array<long>")
+    return map_batches(docs.select(row_key().alias("near_key"), "text"), work, "near_key binary, fp long, bands array<long>")
 
 
 def resolve(rows: pa.Table) -> pa.Table:
@@ -123,13 +129,27 @@ def resolve(rows: pa.Table) -> pa.Table:
     return pa.table({"node": nodes, "root": least[found]})
 
 
+def fingerprint_edges(rows: DataFrame, count: int, radius: int = RADIUS) -> DataFrame:
+    """(a, b): each row and the first of the rows whose fingerprints a chain within the radius joins to its own."""
+    distinct = stage(rows.groupBy("fp").agg(F.min("node").alias("first"), F.count("*").alias("copies")), "fingerprints")
+    linked = simhash.link_fingerprints(distinct, distinct.count(), radius)
+    heads = distinct.join(linked, distinct.fp == linked.node, "left").select("fp", "first", "copies", F.coalesce("root", "fp").alias("root"))
+    of_root = distinct.select(F.col("fp").alias("root"), F.col("first").alias("head"))
+    heads = stage(heads.join(of_root, "root").select("fp", "first", "copies", "head"), "heads")
+    own = attach_groups(rows.select("node", "fp"), heads.where("copies > 1").select("fp", "first", "copies"), "fp", "copies", count)
+    between = heads.where("first <> head").select(F.col("first").alias("a"), F.col("head").alias("b"))
+    return own.where("node <> first").select(F.col("node").alias("a"), F.col("first").alias("b")).unionByName(between)
+
+
 def clusters(docs: DataFrame) -> DataFrame:
-    """near_key, node (a number) and cluster of the rows that share a band with another; copies of a row have one node."""
+    """near_key, node (a number) and cluster of the rows that are candidates with another; copies of a row have one node."""
     rows = stage(sketches(docs).withColumn("node", F.monotonically_increasing_id()), "sketches")
     banded = rows.select("node", F.explode("bands").alias("band"))
     firsts = stage(banded.groupBy("band").agg(F.min("node").alias("first"), F.count("*").alias("members")).where("members > 1"), "bands")
-    edges = attach_groups(banded, firsts, "band", "members", rows.count() * BANDS).where("node <> first")
-    links = connected_components(edges.select(F.col("node").alias("a"), F.col("first").alias("b")))
+    n = rows.count()
+    alike = fingerprint_edges(rows, n)
+    edges = attach_groups(banded, firsts, "band", "members", n * BANDS).where("node <> first")
+    links = connected_components(alike.unionByName(edges.select(F.col("node").alias("a"), F.col("first").alias("b"))))
     return rows.select("near_key", "node").join(links, "node").groupBy("near_key").agg(F.min("node").alias("node"), F.min("root").alias("cluster"))
 
 

@@ -116,3 +116,13 @@ def test_chains_across_blocks(spark, monkeypatch):
         best[c] = min(i, best.get(c, i))
     assert 2 < len(best) < 60
     assert sorted(r.doc_id for r in stage_of(spark, docs).collect()) == sorted(best.values())
+
+
+def test_the_fingerprint_tree_makes_candidates_of_its_own(spark, monkeypatch):
+    """With the min-hash bands off, close copies still go: by fingerprints within the radius and the exact comparison."""
+    rng = random.Random(3)
+    words = [f"w{rng.randrange(10_000)}" for _ in range(900)]
+    near, far = [*words[:-1], "other"], [f"v{rng.randrange(10_000)}" for _ in range(900)]
+    monkeypatch.setattr(near_copies, "sketches", lambda docs, own=near_copies.sketches: own(docs).withColumn("bands", near_copies.F.array().cast("array<long>")))
+    docs = spark.createDataFrame([(1, " ".join(words)), (2, " ".join(near)), (3, " ".join(far))], "doc_id long, text string")
+    assert sorted(r.doc_id for r in near_copies.keep_one_of_alike(docs).collect()) == [1, 3]
