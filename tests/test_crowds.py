@@ -58,3 +58,20 @@ def test_each_connected_part_has_its_crowd(spark, monkeypatch):
     found = answer(q, with_ends(g), decode=False)
     assert sorted(map(tuple, found.collect())) == [(a, b) for a, _ in ring for b, _ in ring if a // 100 == b // 100]
     assert members[0].count() == 30 and members[0].select("crowd").distinct().count() >= 5
+
+
+@pytest.mark.parametrize("seed", range(3))
+@pytest.mark.parametrize("text", ["ans(x,y) <- (r/^r)*(x,y)", "ans(x,y) <- s/(^r/r)*/t?(x,y)", "ans(x,y) <- (r/^r)*/(^s/s)*/t(x,y)", "ans(x,y) <- :A?/(r/^r)*/(t|^s)*(x,y)"])
+def test_steps_there_and_back_go_by_connected_parts(spark, monkeypatch, text, seed):
+    """Pairs, and their number without writing crowds out; nodes may be at either end of a step, and starts come to several parts."""
+    monkeypatch.setattr(evaluate, "PART_ROWS", 0)
+    monkeypatch.setattr(evaluate, "CROWD_PER_NODE", 0)
+    monkeypatch.setattr(evaluate, "ONE_TASK_EDGES", evaluate.ONE_TASK_EDGES if seed else -1)
+    g = randoms.graph(random.Random(seed), 9)
+    f = with_ends(frames(spark, g))
+    q = bind_existentials(parse_query(text))
+    ev = Evaluator(f, q.book.copy())
+    want = brute.brute_answers(q, g)
+    got = [tuple(r) for r in answer(q, f, decode=False, evaluator=ev).collect()]
+    assert sorted(got) == sorted(want) and (ev.stats.crowds or not got)
+    assert evaluate.count_answers(q, f) == len(want)
