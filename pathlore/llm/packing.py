@@ -34,10 +34,10 @@ DIMS, BITS = 4, 8
 QUANTILES = (1 << BITS) - 1
 #: Bits of the key that hold a hash of the row.
 SPREAD = 24
-#: Words that a worker remembers.
-REMEMBERED = 200_000
-#: Rows whose chunks are looked up together.
-ROWS_AT_ONCE = 256
+#: Words that a worker remembers, and chunks of text between white space.
+REMEMBERED, CHUNKS = 300_000, 300_000
+#: Bytes of text whose chunks are looked up together.
+AT_ONCE = 2 << 20
 #: Tokens of a span of the curve, which one task lays out; and the finest rank that its borders are sought to.
 SPAN_TOKENS, FINEST = 16 << 20, 1_000_000
 #: Runs of these alone are one word.
@@ -59,8 +59,28 @@ def odd_signs() -> re.Pattern:
     return re.compile("[\x1c-\x1fΣİ" + "".join(unassigned) + "\U00010000-\U0010ffff]")
 
 
+class Memory:
+    """Ids of strings, end to end; a string's number gives where they start and how many they are."""
+
+    def __init__(self) -> None:
+        self.flat, self.used = np.zeros(1 << 16, "uint32"), 0
+        self.starts, self.lens = np.zeros(0, "int64"), np.zeros(0, "int64")
+
+    def add(self, flat: np.ndarray, lens: np.ndarray) -> None:
+        n = len(flat)
+        while self.used + n > len(self.flat):
+            self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
+        self.flat[self.used : self.used + n] = flat
+        self.starts = np.concatenate([self.starts, self.used + np.cumsum(lens) - lens])
+        self.lens = np.concatenate([self.lens, lens])
+        self.used += n
+
+    def gather(self, at: np.ndarray, lens: np.ndarray) -> np.ndarray:
+        return self.flat[spread(self.starts[at], lens)]
+
+
 class ChunkTokenizer:
-    """Ids of the tokenizers library, remembered by lower-case word.
+    """Ids of the tokenizers library, remembered by lower-case word, and by chunk between white space.
 
     The vocabulary's normalizer and word pattern never look across white space, nor across the border of letters and digits
     to other signs, but for apostrophes and underscores; so a text's ids are those of its words, or, with such signs, of
@@ -85,10 +105,12 @@ class ChunkTokenizer:
         self.forget()
 
     def forget(self) -> None:
-        self.known: dict[str, int] = {}
-        self.flat, self.used = np.zeros(1 << 16, "uint32"), 0
-        self.starts, self.lens = np.zeros(1, "int64"), np.zeros(1, "int64")
-        self.known["\n"] = 0  # parts chunks, and has no ids
+        self.words, self.known = Memory(), {"\n": 0}  # this parts chunks, and has no ids
+        self.words.add(np.zeros(0, "uint32"), np.zeros(1, "int64"))
+        self.forget_chunks()
+
+    def forget_chunks(self) -> None:
+        self.chunks, self.known_chunks = Memory(), pa.array([], pa.string())
 
     def learn(self, words: list[str]) -> None:
         # Letters alone and signs alone are one word of the vocabulary's pattern: their merges are made together.
@@ -109,15 +131,8 @@ class ChunkTokenizer:
         words = one + rest
         lens = np.concatenate([merged_lens, np.fromiter(map(len, found), "int64", len(found))])
         flat = np.concatenate([merged, np.fromiter(itertools.chain.from_iterable(found), "int64")]) if found else merged
-        n = int(lens.sum())
-        while self.used + n > len(self.flat):
-            self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
-        self.flat[self.used : self.used + n] = flat
-        first = len(self.known)
-        self.known.update(zip(words, range(first, first + len(words)), strict=True))
-        self.starts = np.concatenate([self.starts, self.used + np.cumsum(lens) - lens])
-        self.lens = np.concatenate([self.lens, lens])
-        self.used += n
+        self.known.update(zip(words, range(len(self.known), len(self.known) + len(words)), strict=True))
+        self.words.add(flat, lens)
 
     def lookup(self, words: list[str]) -> np.ndarray:
         """Numbers of words in the memory; new ones are learnt."""
@@ -129,6 +144,17 @@ class ChunkTokenizer:
             at[missing] = np.fromiter(map(self.known.__getitem__, new), "int64", len(new))
         return at
 
+    def lookup_chunks(self, distinct: pa.StringArray) -> np.ndarray:
+        """Numbers of distinct chunks in the memory; only new ones are parted into words."""
+        at = pc.index_in(distinct, value_set=self.known_chunks).fill_null(-1).to_numpy(zero_copy_only=False).astype("int64")
+        missing = np.flatnonzero(at < 0)
+        if len(missing):
+            new = distinct.take(pa.array(missing))
+            at[missing] = np.arange(len(self.known_chunks), len(self.known_chunks) + len(new))
+            self.chunks.add(*self.encode_chunks(new))
+            self.known_chunks = pa.concat_arrays([self.known_chunks, new])
+        return at
+
     def encode_chunks(self, distinct: pa.StringArray) -> tuple[np.ndarray, np.ndarray]:
         """Flat ids and lengths of distinct chunks."""
         chunks = distinct.to_pylist()
@@ -139,21 +165,18 @@ class ChunkTokenizer:
         words = WORD.findall("\n".join(plain))
         at = self.lookup(words)
         ends = np.flatnonzero(at == self.known["\n"])
-        lens = self.lens[at]
+        lens = self.words.lens[at]
         total = np.concatenate([[0], np.cumsum(lens)])
         bounds = np.concatenate([[0], total[ends], total[-1:]])
-        flat, sizes = self.gather(at, lens), np.diff(bounds)
+        flat, sizes = self.words.gather(at, lens), np.diff(bounds)
         if len(where):
             at = self.lookup([chunks[i] for i in where.tolist()])
-            more = self.lens[at]
+            more = self.words.lens[at]
             owner = np.concatenate([np.repeat(np.arange(len(chunks)), sizes), np.repeat(where, more)])
-            flat = np.concatenate([flat, self.gather(at, more)])[np.argsort(owner, kind="stable")]
+            flat = np.concatenate([flat, self.words.gather(at, more)])[np.argsort(owner, kind="stable")]
             sizes[where] = more
         return flat, sizes
 
-    def gather(self, at: np.ndarray, lens: np.ndarray) -> np.ndarray:
-        return self.flat[spread(self.starts[at], lens)]
-
     def encode_batch(self, texts: list[str]) -> Iterator[np.ndarray]:
         ids, bounds = self.encode_flat(texts)
         for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
@@ -163,13 +186,14 @@ class ChunkTokenizer:
         """The ids of all texts end to end, and where each begins and the last ends."""
         if len(self.known) > REMEMBERED:
             self.forget()
+        if len(self.known_chunks) > CHUNKS:
+            self.forget_chunks()
         plain = [self.is_plain(t) and not any(a in t for a in self.added) for t in texts]
         parts = pc.utf8_split_whitespace(pa.array([t.lower() if p else "" for t, p in zip(texts, plain, strict=True)], pa.string()))
         chunks = parts.flatten().dictionary_encode()
-        at = chunks.indices.to_numpy()
-        flat, sizes = self.encode_chunks(chunks.dictionary)
-        lens = sizes[at]
-        ids = flat[spread((np.cumsum(sizes) - sizes)[at], lens)]
+        at = self.lookup_chunks(chunks.dictionary)[chunks.indices.to_numpy()]
+        lens = self.chunks.lens[at]
+        ids = self.chunks.gather(at, lens)
         bounds = np.concatenate([[0], np.cumsum(lens)])[parts.offsets.to_numpy()]
         if not all(plain):
             each = [ids[a:b] if p else np.array(self.model.encode(t, add_special_tokens=False).ids, "uint32") for a, b, p, t in zip(bounds[:-1], bounds[1:], plain, texts, strict=True)]
@@ -238,6 +262,15 @@ def id_kind(size: int) -> str:
     return "<u2" if size <= 1 << 16 else "<u4"
 
 
+def slices(batch: pa.RecordBatch, most: int) -> Iterator[pa.RecordBatch]:
+    """The batch in parts of that many bytes of text, or of one row."""
+    ends, at = np.cumsum(pc.binary_length(batch.column("text")).fill_null(0).to_numpy(zero_copy_only=False), dtype="int64"), 0
+    while at < batch.num_rows:
+        to = max(at + 1, int(np.searchsorted(ends, most + (ends[at - 1] if at else 0), side="right")))
+        yield batch.slice(at, to - at)
+        at = to
+
+
 def tokenize(docs: DataFrame, path: str, end_id: int = 1) -> DataFrame:
     """doc_id, n_tokens, the projections p0..., and ids as little-endian 16- or 32-bit integers."""
 
@@ -245,15 +278,14 @@ def tokenize(docs: DataFrame, path: str, end_id: int = 1) -> DataFrame:
         tok = tokenizer(path)
         signs = np.ascontiguousarray(hashed_directions(tok.size, DIMS).T).astype("int32")
         kind = id_kind(tok.size)
-        for at in range(0, batch.num_rows, ROWS_AT_ONCE):
-            part = batch.slice(at, ROWS_AT_ONCE)
+        for part in slices(batch, AT_ONCE):
             flat, bounds = tok.encode_flat([t or "" for t in part.column("text").to_pylist()])
             n = np.diff(bounds)
             # Sums of signs up to each token: a row's projection is the difference of two of them, over its length.
-            sums = np.zeros((DIMS, len(flat) + 1), "int32")
+            sums, proj = np.zeros(len(flat) + 1, "int32"), []
             for d in range(DIMS):
-                np.cumsum(signs[d][flat], out=sums[d, 1:])
-            proj = (sums[:, bounds[1:]] - sums[:, bounds[:-1]]) / np.maximum(n, 1)
+                np.cumsum(signs[d][flat], out=sums[1:])
+                proj.append((sums[bounds[1:]] - sums[bounds[:-1]]) / np.maximum(n, 1))
             laid = np.full(len(flat) + len(n), end_id, kind)
             laid[np.arange(len(flat)) + np.repeat(np.arange(len(n)), n)] = flat
             ends = (bounds[1:] + np.arange(1, len(n) + 1)) * laid.itemsize
