@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from pathlore.llm.bpe import MergeTable, byte_symbols
-from pathlore.llm.common import map_batches, partitions_for, stage, with_row_tag
+from pathlore.llm.common import give_back, map_batches, partitions_for, stage, with_row_tag
 
 DIMS, BITS = 4, 8
 QUANTILES = (1 << BITS) - 1
@@ -222,6 +222,13 @@ def tokenizer(path: str) -> ChunkTokenizer:
     return _LOADED[path]
 
 
+def forget_tokenizers() -> None:
+    """A worker whose next tasks need no tokenizer returns the memory of the last."""
+    if _LOADED:
+        _LOADED.clear()
+        give_back()
+
+
 def hashed_directions(size: int, dims: int) -> np.ndarray:
     """A sign for each token id and dimension, from a hash of the id."""
     x = np.arange(size, dtype="uint64") * np.uint64(0x9E3779B97F4A7C15)
@@ -316,7 +323,7 @@ def pack_tokens(rows: DataFrame, kind: str, length: int = 2048, ranges: int = 0,
         return hilbert_key(np.minimum(cells, (1 << BITS) - 1), BITS)
 
     def key_of(p0: pd.Series, p1: pd.Series, p2: pd.Series, p3: pd.Series, spread: pd.Series) -> pd.Series:
-        _LOADED.clear()  # the ids are made: a worker needs the tokenizer's memory no more
+        forget_tokenizers()  # the ids are made
         return pd.Series((curve(p0, p1, p2, p3) << SPREAD) + spread.to_numpy("int64"))
 
     columns = ["p0", "p1", "p2", "p3", F.pmod(F.xxhash64("row_tag"), F.lit(1 << SPREAD))]
@@ -328,21 +335,21 @@ def pack_tokens(rows: DataFrame, kind: str, length: int = 2048, ranges: int = 0,
         key = key_of(p0, p1, p2, p3, spread).to_numpy()
         return pd.DataFrame({"key": key, "span": np.searchsorted(place, key, side="right").astype("int32")})
 
-    placed = rows.withColumn("at", F.pandas_udf(place_of, "key long, span int")(*columns))  # one Python worker a task
+    # One Python worker a task: a join by span would put a filter below the projection, and with it a second run of the function.
+    placed = rows.withColumn("at", F.pandas_udf(place_of, "key long, span int")(*columns))
     placed = placed.select("doc_id", "row_tag", "n_tokens", "ids", "at.key", "at.span")
     totals = {r.span: r.n for r in placed.groupBy("span").agg(F.sum("n_tokens").alias("n")).collect()}  # a number for each range
     first, starts = 0, {}
     for span in sorted(totals):
         starts[span], first = first, first + totals[span]
-    begin = spark.createDataFrame(list(starts.items()), "span int, begin long")
-    keyed = placed.join(F.broadcast(begin), "span").select("span", "key", "begin", "doc_id", "row_tag", "ids")
+    keyed = placed.select("span", "key", "doc_id", "row_tag", "ids")
     fields = ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
 
     def lay(table: pa.Table) -> pa.Table:
         table = table.sort_by([("key", "ascending"), ("row_tag", "ascending")])
         ids = [np.frombuffer(x.as_buffer(), kind) for x in table.column("ids")]
         n = np.array([len(x) for x in ids])
-        ends = table.column("begin")[0].as_py() + np.cumsum(n)
+        ends = starts[table.column("span")[0].as_py()] + np.cumsum(n)
         out: dict[str, list] = {f: [] for f in [*fields, "piece_ids"]}
         for doc, x, end in zip(table.column("doc_id").to_pylist(), ids, ends.tolist(), strict=True):
             at, done = end - len(x), 0
