@@ -13,9 +13,10 @@ from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pathlore.operators.staging import release, shared_path, shared_root, stage
+from pathlore.operators import staging
+from pathlore.operators.staging import release, shared_path, shared_root
 
-__all__ = ["attach_groups", "connected_components", "map_batches", "partitions_for", "release", "shared_path", "shared_root", "stage", "stage_bucketed", "text_or_empty", "unload", "with_row_tag"]
+__all__ = ["attach_groups", "connected_components", "map_batches", "partitions_for", "release", "shared_path", "shared_root", "stage", "stage_bucketed", "text_or_empty", "trim_driver", "unload", "with_row_tag"]
 
 #: Groups larger than one ``HEAVY_PARTS``-th of all rows count as heavy; so there are fewer than that many.
 HEAVY_PARTS = 2000
@@ -23,10 +24,43 @@ HEAVY_PARTS = 2000
 HEAVY_LEAST = 64
 
 
+def trim_driver(spark: SparkSession) -> str:
+    """Let the driver's JVM return freed native memory to the system, and what it says of that; empty where it can't.
+
+    Hundreds of threads (broadcasts, shuffles, map outputs) allocate and free beside the heap, and the allocator keeps what each arena once
+    had: some hundred MB after many small jobs, which no limit on the heap holds. Takes some 20 ms.
+    """
+    jvm, new = spark._jvm, spark.sparkContext._gateway.new_array
+
+    def filled(kind: object, *values: object) -> object:
+        out = new(kind, len(values))
+        for i, v in enumerate(values):
+            out[i] = v
+        return out
+
+    try:
+        named, objects = jvm.java.lang.Class.forName, jvm.java.lang.Object
+        kinds = filled(jvm.java.lang.Class, *map(named, ("javax.management.ObjectName", "java.lang.String", "[Ljava.lang.Object;", "[Ljava.lang.String;")))
+        invoke = named("javax.management.MBeanServer").getMethod("invoke", kinds)
+        command = jvm.javax.management.ObjectName("com.sun.management:type=DiagnosticCommand")
+        asked = filled(objects, command, "systemTrimNativeHeap", filled(objects), filled(jvm.java.lang.String))
+        return invoke.invoke(jvm.java.lang.management.ManagementFactory.getPlatformMBeanServer(), asked)
+    except Exception:  # a JVM without this command: nothing is lost but memory
+        return ""
+
+
+def stage(df: DataFrame, name: str) -> DataFrame:
+    """Write a table into the shared folder and read it back; the driver gives back what the job took beside its heap."""
+    staged = staging.stage(df, name)
+    trim_driver(df.sparkSession)
+    return staged
+
+
 def stage_bucketed(df: DataFrame, name: str, key: str, buckets: int) -> DataFrame:
     """Write a table into the warehouse, bucketed by ``key``: later groupings by the key need no shuffle of it."""
     table = f"{name}_{uuid.uuid4().hex}"
     df.write.format("parquet").option("compression", "zstd").bucketBy(buckets, key).saveAsTable(table)
+    trim_driver(df.sparkSession)
     return df.sparkSession.table(table)
 
 
