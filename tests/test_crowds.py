@@ -1,13 +1,15 @@
 """Starts that share what a hub reaches, pairs that are linked from both ends, guards that are laid out: the same answers."""
 
 import random
+import time
+from pathlib import Path
 
 import pytest
 import randoms
 from pyspark.sql import functions as F
 from test_evaluate import frames
 
-from pathlore.operators import evaluate
+from pathlore.operators import evaluate, staging
 from pathlore.operators.evaluate import Evaluator, answer
 from pathlore.oracle import brute
 from pathlore.plans.query import bind_existentials, parse_query
@@ -75,3 +77,48 @@ def test_steps_there_and_back_go_by_connected_parts(spark, monkeypatch, text, se
     got = [tuple(r) for r in answer(q, f, decode=False, evaluator=ev).collect()]
     assert sorted(got) == sorted(want) and (ev.stats.crowds or not got)
     assert evaluate.count_answers(q, f) == len(want)
+
+
+def test_answers_are_not_sorted_out_again(spark, monkeypatch):
+    """Distinct pairs of one kind of nodes stay distinct as natural keys, so a product of crowds need not be shuffled."""
+    monkeypatch.setattr(evaluate, "CROWD_ROWS", 1)
+    monkeypatch.setattr(evaluate, "CROWD_PER_NODE", 0)
+    g = randoms.graph(random.Random(0), 9)
+    q = bind_existentials(parse_query("ans(x,y) <- (r/s)*/t(x,y) & <t|r>(y,z)"))
+    rows = answer(q, with_ends(frames(spark, g)))
+    assert "Aggregate" not in rows._jdf.queryExecution().optimizedPlan().nodeName()
+    assert sorted(map(tuple, rows.collect())) == sorted(brute.brute_answers(q, g))
+
+
+def test_kinds_that_share_keys_are_still_sorted_out(spark):
+    a, b = 1 << 56, 2 << 56
+    nodes = lambda *ids: NodeKind(spark.createDataFrame([(i,) for i in ids], "node_id long"), {})
+    g = PropertyGraph(spark, {"one": nodes(a + 1), "two": nodes(b + 1)}, {"r": spark.createDataFrame([(a + 1, a + 1)], "src long, dst long"), "s": spark.createDataFrame([(a + 1, b + 1)], "src long, dst long")})
+    g.ends = {"r": ("one", "one"), "s": ("one", "two")}
+    assert [tuple(r) for r in answer(bind_existentials(parse_query("ans(x,y) <- (r|s)(x,y)")), g).collect()] == [(1, 1)]
+
+
+def test_shuffles_that_nothing_reads_are_given_back(spark, monkeypatch):
+    env = spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+    files = lambda: {f for d in env.localDirsString() for f in Path(d).rglob("shuffle_*.data")}
+    monkeypatch.setattr(staging, "SHUFFLED_BYTES", 1 << 60)
+    before = files()
+    staging.stage(spark.range(50_000).groupBy((F.col("id") % 999).alias("k")).count(), "counts")
+    mine = files() - before
+    assert mine and not staging.free_shuffles(spark)
+    monkeypatch.setattr(staging, "SHUFFLED_BYTES", 1)
+    for _ in range(40):
+        staging.stage(spark.range(100).groupBy((F.col("id") % 9).alias("k")).count(), "counts")
+        if not mine & files():
+            break
+        time.sleep(0.25)
+    assert not mine & files()
+
+
+def test_guards_turned_round_are_laid_out_once(spark, monkeypatch):
+    monkeypatch.setattr(evaluate, "LAID_OUT_BYTES", -1)
+    turned = evaluate.LaidBack({(0, 1): evaluate.Guard(spark.createDataFrame([(1, 2), (3, 2)], "src long, dst long"))})
+    rows = turned[0, 1].pairs
+    assert rows is turned[0, 1].pairs and sorted(map(tuple, rows.select("src", "dst").collect())) == [(2, 1), (2, 3)]
+    turned.release()
+    assert not spark.catalog.tableExists(rows._laid_table)
