@@ -9,10 +9,12 @@ import randoms
 from pyspark.sql import functions as F
 from test_evaluate import frames
 
+from pathlore import workload
 from pathlore.operators import evaluate, staging
 from pathlore.operators.evaluate import Evaluator, answer
 from pathlore.oracle import brute
 from pathlore.plans.query import bind_existentials, parse_query
+from pathlore.queries import QUERIES
 from pathlore.sources.graph import NodeKind, PropertyGraph
 
 
@@ -122,3 +124,12 @@ def test_guards_turned_round_are_laid_out_once(spark, monkeypatch):
     assert rows is turned[0, 1].pairs and sorted(map(tuple, rows.select("src", "dst").collect())) == [(2, 1), (2, 3)]
     turned.release()
     assert not spark.catalog.tableExists(rows._laid_table)
+
+
+def test_gain_counts_give_back_what_each_query_staged(spark, monkeypatch, tmp_path):
+    monkeypatch.setattr(workload, "QUERIES", {n: workload.QUERIES[n] for n in ("w4_local_supplier", "v1_licensed")})
+    monkeypatch.setattr(staging, "shared_root", lambda _: f"file://{tmp_path}")
+    rows = QUERIES["plain_vs_rewritten_gain"](spark, "/root/testdata/sf0.001")
+    assert rows.dtypes == [("query", "string"), ("plain", "bigint"), ("certain", "bigint")]
+    assert not list(tmp_path.iterdir())
+    assert {r.query for r in rows.collect() if r.plain == 0 and r.certain > 0} == {"w4_local_supplier", "v1_licensed"}
